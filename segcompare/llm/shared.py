@@ -11,6 +11,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _own: list[str] = []
 
@@ -41,5 +42,11 @@ def saved(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def broadcast_if_small(df: DataFrame, name: str, most_rows: int = 500_000) -> DataFrame:
+    """df for a join: written and counted, broadcast up to most_rows narrow rows, joined by shuffle beyond."""
+    kept = saved(df, name)
+    return F.broadcast(kept) if kept.count() <= most_rows else kept
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
