@@ -1,11 +1,11 @@
 """Language-model scores by prediction by partial matching over bytes.
 
-A trie of byte contexts up to three bytes long predicts each byte of a text. Where a context has not seen the
+A trie of byte contexts up to `order` bytes long (5 unless set, 7 at most) predicts each byte of a text. Where a context has not seen the
 byte, the model escapes to the next shorter one, and the bytes that the longer context has seen are excluded
 there. Escape estimates: "A" 1 / (T + 1), "C" D / (T + D), "D" D / 2T, for T bytes seen, D of them distinct.
 
-*Pretrained*: the trie is counted over the training documents. Each bucket of documents gives its four-byte
-strings and words with counts, packed by partition; partitions of two-byte contexts hold whole subtrees, so
+*Pretrained*: the trie is counted over the training documents. Each bucket of documents gives its strings of
+order + 1 bytes and its words with counts, packed by partition; partitions of two-byte contexts hold whole subtrees, so
 the code lengths with escapes and exclusion come from one pass over each; orders 1 and 0 need 65,536 counts,
 the only counts that reach the driver. What a bucket needs goes back to it, and its texts are scored by
 look-up. *Adaptive*: each document starts with an empty trie and learns as it is read.
@@ -50,34 +50,49 @@ def escape_shares(t, d, method: str):
     raise ValueError(f"no escape method {method}")
 
 
-def code_lengths(grams: np.ndarray, counts: np.ndarray, pairs: np.ndarray, method: str = "C") -> np.ndarray:
-    """log10 P(last byte | first three) of distinct four-byte strings that hold the whole subtrees of their
+def code_lengths(grams: np.ndarray, counts: np.ndarray, pairs: np.ndarray, method: str = "C", order: int = 3) -> np.ndarray:
+    """log10 P(last byte | the `order` bytes before it) of distinct strings that hold the whole subtrees of their
     two-byte contexts (unseen ones with count 0 among them); pairs: counts of (byte before, byte)."""
-    g = grams.astype(np.int64)
-    s, c1 = g & 255, (g >> 8) & 255
-    ctx2, at2 = np.unique((g >> 8) & 0xFFFF, return_inverse=True)
-    ctx3, at3 = np.unique(g >> 8, return_inverse=True)
-    n3 = counts.astype(np.float64)
-    seen = n3 > 0
-    n2 = np.zeros((len(ctx2), 256))
-    np.add.at(n2, (at2, s), n3)
+    g = grams.astype(U64)
     one = np.asarray(pairs, np.float64)
     zero = one.sum(0)
-    t3, d3 = np.bincount(at3, n3, len(ctx3)), np.bincount(at3, seen, len(ctx3))
-    out3 = np.bincount(at3, n2[at2, s] * seen, len(ctx3))  # counts in order 2 that order 3 excludes
-    t2, d2 = n2.sum(1), (n2 > 0).sum(1)
-    out2 = (one[ctx2 & 255] * (n2 > 0)).sum(1)
-    t1, d1 = one.sum(1), (one > 0).sum(1)
-    out1 = (zero[None, :] * (one > 0)).sum(1)
-    t0, d0 = zero.sum(), (zero > 0).sum()
+    total, distinct = one.sum(1), (one > 0).sum(1)
     probability, rest, open_ = np.zeros(len(g)), np.ones(len(g)), np.ones(len(g), bool)
-    for count, total, distinct in ((n3, t3[at3], d3[at3]), (n2[at2, s], (t2[at2] - out3[at3]), (d2[at2] - d3[at3])), (one[c1, s], t1[c1] - out2[at2], d1[c1] - d2[at2]), (zero[s], t0 - out1[c1], d0 - d1[c1])):
-        less, divisor, escape = escape_shares(total, distinct, method)
+
+    def settle(count, t, d) -> None:
+        less, divisor, escape = escape_shares(t, d, method)
         here = open_ & (count > 0)
         probability[here] = (rest * (count - less) / divisor)[here]
-        open_ &= ~here
-        rest *= escape
-    probability[open_] = (rest / max(256 - d0, 1))[open_]
+        open_[here] = False
+        rest[:] *= escape
+
+    def level(j: int) -> tuple[np.ndarray, ...]:
+        """Nodes of j context bytes and a byte: (place of each string's node, nodes, counts, context of each node)."""
+        nodes, at = np.unique(g & U64((1 << 8 * (j + 1)) - 1), return_inverse=True)
+        return at, nodes, np.bincount(at, counts, len(nodes)), np.unique(nodes >> U64(8), return_inverse=True)
+
+    above = None  # of the longer context: its nodes' contexts, and which nodes are seen
+    for j in range(order, 1, -1):
+        at, nodes, count, (contexts, of) = level(j)
+        t, d = np.bincount(of, count, len(contexts))[of][at], np.bincount(of, count > 0, len(contexts))[of][at]
+        if above is not None:
+            up_nodes, up_count, up_of, up_at = above
+            here = np.searchsorted(nodes, up_nodes & U64((1 << 8 * (j + 1)) - 1))
+            seen = up_count > 0
+            size = int(up_of.max()) + 1
+            t = t - np.bincount(up_of, count[here] * seen, size)[up_of][up_at]
+            d = d - np.bincount(up_of, seen, size)[up_of][up_at]
+        settle(count[at], t, d)
+        above = nodes, count, of, at
+    s, c1 = (g & U64(255)).astype(np.int64), ((g >> U64(8)) & U64(255)).astype(np.int64)
+    nodes, count, of, at = above
+    seen, size = count > 0, int(of.max(initial=-1)) + 1
+    last, before = (nodes & U64(255)).astype(np.int64), ((nodes >> U64(8)) & U64(255)).astype(np.int64)
+    t = total[c1] - np.bincount(of, one[before, last] * seen, size)[of][at]
+    settle(one[c1, s], t, distinct[c1] - np.bincount(of, seen, size)[of][at])
+    out = (zero[None, :] * (one > 0)).sum(1)
+    settle(zero[s], zero.sum() - out[c1], (zero > 0).sum() - distinct[c1])
+    probability[open_] = (rest / max(256 - (zero > 0).sum(), 1))[open_]
     return np.log10(np.maximum(probability, 1e-300))
 
 
@@ -110,16 +125,29 @@ def adaptive_log10(text: bytes, order: int = 4, method: str = "C") -> float:
     return float(total)
 
 
-def _grams(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """(four-byte strings of the texts with their edges, as numbers; how many each text has)."""
+def _grams(texts: list[bytes], order: int) -> tuple[np.ndarray, np.ndarray]:
+    """(strings of a byte and the `order` bytes before it, as numbers, in the texts with their edges; how many each text has)."""
     sizes = np.array([len(t) + 1 for t in texts], np.int64)
-    flat = np.frombuffer(b"".join(x for t in texts for x in (EDGE * 3, t, EDGE)), np.uint8).astype(np.uint32)
-    all_ = (flat[:-3] << 24) | (flat[1:-2] << 16) | (flat[2:-1] << 8) | flat[3:]
-    ends = np.cumsum(sizes + 3)
+    flat = np.frombuffer(b"".join(x for t in texts for x in (EDGE * order, t, EDGE)), np.uint8).astype(U64)
+    n = len(flat) - order
+    every = flat[:n].copy()
+    for k in range(1, order + 1):
+        every <<= U64(8)
+        every |= flat[k : n + k]
+    ends = np.cumsum(sizes + order)
     keep = np.ones(len(flat), bool)
-    for k in range(3):
+    for k in range(order):
         keep[ends - 1 - k] = False  # the windows that would start in one text and end in the next
-    return all_[keep[: len(all_)]], sizes
+    return every[keep[:n]], sizes
+
+
+def _squeezed(keys: np.ndarray) -> bytes:
+    """Sorted keys as differences, whose high bytes are zero and compress."""
+    return np.diff(keys, prepend=U64(0)).tobytes()
+
+
+def _unsqueezed(data: bytes) -> np.ndarray:
+    return np.cumsum(np.frombuffer(data, U64), dtype=U64)
 
 
 def _counts(values: np.ndarray, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -147,7 +175,7 @@ def _part_of(keys: np.ndarray, kind: int, parts: int) -> np.ndarray:
     return (((spread >> U64(32)) * U64(parts)) >> U64(32)).astype(np.int64)
 
 
-def _gather(parts: int):
+def _gather(parts: int, order: int):
     """Group: a bucket's documents -> its strings (kind 0) and words (kind 1) with training counts, packed by partition."""
 
     def run(docs: pa.Table) -> pa.Table:
@@ -155,8 +183,8 @@ def _gather(parts: int):
         hasher = WordHasher()
         for batch in chunks(iter(docs.to_batches()), room=4 << 20):
             texts, learn = _texts(batch), np.array(batch.column(3).to_pylist(), bool)
-            grams, sizes = _grams(texts)
-            found[0].append(_counts(grams.astype(U64), np.repeat(learn, sizes)))
+            grams, sizes = _grams(texts, order)
+            found[0].append(_counts(grams, np.repeat(learn, sizes)))
             words = [[*t.split(), _END] for t in texts]
             found[1].append(_counts(hasher([w for x in words for w in x]), np.repeat(learn, [len(w) for w in words])))
         rows = []
@@ -164,11 +192,11 @@ def _gather(parts: int):
         for kind, got in found.items():
             keys, counts = _merge(got)
             part = _part_of(keys, kind, parts)
-            order = np.argsort(part, kind="stable")
-            keys, counts, part = keys[order], counts[order], part[order]
+            by_part = np.argsort(part, kind="stable")
+            keys, counts, part = keys[by_part], counts[by_part], part[by_part]
             cuts = np.flatnonzero(np.diff(part)) + 1
             for k, c, p in zip(np.split(keys, cuts), np.split(counts, cuts), part[np.r_[0, cuts]], strict=True):
-                rows.append((int(p), bucket, kind, (k.astype(np.uint32) if kind == 0 else k).tobytes(), c.astype(np.uint32).tobytes()))
+                rows.append((int(p), bucket, kind, _squeezed(k), c.astype(np.uint32).tobytes()))
         return _packed(rows)
 
     return run
@@ -180,17 +208,17 @@ def _packed(rows: list[tuple]) -> pa.Table:
     return pa.table({n.split()[0]: pa.array(c, t) for n, c, t in zip(_PACKED.split(", "), columns, kinds, strict=True)})
 
 
-def _settle(pairs: np.ndarray, method: str):
+def _settle(pairs: np.ndarray, method: str, order: int):
     """Group: a partition's packed rows of all buckets -> per bucket the strings' code lengths or the words'
     corpus counts (only where they differ from the bucket's own); kind 2: tokens and distinct words learned."""
 
     def run(table: pa.Table) -> pa.Table:
         kind = table.column("kind")[0].as_py()
-        keys = [np.frombuffer(b, np.uint32 if kind == 0 else U64) for b in table.column("keys").to_pylist()]
+        keys = [_unsqueezed(b) for b in table.column("keys").to_pylist()]
         counts = [np.frombuffer(b, np.uint32) for b in table.column("counts").to_pylist()]
         every, at = np.unique(np.concatenate(keys), return_inverse=True)
         total = np.bincount(at, np.concatenate(counts), len(every)).astype(np.int64)
-        value = code_lengths(every, total, pairs, method).astype(np.float32) if kind == 0 else total
+        value = code_lengths(every, total, pairs, method, order).astype(np.float32) if kind == 0 else total
         rows, begin = [], 0
         part = table.column("part")[0].as_py()
         for bucket, k, c in zip(table.column("bucket").to_pylist(), keys, counts, strict=True):
@@ -198,7 +226,7 @@ def _settle(pairs: np.ndarray, method: str):
             begin += len(k)
             tell = np.ones(len(k), bool) if kind == 0 else new != c
             if tell.any():
-                rows.append((part, bucket, kind, k[tell].tobytes(), new[tell].tobytes()))
+                rows.append((part, bucket, kind, _squeezed(k[tell]), new[tell].tobytes()))
         if kind == 1:
             rows.append((part, None, 2, None, None, int(total.sum()), int((total > 0).sum())))
         return _packed(rows)
@@ -206,18 +234,18 @@ def _settle(pairs: np.ndarray, method: str):
     return run
 
 
-def _score(tokens: int, distinct: int):
+def _score(tokens: int, distinct: int, order: int):
     """Cogroup: a bucket's documents and what the corpus tells of their strings and words -> scores."""
     divisor = np.log10(tokens + 0.5 * (distinct + 1))
 
     def run(docs: pa.Table, told: pa.Table) -> pa.Table:
         parts: dict[int, list] = {0: [], 1: []}
         for kind, k, v in zip(told.column("kind").to_pylist(), told.column("keys").to_pylist(), told.column("counts").to_pylist(), strict=True):
-            parts[kind].append((np.frombuffer(k, np.uint32 if kind == 0 else U64), np.frombuffer(v, np.float32 if kind == 0 else np.int64)))
+            parts[kind].append((_unsqueezed(k), np.frombuffer(v, np.float32 if kind == 0 else np.int64)))
         join = lambda kind, *types: tuple(np.concatenate([p[i] for p in parts[kind]]) if parts[kind] else np.empty(0, t) for i, t in enumerate(types))
-        strings, lengths = join(0, np.uint32, np.float32)
-        order = np.argsort(strings)
-        strings, lengths = strings[order], lengths[order]
+        strings, lengths = join(0, U64, np.float32)
+        by_string = np.argsort(strings)
+        strings, lengths = strings[by_string], lengths[by_string]
         hashes, corpus = join(1, U64, np.int64)
         hasher = WordHasher()
         # the bucket's own counts hold for the words that no other bucket has learned
@@ -231,7 +259,7 @@ def _score(tokens: int, distinct: int):
         out = []
         for batch in chunks(iter(docs.to_batches()), room=2 << 20):
             texts = _texts(batch)
-            grams, sizes = _grams(texts)
+            grams, sizes = _grams(texts, order)
             cells, where = np.unique(grams, return_inverse=True)
             length = lengths[np.searchsorted(strings, cells)].astype(np.float64)[where]
             score = np.add.reduceat(length, np.cumsum(sizes) - sizes)
@@ -253,8 +281,8 @@ def _pairs(docs: DataFrame) -> np.ndarray:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(1 << 16, np.int64)
         for batch in chunks(batches, room=4 << 20):
-            grams, _ = _grams(_texts(batch))
-            total += np.bincount(grams & 0xFFFF, minlength=1 << 16)
+            grams, _ = _grams(_texts(batch), 1)
+            total += np.bincount(grams.astype(np.int64), minlength=1 << 16)
         cells = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(cells, pa.int64()), pa.array(total[cells])], names=["cell", "n"])
 
@@ -264,17 +292,19 @@ def _pairs(docs: DataFrame) -> np.ndarray:
     return out.reshape(256, 256)
 
 
-def score_documents(docs: DataFrame, method: str = "C", held_fold: int = 1, bucket_bytes: int = 16 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score_documents(docs: DataFrame, method: str = "D", order: int = 5, held_fold: int = 1, bucket_bytes: int = 16 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Pretrained scores of all rows, learned from the rows outside the held-out fold."""
+    if not 2 <= order <= 7:
+        raise ValueError("contexts have 2 to 7 bytes")
     own = bucketed(docs, bucket_bytes, id_col, text_col)
     fold = F.crc32(F.col("doc_id").cast("string").cast("binary")) % FOLDS
     own = own.withColumn("learn", F.coalesce(fold != held_fold, F.lit(False))).withColumn("held_out", F.coalesce(fold == held_fold, F.lit(False)))
     parts = max(8, min(text_bytes(docs, text_col) // bucket_bytes, 1 << 30))
     grouped = own.groupBy("bucket")
-    packed = grouped.applyInArrow(_gather(parts), _PACKED)
-    told = saved(packed.groupBy("kind", "part").applyInArrow(_settle(_pairs(own), method), _PACKED), "told")
+    packed = grouped.applyInArrow(_gather(parts, order), _PACKED)
+    told = saved(packed.groupBy("kind", "part").applyInArrow(_settle(_pairs(own), method, order), _PACKED), "told")
     tokens, distinct = (x or 0 for x in told.filter("kind = 2").agg(F.sum("tokens"), F.sum("distinct")).first())
-    return grouped.cogroup(told.filter("kind < 2").groupBy("bucket")).applyInArrow(_score(tokens, distinct), RESULT)
+    return grouped.cogroup(told.filter("kind < 2").groupBy("bucket")).applyInArrow(_score(tokens, distinct, order), RESULT)
 
 
 def adaptive_scores(docs: DataFrame, order: int = 4, method: str = "C", id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -143,19 +143,19 @@ def test_substring_dedup_edges(spark, docs):
     assert sorted((r.n_words, r.n_removed, r.kept) for r in substring_dedup.remove_repeats(same).collect()) == [(1, 0, "short"), (40, 40, ""), (40, 40, ""), (41, 40, "tail")]
 
 
-def brute_ppm(train, text, method):
-    """Pretrained order 3, straight from the definition."""
-    counts = [{} for _ in range(4)]
+def brute_ppm(train, text, method, order):
+    """Pretrained, straight from the definition."""
+    counts = [{} for _ in range(order + 1)]
     for t in train:
-        data = b"\xff" * 3 + t + b"\xff"
-        for i in range(3, len(data)):
-            for k in range(4):
+        data = b"\xff" * order + t + b"\xff"
+        for i in range(order, len(data)):
+            for k in range(order + 1):
                 node = counts[k].setdefault(data[i - k : i], Counter())
                 node[data[i]] += 1
-    data, total = b"\xff" * 3 + text + b"\xff", 0.0
-    for i in range(3, len(data)):
+    data, total = b"\xff" * order + text + b"\xff", 0.0
+    for i in range(order, len(data)):
         p, excluded = 1.0, set()
-        for k in (3, 2, 1, 0):
+        for k in range(order, -1, -1):
             node = {b: n for b, n in counts[k].get(data[i - k : i], {}).items() if b not in excluded}
             t, d = sum(node.values()), len(node)
             if not t:
@@ -172,8 +172,8 @@ def brute_ppm(train, text, method):
     return total
 
 
-@pytest.mark.parametrize("method", ["A", "C", "D"])
-def test_ppm_matches_its_definition(spark, method):
+@pytest.mark.parametrize(("method", "order"), [("A", 3), ("C", 4), ("D", 2), ("C", 7)])
+def test_ppm_matches_its_definition(spark, method, order):
     rows = [r[:2] for r in corpus(3, 40)] + [(950, "é ü ö quite other bytes \x00\x01")]
     df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
     low = lambda t: (t or "").encode().lower()
@@ -181,7 +181,7 @@ def test_ppm_matches_its_definition(spark, method):
     train = [low(t) for k, t in rows if not held[k]]
     tokens = Counter(w for t in train for w in [*t.split(), "end"])
     total, distinct = sum(tokens.values()), len(tokens)
-    got = {r.doc_id: r for r in ppm.score_documents(df, method, bucket_bytes=1500).collect()}
+    got = {r.doc_id: r for r in ppm.score_documents(df, method, order, bucket_bytes=1500).collect()}
     assert len(got) == len(rows)
     for k, t in rows:
         if len(t or "") > 3000:
@@ -190,7 +190,7 @@ def test_ppm_matches_its_definition(spark, method):
         r = got[k]
         assert (r.held_out, r.n_tokens, r.n_known, r.train_tokens) == (held[k], len(w), sum(x in tokens for x in w), total)
         assert r.base_score == pytest.approx(sum(math.log10((tokens[x] + 0.5) / (total + 0.5 * (distinct + 1))) for x in w), rel=1e-9)
-        assert r.score == pytest.approx(brute_ppm(train, low(t), method), rel=1e-5)
+        assert r.score == pytest.approx(brute_ppm(train, low(t), method, order), rel=1e-5)
 
 
 def test_ppm_edges(spark, docs):
@@ -206,7 +206,7 @@ def test_ppm_edges(spark, docs):
     pairs = np.zeros((256, 256), np.int64)
     np.add.at(pairs, ((every >> 8) & 255, every & 255), counts)
     for method in "ACD":
-        p = 10.0 ** ppm.code_lengths(every, counts, pairs, method)
+        p = 10.0 ** ppm.code_lengths(every, counts, pairs, method, 3)
         assert np.bincount(np.unique(every >> 8, return_inverse=True)[1], p) == pytest.approx(1)
 
 
