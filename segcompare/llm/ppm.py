@@ -1,6 +1,6 @@
 """Language-model scores by prediction by partial matching over bytes.
 
-A trie of byte contexts up to `order` bytes long (5 unless set, 7 at most) predicts each byte of a text. Where a context has not seen the
+A trie of byte contexts up to `order` bytes long (4 unless set, 7 at most) predicts each byte of a text. Where a context has not seen the
 byte, the model escapes to the next shorter one, and the bytes that the longer context has seen are excluded
 there. Escape estimates: "A" 1 / (T + 1), "C" D / (T + D), "D" D / 2T, for T bytes seen, D of them distinct.
 
@@ -181,7 +181,7 @@ def _gather(parts: int, order: int):
     def run(docs: pa.Table) -> pa.Table:
         found: dict[int, list] = {0: [], 1: []}
         hasher = WordHasher()
-        for batch in chunks(iter(docs.to_batches()), room=4 << 20):
+        for batch in chunks(iter(docs.to_batches()), room=2 << 20):
             texts, learn = _texts(batch), np.array(batch.column(3).to_pylist(), bool)
             grams, sizes = _grams(texts, order)
             found[0].append(_counts(grams, np.repeat(learn, sizes)))
@@ -250,7 +250,7 @@ def _score(tokens: int, distinct: int, order: int):
         hasher = WordHasher()
         # the bucket's own counts hold for the words that no other bucket has learned
         own: list[tuple[np.ndarray, np.ndarray]] = []
-        for batch in chunks(iter(docs.to_batches()), room=4 << 20):
+        for batch in chunks(iter(docs.to_batches()), room=2 << 20):
             words = [[*t.split(), _END] for t in _texts(batch)]
             own.append(_counts(hasher([w for x in words for w in x]), np.repeat(np.array(batch.column(3).to_pylist(), bool), [len(w) for w in words])))
         known, count = _merge(own)
@@ -280,7 +280,7 @@ def _pairs(docs: DataFrame) -> np.ndarray:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(1 << 16, np.int64)
-        for batch in chunks(batches, room=4 << 20):
+        for batch in chunks(batches, room=2 << 20):
             grams, _ = _grams(_texts(batch), 1)
             total += np.bincount(grams.astype(np.int64), minlength=1 << 16)
         cells = np.flatnonzero(total)
@@ -292,7 +292,7 @@ def _pairs(docs: DataFrame) -> np.ndarray:
     return out.reshape(256, 256)
 
 
-def score_documents(docs: DataFrame, method: str = "D", order: int = 5, held_fold: int = 1, bucket_bytes: int = 16 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score_documents(docs: DataFrame, method: str = "D", order: int = 4, held_fold: int = 1, bucket_bytes: int = 10 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Pretrained scores of all rows, learned from the rows outside the held-out fold."""
     if not 2 <= order <= 7:
         raise ValueError("contexts have 2 to 7 bytes")
