@@ -6,7 +6,7 @@ A ring is an array of integer vertices (x, y), not closed explicitly, with edges
 
 from __future__ import annotations
 
-from pyspark.sql import Column, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..schema import EDGES
@@ -145,16 +145,29 @@ def validity(ring: Column) -> Column:
     )
 
 
-def repaired(ring: Column) -> Column:
-    """Without an explicit closing vertex and without collinear vertices, counter-clockwise."""
-    opened = F.when((F.size(ring) > 1) & (ring[0] == F.element_at(ring, -1)), F.slice(ring, F.lit(1), F.size(ring) - 1)).otherwise(ring)
+def once(df: DataFrame, **columns: Column) -> DataFrame:
+    """df with further columns that are computed once: a generator of one row keeps the optimizer from
+    copying an expression into each of its uses, which inside lambdas would repeat it for every element."""
+    return df.select("*", F.inline(F.array(F.struct(*(c.alias(n) for n, c in columns.items())))))
 
-    def corner(r: Column) -> Column:
-        n = F.size(r)
-        return F.filter(r, lambda v, k: ~(((F.get(r, (k + n - 1) % n)["x"] == v["x"]) & (F.get(r, (k + 1) % n)["x"] == v["x"])) | ((F.get(r, (k + n - 1) % n)["y"] == v["y"]) & (F.get(r, (k + 1) % n)["y"] == v["y"]))))
 
-    corners = corner(opened)
-    return F.when(signed_area2(corners) < 0, F.reverse(corners)).otherwise(corners)
+def opened(ring: Column) -> Column:
+    """The ring without an explicit closing vertex."""
+    return F.when((F.size(ring) > 1) & (ring[0] == F.element_at(ring, -1)), F.slice(ring, F.lit(1), F.size(ring) - 1)).otherwise(ring)
+
+
+def repaired(df: DataFrame, ring: str, out: str) -> DataFrame:
+    """df with `out`: the ring without closing vertex and collinear vertices, counter-clockwise."""
+    names = df.columns
+    df = once(df, _opened=opened(F.col(ring)))
+    r, n = F.col("_opened"), F.size("_opened")
+
+    def straight(v: Column, k: Column, c: str) -> Column:
+        return (F.get(r, (k + n - 1) % n)[c] == v[c]) & (F.get(r, (k + 1) % n)[c] == v[c])
+
+    df = once(df, _corners=F.filter(r, lambda v, k: ~(straight(v, k, "x") | straight(v, k, "y"))))
+    corners = F.col("_corners")
+    return df.select(*(c for c in names if c != out), F.when(signed_area2(corners) < 0, F.reverse(corners)).otherwise(corners).alias(out))
 
 
 # SQL-defined functions: Catalyst inlines them, no Python runs.
@@ -163,7 +176,7 @@ _NEXT = "concat(slice({0}, 2, size({0}) - 1), slice({0}, 1, 1))"
 _EDGES = "filter(zip_with({0}, " + _NEXT + ", (a, b) -> named_struct('x', a.x, 'lo', least(a.y, b.y), 'hi', greatest(a.y, b.y), 'sgn', if(b.y < a.y, 1, -1), 'up', a.x = b.x)), e -> e.up)"
 _SIDES = "zip_with({0}, " + _NEXT + ", (a, b) -> named_struct('ax', least(a.x, b.x), 'bx', greatest(a.x, b.x), 'ay', least(a.y, b.y), 'by', greatest(a.y, b.y)))"
 SQL_FUNCTIONS = {
-    "seg_area": (f"ring {_R}", "bigint", "shiftright(abs(aggregate(zip_with(ring, " + _NEXT.format("ring") + ", (a, b) -> a.x * b.y - b.x * a.y), 0L, (s, v) -> s + v)), 1)"),
+    "seg_area": (f"ring {_R}", "bigint", "shiftright(abs(aggregate(zip_with(ring, " + _NEXT.format("ring") + ", (a, b) -> (a.x - ring[0].x) * (b.y - ring[0].y) - (b.x - ring[0].x) * (a.y - ring[0].y)), 0L, (s, v) -> s + v)), 1)"),
     "seg_mbr": (f"ring {_R}", "struct<minx:bigint,miny:bigint,maxx:bigint,maxy:bigint>", "named_struct('minx', array_min(transform(ring, v -> v.x)), 'miny', array_min(transform(ring, v -> v.y)), 'maxx', array_max(transform(ring, v -> v.x)), 'maxy', array_max(transform(ring, v -> v.y)))"),
     "seg_pixel_inside": (f"ring {_R}, i bigint, j bigint", "boolean", "size(filter(" + _EDGES.format("ring") + ", e -> e.x > i AND e.lo <= j AND j < e.hi)) % 2 = 1"),
     "seg_inter_area": (f"p {_R}, q {_R}", "bigint", "aggregate(" + _EDGES.format("p") + ", 0L, (t, e) -> t - aggregate(" + _EDGES.format("q") + ", 0L, (s, f) -> s + e.sgn * f.sgn * greatest(least(e.hi, f.hi) - greatest(e.lo, f.lo), 0L) * greatest(e.x, f.x)))"),

@@ -81,7 +81,7 @@ def op_join_outer(spark: SparkSession, d: str) -> DataFrame:
 
 def op_join_full(spark: SparkSession, d: str) -> DataFrame:
     p, q = (cells(spark, d, s).select("image_id", "obj_id", F.lit(True).alias(s)) for s in "PQ")
-    return p.join(q, ["image_id", "obj_id"], "full_outer").groupBy("image_id").agg(F.count_if(F.col("P") & F.col("Q")).alias("both"), F.count_if(F.col("Q").isNull()).alias("only_p"), F.count_if(F.col("P").isNull()).alias("only_q"))
+    return p.join(q, ["image_id", "obj_id"], "full_outer").groupBy("image_id").agg(F.count_if(F.col("P") & F.col("Q")).alias("n_both"), F.count_if(F.col("Q").isNull()).alias("only_p"), F.count_if(F.col("P").isNull()).alias("only_q"))
 
 
 def op_join_semi(spark: SparkSession, d: str) -> DataFrame:
@@ -107,7 +107,7 @@ def op_join_asof(spark: SparkSession, d: str) -> DataFrame:
 
 def op_join_lateral(spark: SparkSession, d: str) -> DataFrame:
     docs = load(spark, d, "documents").select("doc_id", F.split("text", " ").alias("parts"))
-    words = docs.lateralJoin(spark.range(1).select(F.explode(F.col("parts").outer()).alias("word")))
+    words = docs.lateralJoin(spark.tvf.explode(F.col("parts").outer()).toDF("word"))
     return words.filter("word <> ''").groupBy("doc_id").agg(F.count(F.lit(1)).alias("n_words"))
 
 

@@ -66,7 +66,7 @@ def _objects(side: str) -> str:
 
 
 _SUM = "CAST(sum(inter) AS BIGINT) AS inter_sum, CAST(sum(uni) AS BIGINT) AS uni_sum"
-_COLS = r"""WITH w AS (SELECT doc_id, 1 + n_chars % 3 AS width, list_filter(regexp_split_to_array(text, '[ \t\n\r\x0B\f]+'), x -> x <> '')[1:128] AS words FROM documents),
+_COLS = r"""WITH w AS (SELECT doc_id, 1 + n_chars % 3 AS width, list_filter(regexp_split_to_array(text, '[ \t\n\r\x0B\f]+'), lambda x: x <> '')[1:128] AS words FROM documents),
 h AS (SELECT doc_id, width, unnest(words) AS word, generate_subscripts(words, 1) AS i FROM w),
 c AS (SELECT doc_id, width, i, 1 + length(word) % 16 AS h FROM h)
 """
@@ -76,19 +76,19 @@ _TRI = """WITH v AS (SELECT vec_id, label, CAST(embedding[1] AS DOUBLE) AS x1, C
 s AS (SELECT vec_id, label, g, x1 * g AS x1, y1 * g AS y1, x2 * g AS x2, y2 * g AS y2, x3 * g AS x3, y3 * g AS y3 FROM v, (VALUES (4), (16), (64), (256)) t(g)),
 ex AS (SELECT *, abs((x1 * y2 - x2 * y1) + (x2 * y3 - x3 * y2) + (x3 * y1 - x1 * y3)) / 2 AS exact FROM s),
 r AS (SELECT *, unnest(range(CAST(floor(least(y1, y2, y3)) AS BIGINT), CAST(floor(greatest(y1, y2, y3)) AS BIGINT) + 1)) + 0.5 AS cy FROM ex),
-k AS (SELECT *, list_sort(list_filter([CASE WHEN (y1 > cy) <> (y2 > cy) THEN x1 + (cy - y1) * (x2 - x1) / (y2 - y1) END, CASE WHEN (y2 > cy) <> (y3 > cy) THEN x2 + (cy - y2) * (x3 - x2) / (y3 - y2) END, CASE WHEN (y3 > cy) <> (y1 > cy) THEN x3 + (cy - y3) * (x1 - x3) / (y1 - y3) END], z -> z IS NOT NULL)) AS cuts FROM r),
+k AS (SELECT *, list_sort(list_filter([CASE WHEN (y1 > cy) <> (y2 > cy) THEN x1 + (cy - y1) * (x2 - x1) / (y2 - y1) END, CASE WHEN (y2 > cy) <> (y3 > cy) THEN x2 + (cy - y2) * (x3 - x2) / (y3 - y2) END, CASE WHEN (y3 > cy) <> (y1 > cy) THEN x3 + (cy - y3) * (x1 - x3) / (y1 - y3) END], lambda z: z IS NOT NULL)) AS cuts FROM r),
 n AS (SELECT vec_id, label, g, any_value(exact) AS exact, sum(CASE WHEN len(cuts) = 2 THEN ceil(cuts[2] - 0.5) - ceil(cuts[1] - 0.5) ELSE 0 END) AS px FROM k GROUP BY vec_id, label, g),
 e AS (SELECT *, abs(px - exact) / exact AS err FROM n)
 """
 _JIT = ",".join(_rings(f"j{k}", f"jo{k}") for k in range(5))
 _JITTERED = f"WITH {_PLACED}," + ",".join(f"jo{k} AS (SELECT image_id, tile_id, 4 * k AS obj_id, x0 + {k} * ((7 * k) % 5 - 2) AS x0, y0 + {k} * ((3 * k) % 5 - 2) AS y0, shape, su, sv FROM pl)" for k in range(5)) + f",{_JIT}," + f"""
 jb AS ({" UNION ALL ".join(f"SELECT {k} AS algo, * FROM j{k}b" for k in range(5))}), je AS ({" UNION ALL ".join(f"SELECT {k} AS algo, * FROM j{k}e" for k in range(5))}),
-jp AS (SELECT p.algo AS algo_a, q.algo AS algo_b, p.obj_id AS p_id, q.obj_id AS q_id, p.area + q.area AS both FROM jb p JOIN jb q ON p.algo < q.algo AND p.image_id = q.image_id AND p.tile_id = q.tile_id AND {_MEET}),
-ji AS (SELECT algo_a, algo_b, p_id, q_id, any_value(both) AS both, -sum({_TERM}) AS inter FROM jp JOIN je a ON a.algo = algo_a AND a.obj_id = p_id JOIN je b ON b.algo = algo_b AND b.obj_id = q_id GROUP BY ALL),
-jm AS (SELECT algo_a, algo_b, count(*) AS pairs, round(avg(inter / (both - inter)), 6) AS score FROM ji WHERE inter > 0 GROUP BY ALL)
+jp AS (SELECT p.algo AS algo_a, q.algo AS algo_b, p.obj_id AS p_id, q.obj_id AS q_id, p.area + q.area AS total FROM jb p JOIN jb q ON p.algo < q.algo AND p.image_id = q.image_id AND p.tile_id = q.tile_id AND {_MEET}),
+ji AS (SELECT algo_a, algo_b, p_id, q_id, any_value(total) AS total, -sum({_TERM}) AS inter FROM jp JOIN je a ON a.algo = algo_a AND a.obj_id = p_id JOIN je b ON b.algo = algo_b AND b.obj_id = q_id GROUP BY ALL),
+jm AS (SELECT algo_a, algo_b, count(*) AS pairs, round(avg(inter / (total - inter)), 6) AS score FROM ji WHERE inter > 0 GROUP BY ALL)
 """
-_SPANS = """, {n}r AS (SELECT image_id, obj_id, unnest(range(lo, hi)) AS y, x FROM {n}e),
-{n}k AS (SELECT image_id, obj_id, y, x, row_number() OVER w AS rn, lead(x) OVER w AS nx FROM {n}r WINDOW w AS (PARTITION BY image_id, obj_id, y ORDER BY x)),
+_SPANS = """, {n}rows AS (SELECT image_id, obj_id, unnest(range(lo, hi)) AS y, x FROM {n}e),
+{n}k AS (SELECT image_id, obj_id, y, x, row_number() OVER w AS rn, lead(x) OVER w AS nx FROM {n}rows WINDOW w AS (PARTITION BY image_id, obj_id, y ORDER BY x)),
 {n}x AS (SELECT DISTINCT image_id, y, unnest(range(x, nx)) AS x FROM {n}k WHERE rn % 2 = 1)"""
 _SETS = F1.rstrip() + _SPANS.format(n="p") + _SPANS.format(n="q") + """
 SELECT coalesce(a.image_id, b.image_id) AS image_id, count(a.x) AS px_p, count(b.x) AS px_q, count(*) FILTER (WHERE a.x IS NOT NULL AND b.x IS NOT NULL) AS px_both, count(*) AS px_any,
@@ -165,7 +165,7 @@ SQL: dict[str, str] = {
     "vessel_pairs": F1.rstrip() + ", tl AS (SELECT DISTINCT image_id, tile_id, (tile_id % 8) * 208 AS x, (tile_id // 8) * 208 AS y FROM pb), "
     "ve AS (SELECT image_id, tile_id, x + ex AS x, y + elo AS lo, y + ehi AS hi, s AS sgn FROM tl, (VALUES (208, 0, 40, -1), (40, 40, 168, -1), (208, 168, 208, -1), (0, 0, 208, 1)) t(ex, elo, ehi, s)), "
     f"vp AS (SELECT b.image_id, CAST(b.image_id AS BIGINT) * 1000000 + b.tile_id AS p_id, b.obj_id AS q_id, CAST(-sum({_TERM.replace('a.', 'v.').replace('b.', 'e.')}) AS BIGINT) AS inter, any_value(b.area) AS area FROM pb b JOIN ve v ON v.image_id = b.image_id AND v.tile_id = b.tile_id JOIN pe e ON e.obj_id = b.obj_id GROUP BY ALL) SELECT image_id, p_id, q_id, inter, 208 * 208 - 168 * 128 + area - inter AS uni FROM vp WHERE inter > 0",
-    "column_pairs": _COLS + "SELECT doc_id AS p_id, CAST(coalesce(sum(least(h, prev) * width), 0) AS BIGINT) AS inter FROM (SELECT *, lag(h) OVER (PARTITION BY doc_id ORDER BY i) AS prev FROM c) GROUP BY doc_id",
+    "column_pairs": _COLS + "SELECT doc_id AS p_id, CAST(sum(CASE WHEN prev IS NULL THEN 0 ELSE least(h, prev) * width END) AS BIGINT) AS inter FROM (SELECT *, lag(h) OVER (PARTITION BY doc_id ORDER BY i) AS prev FROM c) GROUP BY doc_id",
     "tasks": _TASKS + "SELECT image_id, tile_id, objects, vertices, pairs, pixels FROM tk",
     "batches": _TASKS + "SELECT image_id * 1000000 + coalesce(before, 0) // 100000 AS batch_id, count(*) AS tasks, CAST(sum(pixels) AS BIGINT) AS cost FROM (SELECT *, CAST(sum(pixels) OVER (PARTITION BY image_id ORDER BY tile_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS BIGINT) AS before FROM (SELECT CAST(image_id AS BIGINT) AS image_id, tile_id, pixels FROM tk)) GROUP BY 1",
     "geo_mean": F1 + "SELECT round(exp(avg(ln(n))), 6) AS geo_mean FROM (SELECT image_id, CAST(count(*) AS DOUBLE) AS n FROM pb GROUP BY image_id)",
@@ -191,7 +191,7 @@ SQL: dict[str, str] = {
     "op_join_range": "SELECT c_custkey, s_suppkey FROM customer JOIN supplier ON c_nationkey = s_nationkey AND c_acctbal BETWEEN s_acctbal - 50 AND s_acctbal + 50",
     "op_join_theta": "SELECT a.p_brand, count(*) AS n FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_retailprice > b.p_retailprice GROUP BY 1",
     "op_join_outer": "SELECT c_custkey, count(o_orderkey) AS n_orders FROM customer LEFT JOIN orders ON c_custkey = o_custkey GROUP BY 1",
-    "op_join_full": F1 + "SELECT coalesce(p.image_id, q.image_id) AS image_id, count(*) FILTER (WHERE p.obj_id IS NOT NULL AND q.obj_id IS NOT NULL) AS both, count(*) FILTER (WHERE q.obj_id IS NULL) AS only_p, count(*) FILTER (WHERE p.obj_id IS NULL) AS only_q FROM pb p FULL JOIN qb q ON p.obj_id = q.obj_id GROUP BY 1",
+    "op_join_full": F1 + "SELECT coalesce(p.image_id, q.image_id) AS image_id, count(*) FILTER (WHERE p.obj_id IS NOT NULL AND q.obj_id IS NOT NULL) AS n_both, count(*) FILTER (WHERE q.obj_id IS NULL) AS only_p, count(*) FILTER (WHERE p.obj_id IS NULL) AS only_q FROM pb p FULL JOIN qb q ON p.obj_id = q.obj_id GROUP BY 1",
     "op_join_semi": "SELECT doc_id FROM documents WHERE doc_id IN (SELECT doc_id FROM labels)",
     "op_join_anti": "SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM labels)",
     "op_join_self": "SELECT a.conv_id, a.turn, b.role AS next_role FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1",
@@ -224,7 +224,7 @@ SQL: dict[str, str] = {
     "op_string": "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, CAST(len(string_split(url, '/')) - 3 AS INTEGER) AS depth, trim(url[1:8]) AS head, length(html) AS chars, translate(url, '/:', '__') AS flat FROM pages",
     "op_date": "SELECT CAST(date_trunc('quarter', o_orderdate) AS DATE) AS q, count(*) AS n, CAST(sum(CAST(l_shipdate AS DATE) - CAST(o_orderdate AS DATE)) AS BIGINT) AS days FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1",
     "op_math": "SELECT CASE WHEN c_acctbal < -1000 THEN 0 WHEN c_acctbal >= 10000 THEN 12 ELSE CAST(floor((c_acctbal + 1000) / 1000) AS BIGINT) + 1 END AS bucket, count(*) AS n, round(sum(sign(c_acctbal) * ln(1 + abs(c_acctbal))), 4) AS logs FROM customer GROUP BY 1",
-    "op_array": "SELECT vec_id, round(sqrt(list_sum(list_transform(embedding, x -> CAST(x AS DOUBLE) * CAST(x AS DOUBLE)))), 6) AS norm, CAST(list_position(embedding, list_max(embedding)) AS INTEGER) AS arg FROM embeddings",
+    "op_array": "SELECT vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * CAST(x AS DOUBLE)))), 6) AS norm, CAST(list_position(embedding, list_max(embedding)) AS INTEGER) AS arg FROM embeddings",
     "op_map": "SELECT user_id, count(*) FILTER (WHERE event_type = 'click') AS clicks FROM events GROUP BY 1",
     "op_json": "SELECT event_id, json_extract_string(props, '$.k') AS k FROM events",
     "op_sqludf": F1 + "SELECT obj_id, area FROM pb",

@@ -118,14 +118,15 @@ def column_heights(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def columns(spark: SparkSession, sf_dir: str, shift: int = 0) -> DataFrame:
     """Skyline polygons, moved to the right by `shift` columns; collinear vertices are removed."""
-    sky = column_heights(spark, sf_dir)
+    sky = geometry.once(column_heights(spark, sf_dir).withColumnRenamed("heights", "h"), heights=F.col("h"))
     n = F.size("heights").cast("bigint")
     left = F.col("width") * shift
     tops = F.flatten(F.transform(F.sequence(n - 1, F.lit(0).cast("bigint"), F.lit(-1).cast("bigint")), lambda k: F.array(F.struct((left + (k + 1) * F.col("width")).alias("x"), F.get("heights", k.cast("int")).alias("y")), F.struct((left + k * F.col("width")).alias("x"), F.get("heights", k.cast("int")).alias("y")))))
     zero = F.lit(0).cast("bigint")
     base = F.array(F.struct(left.cast("bigint").alias("x"), zero.alias("y")), F.struct((left + n * F.col("width")).cast("bigint").alias("x"), zero.alias("y")))
-    rows = sky.select("doc_id", F.concat(base, tops).alias("ring"))
-    return rows.select(F.lit(0).alias("image_id"), F.col("doc_id").alias("tile_id"), F.lit(f"C{shift}").alias("algo"), F.col("doc_id").alias("obj_id"), geometry.repaired(F.col("ring")).alias("ring"))
+    rows = geometry.once(sky, given=F.concat(base, tops)).select("doc_id", "given")
+    rows = geometry.repaired(rows, "given", "ring")
+    return rows.select(F.lit(0).alias("image_id"), F.col("doc_id").alias("tile_id"), F.lit(f"C{shift}").alias("algo"), F.col("doc_id").alias("obj_id"), "ring")
 
 
 def raw_text(spark: SparkSession, sf_dir: str) -> DataFrame:

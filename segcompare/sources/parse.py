@@ -21,25 +21,20 @@ _WORKED = f"image_id int, algo string, tile_id bigint, line_no bigint, text stri
 
 
 def _native(raw: DataFrame) -> DataFrame:
+    names = ["image_id", "algo", "tile_id", "line_no", "text"]
     tokens = F.split(F.trim(F.regexp_replace(F.coalesce("text", F.lit("")), r"[ \t\n\r\x0B\f]+", " ")), " ")
-    plain = F.forall(tokens, lambda t: t.rlike(r"^-?[0-9]{1,15}$"))
-    numbers = F.transform(tokens, lambda t: t.try_cast("bigint"))
-    rows = raw.select("image_id", "algo", "tile_id", "line_no", "text", tokens.alias("tokens"), plain.alias("plain"), numbers.alias("n"))
+    rows = g.once(raw.select(*names), tokens=tokens)
+    rows = g.once(rows, plain=F.forall("tokens", lambda t: t.rlike(r"^-?[0-9]{1,15}$")))
+    rows = g.once(rows, n=F.when(F.col("plain"), F.transform("tokens", lambda t: t.try_cast("bigint"))))
     count = F.size("n")
     even = (count >= 3) & (count % 2 == 1)
-    ring = F.transform(F.sequence(F.lit(1), count - 2, F.lit(2)), lambda k: F.struct(F.get("n", k).alias("x"), F.get("n", k + 1).alias("y")))
-    rows = rows.withColumn("given", F.when(F.col("plain") & even, ring))
-    return rows.select("image_id", "algo", "tile_id", "line_no", "text", F.get("n", F.lit(0)).alias("obj_id"), F.when(F.col("given").isNotNull(), _opened(F.col("given"))).alias("ring"), F.when(~F.col("plain"), "not integers").when(~even, "odd count").alias("early"))
-
-
-def _opened(ring):
-    return F.when((F.size(ring) > 1) & (ring[0] == F.element_at(ring, -1)), F.slice(ring, F.lit(1), F.size(ring) - 1)).otherwise(ring)
-
-
-def _judged(rows: DataFrame) -> DataFrame:
-    reason = F.coalesce(F.col("early"), g.validity(F.col("ring")))
-    ok = reason.isNull()
-    return rows.select("image_id", "algo", "tile_id", "line_no", "text", "obj_id", F.when(ok, g.repaired(F.col("ring"))).alias("ring"), reason.alias("reason"))
+    given = F.transform(F.sequence(F.lit(1), count - 2, F.lit(2)), lambda k: F.struct(F.get("n", k).alias("x"), F.get("n", k + 1).alias("y")))
+    rows = g.once(rows, given=F.when(F.col("plain") & even, given))
+    rows = g.once(rows, bare=F.when(F.col("given").isNotNull(), g.opened(F.col("given"))))
+    early = F.when(~F.col("plain"), "not integers").when(~even, "odd count")
+    rows = g.once(rows, reason=F.coalesce(early, g.validity(F.col("bare"))))
+    rows = g.once(rows, obj_id=F.get("n", F.lit(0)), valid=F.when(F.col("reason").isNull(), F.col("bare")))
+    return g.repaired(rows, "valid", "ring").select(*names, "obj_id", "ring", "reason")
 
 
 def _ring_of(text: str | None) -> tuple[int | None, list[tuple[int, int]] | None, str | None]:
@@ -88,7 +83,7 @@ def _vector(raw: DataFrame) -> DataFrame:
 
 def worked(raw: DataFrame, lane: str = "native") -> DataFrame:
     """Every line with its id, ring or reason."""
-    return _judged(_native(raw)) if lane == "native" else _vector(raw)
+    return _native(raw) if lane == "native" else _vector(raw)
 
 
 def parse_polygons(raw: DataFrame, lane: str = "native") -> tuple[DataFrame, DataFrame]:
