@@ -4,7 +4,8 @@ A character trigram model is counted over all documents. Words that show signs o
 inside letters, stretched letters, single letters with blanks or dots between) become a lattice: each
 character may stand for itself or for the letters it imitates, a run of one letter for one or two of them, a
 separator for nothing. The best path under the character model and the channel's costs is the restored word.
-A logistic model over words (the written and the restored ones) gives the score.
+A logistic model over words and their beginnings (of the written and the restored ones), so that inflected
+forms of one stem count together, gives the score.
 
 Labels are learned only from rows outside the held-out fold, from a sample of at most `per_class` rows of
 each class, the parameter that bounds what the driver gathers. Null and empty texts score the prior.
@@ -14,7 +15,7 @@ from __future__ import annotations
 
 import functools
 import re
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -148,17 +149,22 @@ class Restorer:
                 found.add(low[a:b])
         return found | {m[0] for m in _SPACED.finditer(low)}
 
-    def words(self, text: str | None) -> set[str]:
+    def words(self, text: str | None) -> set[bytes]:
         low = (text or "").lower()
-        out = set(low.translate(_BLANKS).split())
+        out = set(low.encode("utf-8", "surrogatepass").translate(_BLANKS).split())
         for word in self.suspects(low):
             for form in {word.strip(".,;:?\"'%&"), word.strip(_EDGE)}:
                 if 2 <= len(form) <= 64:
-                    out.update(self.read(form).translate(_BLANKS).split())
+                    out.update(self.read(form).encode("utf-8", "surrogatepass").translate(_BLANKS).split())
         return out
 
 
-_BLANKS = {ord(c): " " for c in _EDGE}
+_BLANKS = bytes(32 if chr(c) in _EDGE else c for c in range(256))
+
+
+def features(word: bytes) -> list[bytes]:
+    """The whole word (marked) and its beginnings of 3 to 8 bytes."""
+    return [b"=" + word, *(word[:k] for k in range(3, min(len(word), 9)))]
 
 
 def sampled_ids(labels: DataFrame, per_class: int) -> DataFrame:
@@ -172,35 +178,62 @@ def _fold(column: str):
     return F.crc32(F.col(column).cast("string").cast("binary")) % FOLDS
 
 
-def fit_words(rows: list[tuple[int, list[str]]], prior: float, rounds: int = 150, penalty: float = 0.3) -> tuple[dict[str, float], float]:
-    """Weights of words seen in three rows or more, and the intercept at the given share of class 1."""
-    seen: dict[str, int] = {}
-    for _, words in rows:
-        for w in words:
-            seen[w] = seen.get(w, 0) + 1
-    vocabulary = {w: k for k, w in enumerate(sorted(w for w, n in seen.items() if n >= 3))}
-    y = np.array([label for label, _ in rows], np.float64)
-    if not vocabulary or not 0 < y.sum() < len(y):
+def fit_words(rows: Iterable[tuple[int, int, list[bytes]]], prior: float, rounds: int = 200, penalty: float = 0.1, most: int = 4000) -> tuple[dict[bytes, float], float]:
+    """rows: (id, label, words) -> weights of the `most` features that part the classes best, and the intercept at the given share of class 1."""
+    place: dict[bytes, int] = {}
+    held = []
+    for key, label, words in rows:
+        own = {place.setdefault(f, len(place)) for w in words for f in features(w)}
+        held.append((key, label, np.sort(np.fromiter(own, np.int64, len(own)))))
+    held.sort(key=lambda r: r[:2])
+    y = np.array([label for _, label, _ in held], np.float64)
+    n1 = y.sum()
+    n0 = len(y) - n1
+    if not (n0 and n1):
         return {}, float(np.log(max(prior, 1e-6) / max(1 - prior, 1e-6)))
-    cols = [np.fromiter((vocabulary[w] for w in words if w in vocabulary), np.int64) for _, words in rows]
-    row = np.repeat(np.arange(len(rows)), [len(c) for c in cols])
+    count = [np.bincount(np.concatenate([f for _, label, f in held if label == c]), minlength=len(place)) for c in (0, 1)]
+    share = (count[0] + count[1]) / len(y)
+    z = np.abs(count[1] / n1 - count[0] / n0) / np.sqrt(np.maximum(share * (1 - share), 1e-9) * (1 / n1 + 1 / n0))
+    usable = (count[0] + count[1] >= 4) & (z >= 3.5)
+    names = [(-z[k], f, k) for f, k in place.items() if usable[k]]
+    del place
+    chosen = sorted(names)[:most]
+    vocabulary = {f: k for k, (_, f, _) in enumerate(chosen)}
+    column = np.full(len(z), -1, np.int64)
+    column[[k for _, _, k in chosen]] = np.arange(len(chosen))
+    cols = [c[c >= 0] for c in (column[f] for _, _, f in held)]
+    row = np.repeat(np.arange(len(y)), [len(c) for c in cols])
     col = np.concatenate(cols)
     weight, bias = np.zeros(len(vocabulary)), 0.0
     speed, bias_speed = np.full(len(vocabulary), 1e-6), 1e-6
     for _ in range(rounds):
-        z = np.bincount(row, weight[col], len(rows)) + bias
-        error = 1 / (1 + np.exp(-np.clip(z, -30, 30))) - y
+        score = np.bincount(row, weight[col], len(y)) + bias
+        error = 1 / (1 + np.exp(-np.clip(score, -30, 30))) - y
         slope = np.bincount(col, error[row], len(vocabulary)) + penalty * weight
         speed += slope**2
         weight -= 0.5 * slope / np.sqrt(speed)
         bias_speed += error.sum() ** 2
         bias -= 0.5 * error.sum() / np.sqrt(bias_speed)
-    share = y.mean()
-    bias += np.log(prior / (1 - prior)) - np.log(share / (1 - share)) if 0 < prior < 1 else 0
-    return {w: float(weight[k]) for w, k in vocabulary.items() if abs(weight[k]) > 1e-3}, float(bias)
+    if 0 < prior < 1:
+        bias += np.log(prior / (1 - prior)) - np.log(n1 / n0)
+    return {w: float(weight[k]) for w, k in vocabulary.items()}, float(bias)
+
+
+class _Active(dict):
+    """word -> its features that have a weight; remembered for up to half a million words."""
+
+    def __init__(self, weights: dict[bytes, float]):
+        super().__init__()
+        self.weights = weights
+
+    def __missing__(self, word: bytes) -> tuple[bytes, ...]:
+        if len(self) > 500_000:
+            self.clear()
+        self[word] = found = tuple(f for f in features(word) if f in self.weights)
+        return found
 
 
-def train(docs: DataFrame, labels: DataFrame, per_class: int = 3000, id_col: str = "doc_id", text_col: str = "text") -> tuple[np.ndarray, dict[str, float], float]:
+def train(docs: DataFrame, labels: DataFrame, per_class: int = 2000, id_col: str = "doc_id", text_col: str = "text") -> tuple[np.ndarray, dict[bytes, float], float]:
     """(character model, word weights, intercept)."""
     spark = docs.sparkSession
     model = log_model(count_trigrams(docs, text_col))
@@ -211,23 +244,23 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = 3000, id_col: str
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         restorer = Restorer(box.value)
         for batch in chunks(batches):
-            yield pa.RecordBatch.from_arrays([batch.column(1), pa.array([sorted(restorer.words(t)) for t in batch.column(0).to_pylist()], pa.list_(pa.string()))], names=["toxic", "words"])
+            yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), pa.array([sorted(restorer.words(t)) for t in batch.column(0).to_pylist()], pa.list_(pa.binary()))], names=["toxic", "doc_id", "words"])
 
     own = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
-    sample = own.join(chosen, "doc_id").select("text", F.col("toxic").cast("int").alias("toxic")).mapInArrow(run, "toxic int, words array<string>")
-    rows = [(r.toxic, r.words) for r in sample.toLocalIterator()]
-    return model, *fit_words(sorted(rows), 0.5 if share is None else float(share))
+    sample = own.join(chosen, "doc_id").select("text", F.col("toxic").cast("int").alias("toxic"), "doc_id").mapInArrow(run, "toxic int, doc_id long, words array<binary>")
+    rows = ((r.doc_id, r.toxic, [bytes(w) for w in r.words]) for r in sample.toLocalIterator())
+    return model, *fit_words(rows, 0.5 if share is None else float(share))
 
 
-def score_documents(docs: DataFrame, fitted: tuple[np.ndarray, dict[str, float], float], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score_documents(docs: DataFrame, fitted: tuple[np.ndarray, dict[bytes, float], float], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per row of docs; map-only."""
     box = docs.sparkSession.sparkContext.broadcast(fitted)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model, weights, bias = box.value
-        restorer, get = Restorer(model), weights.get
+        restorer, known = Restorer(model), _Active(weights)
         for batch in chunks(batches):
-            z = np.array([bias + sum(map(get, filter(weights.__contains__, restorer.words(t)))) for t in batch.column(2).to_pylist()])
+            z = np.array([bias + sum(weights[f] for f in set().union(*map(known.__getitem__, restorer.words(t)))) for t in batch.column(2).to_pylist()])
             score = 1 / (1 + np.exp(-np.clip(z, -500, 500)))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(score), pa.array((score >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
