@@ -21,6 +21,8 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .shared import broadcast_if_small, saved
+
 
 @dataclass(frozen=True)
 class Seeds:
@@ -70,8 +72,8 @@ def contaminated_pairs(docs: DataFrame, benchmark: DataFrame, seeds: Seeds = See
     if tests.count() <= seeds.broadcast_rows:
         tests = F.broadcast(tests)
     trains = _seed_rows(own.select("doc_key", _words(F.col("text")).alias("words")), "words", ["doc_key"], seeds)
-    hits = trains.join(tests, ["mask", "seed"]).groupBy("doc_key", "item_key", (F.col("place") - F.col("item_place")).alias("shift")).agg(F.count(F.lit(1)).alias("hits"))
-    found = hits.select("doc_key").distinct()
+    hits = saved(trains.join(tests, ["mask", "seed"]).groupBy("doc_key", "item_key", (F.col("place") - F.col("item_place")).alias("shift")).agg(F.count(F.lit(1)).alias("hits")), "hits")
+    found = broadcast_if_small(hits.select("doc_key").distinct(), "found")
     texts = own.join(found, "doc_key", "left_semi").dropDuplicates(["doc_key"]).select("doc_key", "doc_id", _words(F.col("text")).alias("words"))
     lines = hits.join(items, "item_key").join(texts, "doc_key")
     begin, end = F.greatest(F.lit(0), -F.col("shift")), F.least(F.size("item"), F.size("words") - F.col("shift"))
@@ -89,5 +91,5 @@ def contaminated_pairs(docs: DataFrame, benchmark: DataFrame, seeds: Seeds = See
 
 def without_contaminated(docs: DataFrame, benchmark: DataFrame, seeds: Seeds = Seeds(), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs without the rows that overlap a benchmark item."""
-    flagged = contaminated_pairs(docs, benchmark, seeds, id_col, text_col).select(F.col("doc_key").alias("_flagged")).distinct()
+    flagged = broadcast_if_small(contaminated_pairs(docs, benchmark, seeds, id_col, text_col).select(F.col("doc_key").alias("_flagged")).distinct(), "flagged")
     return docs.join(flagged, row_key(docs[id_col], docs[text_col]) == flagged["_flagged"], "left_anti")
