@@ -53,7 +53,7 @@ def geo_mean(column: Column) -> Column:
     return F.exp(F.avg(F.ln(column)))
 
 
-def profile_query(p: DataFrame, q: DataFrame, variant: str = "rewritten") -> list[tuple[str, float, float]]:
+def profile_query(p: DataFrame, q: DataFrame, variant: str = "rewritten", runs: int = 3) -> list[tuple[str, float, float]]:
     """(component, seconds, share) of a comparison query: prefixes of the plan are timed and subtracted."""
     pairs = lambda: pairing.candidate_pairs(p, q)
     steps: list[tuple[str, DataFrame]] = [("index", pairing.with_boxes(p).unionByName(pairing.with_boxes(q))), ("search", pairs())]
@@ -64,7 +64,7 @@ def profile_query(p: DataFrame, q: DataFrame, variant: str = "rewritten") -> lis
     else:
         steps.append(("polygon areas", pairs().withColumns({"a": g.ring_area(F.col("ring_p")), "b": g.ring_area(F.col("ring_q"))})))
         steps.append(("intersection area", vector.overlay_areas(pairs())))
-    seconds = [best_of(lambda df=df: df) for _, df in steps]
+    seconds = [best_of(lambda df=df: df, runs) for _, df in steps]
     own = [seconds[0], *(max(0.0, b - a) for a, b in zip(seconds, seconds[1:], strict=False))]
     if variant != "plain":
         own[-1] = max(0.0, seconds[-1] - seconds[1])
