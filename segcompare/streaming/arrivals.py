@@ -18,10 +18,19 @@ from ..sources.fixtures import cells, tile_arrivals
 from ..storage import new_path
 
 def stage_arrivals(spark: SparkSession, sf_dir: str, files: int = 4) -> str:
-    """Arrival records written as `files` files in order of arrival; returns their folder."""
+    """Arrival records written as `files` files, one after another in order of arrival; returns their folder.
+
+    A file stream takes files by their time of change, so the order of writing bounds how late a record comes.
+    """
     path = new_path(spark, "arrivals")
     arrivals = tile_arrivals(spark, sf_dir).withColumns({c: F.col(c).cast("timestamp") for c in ("event_time", "arrival")})
-    arrivals.repartitionByRange(files, "arrival").sortWithinPartitions("arrival", "event_id").write.parquet(path)
+    at = F.unix_micros("arrival")
+    cuts = arrivals.agg(F.percentile_approx(at, [k / files for k in range(1, files)])).first()[0] or []
+    bounds = [None, *sorted(set(cuts)), None]
+    for lo, hi in zip(bounds, bounds[1:], strict=False):
+        part = arrivals if lo is None else arrivals.filter(at > lo)
+        part = part if hi is None else part.filter(at <= hi)
+        part.coalesce(1).sortWithinPartitions("arrival", "event_id").write.mode("append").parquet(path)
     return path
 
 
