@@ -13,6 +13,7 @@ from .operators import general, index, pairing, relate, similarity
 from .plans import metrics, pipeline, rebalance
 from .sources import fixtures as fx
 from .sources import io, parse
+from .storage import materialised
 from .streaming import arrivals
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -304,9 +305,9 @@ def area_layouts(s, d):
     return _sums([(name, "layout", vector.hybrid_areas(pairs, o)) for name, o in LAYOUTS.items()])
 
 
-def _sampled(s: SparkSession, d: str) -> DataFrame:
-    """The pairs of two tiles, the stress set."""
-    return _pairs(s, d).filter("image_id = 17 AND tile_id < 2")
+def _kept_pairs(s: SparkSession, d: str) -> DataFrame:
+    """All pairs, joined once for a sweep's many settings."""
+    return materialised(_pairs(s, d), "pairs")
 
 
 METHODS = [Options(pixels_only=True, union="direct"), Options(union="direct"), Options()]
@@ -314,13 +315,13 @@ METHODS = [Options(pixels_only=True, union="direct"), Options(union="direct"), O
 
 @query
 def work_scale(s, d):
-    return metrics.sweep(_sampled(s, d), [1, 2, 3, 4, 5], METHODS)
+    return metrics.sweep(_kept_pairs(s, d), [1, 2, 3, 4, 5], METHODS)
 
 
 @query
 def work_threshold(s, d):
     settings = [Options(fan_out=n, threshold=t) for n in (16, 64, 256) for t in sorted({n // 4, n, n * n // 8, n * n // 2, n * n})]
-    return metrics.sweep(_sampled(s, d), [1, 3, 5], settings)
+    return metrics.sweep(_kept_pairs(s, d), [1, 3, 5], settings)
 
 
 @query
