@@ -1,6 +1,6 @@
 """Language-model scores by prediction by partial matching over bytes.
 
-A trie of byte contexts up to `order` bytes long (4 unless set, 7 at most) predicts each byte of a text. Where a context has not seen the
+A trie of byte contexts up to `order` bytes long (5 unless set, 7 at most) predicts each byte of a text. Where a context has not seen the
 byte, the model escapes to the next shorter one, and the bytes that the longer context has seen are excluded
 there. Escape estimates: "A" 1 / (T + 1), "C" D / (T + D), "D" D / 2T, for T bytes seen, D of them distinct.
 
@@ -23,6 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -96,6 +97,20 @@ def code_lengths(grams: np.ndarray, counts: np.ndarray, pairs: np.ndarray, metho
     return np.log10(np.maximum(probability, 1e-300))
 
 
+def _by_contexts(every: np.ndarray, total: np.ndarray, pairs: np.ndarray, method: str, order: int, room: int = 1 << 19) -> np.ndarray:
+    """code_lengths of a partition, in runs of whole two-byte contexts of about `room` strings."""
+    context = ((every >> U64(8)) & U64(0xFFFF)).astype(np.uint16)
+    by_context = np.argsort(context, kind="stable")
+    sizes = np.bincount(context)
+    ends = np.cumsum(sizes[sizes > 0])
+    cuts = ends[np.flatnonzero(np.diff(ends // room))]
+    value = np.empty(len(every), np.float32)
+    for run in np.split(by_context, cuts):
+        run.sort()  # strings stay in order
+        value[run] = code_lengths(every[run], total[run], pairs, method, order)
+    return value
+
+
 def adaptive_log10(text: bytes, order: int = 4, method: str = "C") -> float:
     """log10 probability of a text under a trie that starts empty and learns byte by byte."""
     trie: dict[bytes, dict[int, int]] = {}
@@ -184,7 +199,8 @@ def _gather(parts: int, order: int):
         for batch in chunks(iter(docs.to_batches()), room=2 << 20):
             texts, learn = _texts(batch), np.array(batch.column(3).to_pylist(), bool)
             grams, sizes = _grams(texts, order)
-            found[0].append(_counts(grams, np.repeat(learn, sizes)))
+            found[0] = [_merge([*found[0], _counts(grams, np.repeat(learn, sizes))])]
+            del grams
             words = [[*t.split(), _END] for t in texts]
             found[1].append(_counts(hasher([w for x in words for w in x]), np.repeat(learn, [len(w) for w in words])))
         rows = []
@@ -218,7 +234,7 @@ def _settle(pairs: np.ndarray, method: str, order: int):
         counts = [np.frombuffer(b, np.uint32) for b in table.column("counts").to_pylist()]
         every, at = np.unique(np.concatenate(keys), return_inverse=True)
         total = np.bincount(at, np.concatenate(counts), len(every)).astype(np.int64)
-        value = code_lengths(every, total, pairs, method, order).astype(np.float32) if kind == 0 else total
+        value = _by_contexts(every, total, pairs, method, order) if kind == 0 else total
         rows, begin = [], 0
         part = table.column("part")[0].as_py()
         for bucket, k, c in zip(table.column("bucket").to_pylist(), keys, counts, strict=True):
@@ -234,19 +250,27 @@ def _settle(pairs: np.ndarray, method: str, order: int):
     return run
 
 
+def _told(told: pa.Table, kind: int, values: type) -> tuple[np.ndarray, np.ndarray]:
+    """A kind's keys in order, and what was settled for them; packed rows are read in place."""
+    rows = told.filter(pa.compute.equal(told.column("kind"), kind))
+    packed = [(k.as_buffer(), v.as_buffer()) for k, v in zip(rows.column("keys"), rows.column("counts"), strict=True)]
+    keys, value, begin = np.empty(sum(k.size for k, _ in packed) // 8, U64), np.empty(sum(v.size for _, v in packed) // np.dtype(values).itemsize, values), 0
+    for k, v in packed:
+        n = k.size // 8
+        np.cumsum(np.frombuffer(k, U64), dtype=U64, out=keys[begin : begin + n])
+        value[begin : begin + n] = np.frombuffer(v, values)
+        begin += n
+    order = np.argsort(keys)
+    return keys[order], value[order]
+
+
 def _score(tokens: int, distinct: int, order: int):
     """Cogroup: a bucket's documents and what the corpus tells of their strings and words -> scores."""
     divisor = np.log10(tokens + 0.5 * (distinct + 1))
 
     def run(docs: pa.Table, told: pa.Table) -> pa.Table:
-        parts: dict[int, list] = {0: [], 1: []}
-        for kind, k, v in zip(told.column("kind").to_pylist(), told.column("keys").to_pylist(), told.column("counts").to_pylist(), strict=True):
-            parts[kind].append((_unsqueezed(k), np.frombuffer(v, np.float32 if kind == 0 else np.int64)))
-        join = lambda kind, *types: tuple(np.concatenate([p[i] for p in parts[kind]]) if parts[kind] else np.empty(0, t) for i, t in enumerate(types))
-        strings, lengths = join(0, U64, np.float32)
-        by_string = np.argsort(strings)
-        strings, lengths = strings[by_string], lengths[by_string]
-        hashes, corpus = join(1, U64, np.int64)
+        strings, lengths = _told(told, 0, np.float32)
+        hashes, corpus = _told(told, 1, np.int64)
         hasher = WordHasher()
         # the bucket's own counts hold for the words that no other bucket has learned
         own: list[tuple[np.ndarray, np.ndarray]] = []
@@ -292,7 +316,7 @@ def _pairs(docs: DataFrame) -> np.ndarray:
     return out.reshape(256, 256)
 
 
-def score_documents(docs: DataFrame, method: str = "D", order: int = 4, held_fold: int = 1, bucket_bytes: int = 10 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score_documents(docs: DataFrame, method: str = "D", order: int = 5, held_fold: int = 1, bucket_bytes: int = 10 << 20, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Pretrained scores of all rows, learned from the rows outside the held-out fold."""
     if not 2 <= order <= 7:
         raise ValueError("contexts have 2 to 7 bytes")

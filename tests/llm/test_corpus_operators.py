@@ -210,6 +210,27 @@ def test_ppm_edges(spark, docs):
         assert np.bincount(np.unique(every >> 8, return_inverse=True)[1], p) == pytest.approx(1)
 
 
+def test_ppm_contexts_of_five_bytes(spark):
+    # what five bytes tell apart, four do not
+    rows = [(k, "a12345x b23456y " * 20 if k % 2 else "c12345z d23456w " * 20) for k in range(40)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    train = [t.encode() for k, t in rows if zlib.crc32(str(k).encode()) % 5 != 1]
+    got = {r.doc_id: r.score for r in ppm.score_documents(df).collect()}
+    for k in (0, 1):
+        assert got[k] == pytest.approx(brute_ppm(train, rows[k][1].encode(), "D", 5), rel=1e-5)
+        assert got[k] > brute_ppm(train, rows[k][1].encode(), "D", 4) + 1
+
+
+def test_ppm_runs_of_contexts_do_not_show():
+    grams, sizes = ppm._grams([b"the old mill by the river and the new hill " * 3, b"another text of words"], 5)
+    every, total = np.unique(grams, return_counts=True)
+    one, _ = ppm._grams([b"the old mill by the river and the new hill " * 3, b"another text of words"], 1)
+    pairs = np.bincount(one.astype(np.int64), minlength=1 << 16).reshape(256, 256)
+    whole = ppm.code_lengths(every, total, pairs, "D", 5)
+    for room in (1, 20, 1 << 19):
+        assert ppm._by_contexts(every, total, pairs, "D", 5, room) == pytest.approx(whole, rel=1e-6)
+
+
 def test_ppm_adaptive_learns(spark):
     a, b = ppm.adaptive_log10(b"abcabcabcabc"), ppm.adaptive_log10(b"qwertzuiopas")
     assert b < a < 0
