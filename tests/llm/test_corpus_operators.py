@@ -336,6 +336,34 @@ def test_decontamination(spark):
     assert decontamination.contaminated_pairs(docs, bench.filter("false")).count() == 0
 
 
+def test_masks_miss_no_accepted_placement():
+    seeds = decontamination.Seeds()
+    for n in range(seeds.least, seeds.window + 1):
+        spare = max(e for e in range(n) if 100 * (n - e) >= seeds.percent * n)
+        for gone in itertools.combinations(range(n), spare):
+            assert any(not {i + o for o in m} & set(gone) for m in seeds.masks for i in range(n - max(m))), (n, gone)
+
+
+def test_decontamination_without_regard_to_masks(spark):
+    rng = random.Random(12)
+    items = [(n, " ".join(f"i{n}w{k}x" for k in range(n))) for n in (8, 9, 10, 11, 12, 13, 30)]
+    rows, want = [], set()
+    for n, text in items:
+        need = min(13, n)
+        for e in range(6):
+            for _ in range(12):
+                part = text.split()[:need]
+                for k in rng.sample(range(need), e):
+                    part[k] = "changed"
+                rows.append((len(rows), " ".join(["before", "it", *part, "and", "after"])))
+                if 100 * (need - e) >= 75 * need:
+                    want.add((rows[-1][0], n))
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    bench = spark.createDataFrame(items, "item_id long, text string")
+    got = {(r.doc_id, r.item_id) for r in decontamination.contaminated_pairs(docs, bench).collect()}
+    assert got == want
+
+
 def test_pipeline_matches_brute_force(spark, tmp_path):
     rng = random.Random(13)
     vocabulary = [f"{a}{b}{c}" for a in "bdfg" for b in "aeiou" for c in "lmnrst"]
