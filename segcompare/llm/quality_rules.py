@@ -26,12 +26,16 @@ SYMBOLS = "#*$%&|<>"
 
 @dataclass(frozen=True)
 class Limits:
-    """min_repeat: words of a repeat that counts; max_share: of words under repeats; max_longest: words of one repeat."""
+    """min_repeat: words of a repeat that counts; max_share: of words under repeats; max_longest: words of one repeat.
+
+    Words under repeats are among those of repeated three-word windows, of which the base rule allows half: max_share
+    acts below that only.
+    """
 
     min_words: int = 50
     min_repeat: int = 8
-    max_share: float = 0.5
-    max_longest: int = 400
+    max_share: float = 0.3
+    max_longest: int = 100
 
 
 def repeat_lengths(ids: np.ndarray, docs: np.ndarray) -> np.ndarray:

@@ -59,6 +59,16 @@ def test_quality_base_counts(spark, odd):
     assert quality_rules.judge_documents(odd.filter("false")).count() == 0
 
 
+def test_quality_method_rejects_what_the_base_rule_keeps():
+    new = lambda n, c: [f"{c}{k}" for k in range(n)]
+    shared, long_one = new(40, "s"), new(120, "l")
+    texts = [new(120, "a") + shared + shared, new(760, "b") + long_one + ["between"] + long_one, new(160, "c") + new(20, "d") * 2]
+    got = quality_rules._judge([" ".join(w).encode() for w in texts], quality_rules.Limits())
+    assert list(got["base_failed"]) == [False] * 3
+    assert list(got["kept"]) == [False, False, True]
+    assert list(got["longest_repeat"]) == [40, 120, 20] and got["repeat_share"][0] == 0.4
+
+
 def test_quality_duplicate_lines(spark):
     df = spark.createDataFrame([(1, "a b\n\n \na b\nc\na b\nc ")], "doc_id long, text string")
     assert quality_rules.judge_documents(df).first().n_dup_lines == 2
