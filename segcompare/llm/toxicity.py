@@ -85,7 +85,7 @@ IMITATES = {"0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "g
 _SIGNS = re.escape("".join(IMITATES))
 _LEET = re.compile(rf"[^\W\d_][{_SIGNS}]+[^\W_]|(?<!\S)[@$|(<€£¡0-9]+[^\W\d_]{{2}}|[^\W\d_]{{2}}[@$|€£0-9!]+(?=[\s.,;:?]|$)")
 _STRETCH = re.compile(r"([^\W\d_])\1\1")
-_SPACED = re.compile(rf"(?<![^\s])[^\W_{_SIGNS}](?:[ ._*~-][\w{_SIGNS}]){{2,31}}(?![^\s.,;:!?])")
+_SPACED = re.compile(rf"(?<![^\s])[^\W_{_SIGNS}](?:[ ._*~-][\w{_SIGNS}]){{2,}}(?![^\s.,;:!?])")
 _EDGE = ".,;:!?\"'()[]{}%&*#<>|$ \t\n"
 _COST = {"keep": 0.0, "imitate": 0.7, "sign": 6.0, "shrink": 0.4, "join": 0.3, "blank": 1.5}
 
@@ -115,10 +115,11 @@ def viterbi(word: str, model: np.ndarray) -> str:
         o = ord(c)
         return int(ALPHABET[o]) if o < 256 else 0
 
-    best: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
+    # a reading is a chain of its last piece and the reading before it, so the work is linear in the length
+    best: dict[tuple[int, int], tuple[float, tuple | None]] = {(0, 0): (0.0, None)}
     for ways in [*lattice(word), [(" ", 0.0)]]:
-        step: dict[tuple[int, int], tuple[float, str]] = {}
-        for (a, b), (cost, text) in best.items():
+        step: dict[tuple[int, int], tuple[float, tuple | None]] = {}
+        for (a, b), (cost, before) in best.items():
             for way, price in ways:
                 total, x, y = cost + price, a, b
                 for c in way:
@@ -126,25 +127,38 @@ def viterbi(word: str, model: np.ndarray) -> str:
                     total -= float(model[x, y, z])
                     x, y = y, z
                 if (x, y) not in step or total < step[x, y][0]:
-                    step[x, y] = (total, text + way)
+                    step[x, y] = (total, (way, before))
         best = step
-    return min(best.values())[1].strip()
+    least = min(cost for cost, _ in best.values())
+    return min(_spelled(chain) for cost, chain in best.values() if cost == least).strip()
+
+
+def _spelled(chain: tuple | None) -> str:
+    out = []
+    while chain:
+        way, chain = chain
+        out.append(way)
+    return "".join(reversed(out))
 
 
 class Restorer:
-    """Words of a text, lower-cased, with the restored forms of disguised ones; readings are remembered."""
+    """Words of a text, lower-cased, with the restored forms of disguised ones; short ones' readings are remembered."""
 
     def __init__(self, model: np.ndarray):
+        self.model = model
         self.read = functools.lru_cache(200_000)(lambda word: viterbi(word, model))
 
     def suspects(self, low: str) -> set[str]:
         found, size = set(), len(low)
         for pattern in (_LEET, _STRETCH):
+            a = b = 0
             for m in pattern.finditer(low):
+                if m.end() <= b:
+                    continue  # in the same word
                 a, b = m.start(), m.end()
-                while a and not low[a - 1].isspace() and m.start() - a < 40:
+                while a and not low[a - 1].isspace():
                     a -= 1
-                while b < size and not low[b].isspace() and b - m.end() < 40:
+                while b < size and not low[b].isspace():
                     b += 1
                 found.add(low[a:b])
         return found | {m[0] for m in _SPACED.finditer(low)}
@@ -154,8 +168,8 @@ class Restorer:
         out = set(low.encode("utf-8", "surrogatepass").translate(_BLANKS).split())
         for word in self.suspects(low):
             for form in {word.strip(".,;:?\"'%&"), word.strip(_EDGE)}:
-                if 2 <= len(form) <= 64:
-                    out.update(self.read(form).encode("utf-8", "surrogatepass").translate(_BLANKS).split())
+                if len(form) >= 2:
+                    out.update((self.read(form) if len(form) <= 64 else viterbi(form, self.model)).encode("utf-8", "surrogatepass").translate(_BLANKS).split())
         return out
 
 

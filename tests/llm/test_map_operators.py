@@ -216,6 +216,23 @@ def test_pii_rows(spark, odd):
     assert pii.mask("mail a@b.c now", [("email", 5, 10)]) == "mail <EMAIL> now"
 
 
+def test_toxicity_long_disguised_runs():
+    plain = "the long walk by the river and the old mill on the hill was soft and green you are an idiot said the man " * 40
+    s = toxicity._symbols("  " + plain + "  ")
+    n = toxicity._SIZE
+    model = toxicity.log_model(np.bincount(s[:-2] * n * n + s[1:-1] * n + s[2:], minlength=n**3).reshape(n, n, n))
+    letters = "thelongwalkbytheriverandtheoldmillonthehillwassoftandgreenyouareanidiot"
+    for sign in ".-*_~ ":
+        run = sign.join(letters)
+        assert toxicity.Restorer(model).suspects(f"so {run} now") >= {run}
+        read = toxicity.viterbi(run, model)
+        assert read.replace(" ", "") == letters and "idiot" in read.split()
+        assert b"idiot" in toxicity.Restorer(model).words(f"so {run} now")
+    token = "x" * 5 + "-" + "the" * 30 + "-1d10t"  # one token of more than 64 characters
+    assert toxicity.Restorer(model).suspects(f"so {token} !") == {token}
+    assert len(toxicity.viterbi(".".join(letters * 60), model).replace(" ", "")) == 60 * len(letters)
+
+
 def test_toxicity_restores_and_scores(spark):
     rng = random.Random(4)
     plain = ["the rain in the hills was soft and green", "a long walk by the river and the old mill", "the market sells bread and salt and honey"]
