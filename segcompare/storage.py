@@ -11,12 +11,11 @@ _local: list[str] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The session's checkpoint folder; a folder of this process only where none is set, as in tests."""
-    configured = spark.conf.get("spark.checkpoint.dir", None)
-    if not configured:
-        current = spark.sparkContext._jsc.sc().getCheckpointDir()
-        configured = current.get() if current.isDefined() else None
+    """The session's checkpoint folder; in local mode without one, as in tests, a folder of this process."""
+    configured = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not configured:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         if not _local:
             _local.append("file://" + tempfile.mkdtemp(prefix="segcompare-"))
         configured = _local[0]
