@@ -87,11 +87,10 @@ def test_ngram_join_is_exact(docs, rows, n, percent, block):
     assert got == brute_components(rows, n, percent)
 
 
-def test_join_keys_meet_for_all_linked_sets():
+def test_prefixes_meet_for_all_linked_sets():
     rng = random.Random(7)
     for _ in range(3000):
         rule = ngram_join.Rule(3, rng.choice([50, 80, 90, 95]))
-        classes = ngram_join.SizeClasses(rule)
         base = {rng.getrandbits(64) for _ in range(rng.randint(1, 60))}
         other = set(base)
         for _ in range(rng.randint(0, 6)):
@@ -100,8 +99,26 @@ def test_join_keys_meet_for_all_linked_sets():
             else:
                 other.add(rng.getrandbits(64))
         if other != base and 100 * len(base & other) >= rule.percent * len(base | other):
-            a, b = (ngram_join.join_keys(np.array(sorted(s), np.uint64), classes) for s in (base, other))
-            assert set(a.tolist()) & set(b.tolist())
+            held = {x: rng.randint(1, 3) for x in base | other}  # any count gives an order
+            prefixes = []
+            for s in (base, other):
+                keys = ngram_join.ranked_part(np.array(sorted(s), np.uint64), rule).tolist()
+                keys.sort(key=lambda x: (x >= rule.head, held[x] if x < rule.head else 0, x))
+                prefixes.append(set(keys[: rule.prefix(len(s))]))
+            assert prefixes[0] & prefixes[1]
+
+
+def test_ngram_join_without_broadcasts_and_with_hot_ngrams(spark):
+    rng = random.Random(17)
+    phrase = " ".join(f"common{k}" for k in range(12))
+    rows = [(k, " ".join([*(f"u{k}x{j}" for j in range(8)), phrase])) for k in range(2600)]
+    rows += [(5000 + k, " ".join([phrase, phrase.upper(), *(rng.choice("abc") for _ in range(2))])) for k in range(40)]
+    rows += [(None, "only null ids here now"), (None, "only null ids here now"), (7000, rows[3][1]), (7001, rows[3][1] + " tail")]
+    rule = ngram_join.Rule(3, 80, broadcast_rows=0)
+    got = sorted(((r.doc_id if r.doc_id is not None else -1, r.n_shingles, r.component_id if r.component_id is not None else -1, r.n_links) for r in ngram_join.linked_documents(spark.createDataFrame(rows, "doc_id long, text string").repartition(6), rule).collect()))
+    want = brute_components([(-1 if k is None else k, t) for k, t in rows if k is None or k >= 5000 or k in (3, 4)], 3, 80)
+    assert [r for r in got if r[0] in {x[0] for x in want}] == want
+    assert all(r[2] == r[0] and r[3] == 0 for r in got if 4 < r[0] < 2600)
 
 
 def test_ngram_join_edges(spark, docs):
@@ -115,8 +132,9 @@ def test_ngram_join_edges(spark, docs):
 
 def test_components_of_a_path_and_a_star(spark):
     edges = [(k, k + 1) for k in range(40)] + [(1000, 1000 + k) for k in range(1, 50)] + [(7, 7)]
-    got = dict(ngram_join.components(spark.createDataFrame(edges, "a long, b long")).collect())
-    assert got == {k: 0 for k in range(41)} | {1000 + k: 1000 for k in range(50)}
+    for one_task in (0, 10_000):
+        got = dict(ngram_join.components(spark.createDataFrame(edges, "a long, b long"), one_task).collect())
+        assert got == {k: 0 for k in range(41)} | {1000 + k: 1000 for k in range(50)}
 
 
 def brute_substring(rows, span):
