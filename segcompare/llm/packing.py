@@ -2,11 +2,14 @@
 
 Each task packs its own rows as they come. A document first fills whole sequences; what is left over goes
 to the fill level whose use makes the sum of squared counts of partly filled sequences smallest, with the
-counts in one array by level. When the rows end, the sequences that are still open are joined into full
-ones by cutting pieces, and the last remainder is cut into powers of two, which need no padding.
+counts in one array by level. A sequence that this fills is complete. When the rows end, the open sequences
+are finished from the level array: the fullest stay as the rule placed them, and the pieces of the least
+filled ones are cut to fill them; the last remainder is cut into powers of two, which need no padding.
 
 Nothing is shuffled; a sequence id is the task's number and a running number, so a task that is run again
-gives the same ids. A null or empty text has the closing id alone. Ties take the highest fill level.
+gives the same ids. Defined results: a null or empty text has the closing id alone; ties of the rule take the
+highest fill level; repeated rows (same id or not) are packed each; a null id stays null; an empty table gives
+no rows; a very long text is a run of whole sequences and one remainder; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -65,19 +68,36 @@ def _powers(n: int) -> list[int]:
     return [1 << k for k in range(n.bit_length() - 1, -1, -1) if n >> k & 1]
 
 
-def refill(pieces: list[tuple], room: int, new) -> list[tuple]:
-    """Pieces of open sequences dealt one after another to full sequences; the rest to powers of two."""
-    total = sum(p[2] for p in pieces)
-    sizes = [room] * (total // room) + _powers(total % room)
-    out, k, used = [], 0, 0
-    sequence = new() if sizes else None
-    for doc, start, length, ids, doc_tokens in pieces:
-        while length:
-            if used == sizes[k]:
-                k, used, sequence = k + 1, 0, new()
-            take = min(length, sizes[k] - used)
-            out.append((doc, start, take, ids[:take], doc_tokens, sequence, used))
-            ids, start, length, used = ids[take:], start + take, length - take, used + take
+def finish(sequences: dict[int, list[tuple]], room: int, new) -> list[tuple]:
+    """Pieces (document, start, length, ids, its tokens, offset) by open sequence -> all pieces with their sequence and offset.
+
+    The fullest sequences keep what they hold and are filled up from the least filled ones, whose pieces are
+    cut as needed; what is left when these meet lies in powers of two.
+    """
+    fill = {s: sum(p[2] for p in pieces) for s, pieces in sequences.items()}
+    order = sorted(sequences, key=lambda s: (-fill[s], s))
+    total = sum(fill.values())
+    # as many sequences stay as can be filled by the others
+    stay, held = 0, 0
+    while stay < len(order) and total >= (stay + 1) * room:
+        stay += 1
+    out = [(*p[:5], s, p[5]) for s in order[:stay] for p in sequences[s]]
+    gaps = [(s, fill[s], room) for s in order[:stay]]
+    held = total - stay * room
+    for size in _powers(held):
+        gaps.append((new(), 0, size))
+    at = 0
+    for s in order[stay:]:
+        for doc, start, length, ids, doc_tokens, _ in sequences[s]:
+            while length:
+                sequence, used, size = gaps[at]
+                take = min(length, size - used)
+                if take:
+                    out.append((doc, start, take, ids[:take], doc_tokens, sequence, used))
+                    ids, start, length, used = ids[take:], start + take, length - take, used + take
+                    gaps[at] = (sequence, used, size)
+                if used == size:
+                    at += 1
     return out
 
 
@@ -103,8 +123,7 @@ def _pack_rows(batches: Iterator[pa.RecordBatch], room: int, path: str | None, e
                     del fill[sequence]
                     rows += [(d, s, m, zlib.crc32(x), all_, base + sequence, o) for d, s, m, x, all_, o in held.pop(sequence)]
         yield rows
-    rest = [p[:5] for sequence in sorted(held) for p in held[sequence]]
-    yield [(d, s, m, zlib.crc32(np.ascontiguousarray(x)), all_, base + sequence, o) for d, s, m, x, all_, sequence, o in refill(rest, room, packer.new)]
+    yield [(d, s, m, zlib.crc32(np.ascontiguousarray(x)), all_, base + sequence, o) for d, s, m, x, all_, sequence, o in finish(held, room, packer.new)]
 
 
 def pack_documents(docs: DataFrame, room: int = 1024, tokenizer_path: str | None = None, end_id: int = 0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
