@@ -2,10 +2,11 @@
 
 A conversation's turns, in order of (turn, role, text), get prefix sums of their token costs. New turns are
 cut into spans by these sums: short turns whose sums fall into the same stride share a span, a turn longer
-than a stride has one of its own. Each span becomes a window: the conversation's system turn (where it leads
-and is short enough to be repeated), then as much history before the span as the history budget allows, then
-the span. Loss falls on the assistant texts of the span only; what is repeated is masked. A window exceeds
-the budget only where a single turn does; turns are never cut, dropped or sampled.
+than a stride has one of its own. Each span becomes a window: the conversation's leading system turn, then as
+much history before the span as the history budget allows, then the span. A long system turn is repeated too and
+shortens its conversation's stride, down to the history budget. Loss falls on the assistant texts of the span
+only; what is repeated is masked. A window exceeds the budget only where a single turn is longer than a stride, or
+a system turn leaves less than three history budgets; turns are never cut, dropped or sampled.
 
 Prefix sums run in two levels (within blocks of turn numbers, then over the blocks' sums), so that one very
 long conversation is spread over tasks.
@@ -24,10 +25,12 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .shared import matched, saved
+
 
 @dataclass(frozen=True)
 class Budget:
-    """Tokens of a window, of its history, and of a system turn that is repeated."""
+    """Tokens of a window, of its history, and of a system turn that does not shorten the stride."""
 
     tokens: int = 1024
     history: int = 128
@@ -43,6 +46,10 @@ class Budget:
     def stride(self) -> int:
         return (self.tokens - self.history - self.system) // 2
 
+    def stride_beside(self, system: Column) -> Column:
+        """The stride of a conversation whose leading system turn costs so much."""
+        return F.greatest(F.lit(self.history), F.floor((F.lit(self.tokens - self.history) - F.greatest(F.lit(self.system), system)) / 2)).cast("long")
+
 
 def escape(text: Column) -> Column:
     return F.regexp_replace(text, r"([\\<|])", r"\\$1")
@@ -58,7 +65,7 @@ def token_cost(text: Column, per_turn: int) -> Column:
 
 
 def _ordered(turns: DataFrame, budget: Budget, cost: Column | None) -> DataFrame:
-    """conv_id, k (the id, never null), ord from 1, role, text, cost, before (cost of the turns before), longs (long turns before), is_long."""
+    """conv_id, k (the id, never null), stride, ord from 1, role, text, cost, before (cost of the turns before), longs (long turns before), is_long."""
     base = turns.select(
         turns["conv_id"].cast("long").alias("conv_id"),
         turns["turn"].cast("long").alias("turn"),
@@ -69,7 +76,11 @@ def _ordered(turns: DataFrame, budget: Budget, cost: Column | None) -> DataFrame
     if cost is None:
         base = base.withColumn("cost", token_cost(F.col("text"), budget.per_turn))
     low = F.lit(-(1 << 63))
-    base = base.withColumns({"k": F.coalesce("conv_id", low), "block": F.coalesce(F.floor(F.col("turn") / budget.block), low), "is_long": (F.col("cost") > budget.stride).cast("long")})
+    base = base.withColumns({"k": F.coalesce("conv_id", low), "block": F.coalesce(F.floor(F.col("turn") / budget.block), low)})
+    heads = base.groupBy("k").agg(F.min(F.struct(F.col("turn").isNotNull().alias("late"), "turn", "role", "text", "cost")).alias("head"), F.count(F.lit(1)).alias("turns"))
+    heads = heads.filter((F.col("head.role") == "system") & (F.col("head.cost") > budget.system)).select("k", F.col("head.cost").alias("system"), "turns")
+    base = matched(base, saved(heads, "heads"), "k", "turns", "left")
+    base = base.withColumn("stride", budget.stride_beside(F.coalesce("system", F.lit(0)))).drop("system", "turns").withColumn("is_long", (F.col("cost") > F.col("stride")).cast("long"))
     inside = Window.partitionBy("k", "block").orderBy(F.col("turn").asc_nulls_first(), "role", "text")
     upto = inside.rowsBetween(Window.unboundedPreceding, 0)
     first = base.withColumns({"n_in": F.row_number().over(inside), "cost_in": F.sum("cost").over(upto), "long_in": F.sum("is_long").over(upto)})
@@ -78,7 +89,7 @@ def _ordered(turns: DataFrame, budget: Budget, cost: Column | None) -> DataFrame
     carry = blocks.select("k", "block", *(F.coalesce(F.sum(c).over(over), F.lit(0)).alias(f"{c}_before") for c in ("n_b", "cost_b", "long_b")))
     joined = first.join(carry, ["k", "block"])
     return joined.select(
-        "conv_id", "k", (F.col("n_in") + F.col("n_b_before")).alias("ord"), "role", "text", "cost", (F.col("cost_in") - F.col("cost") + F.col("cost_b_before")).alias("before"), (F.col("long_in") - F.col("is_long") + F.col("long_b_before")).alias("longs"), "is_long"
+        "conv_id", "k", "stride", (F.col("n_in") + F.col("n_b_before")).alias("ord"), "role", "text", "cost", (F.col("cost_in") - F.col("cost") + F.col("cost_b_before")).alias("before"), (F.col("long_in") - F.col("is_long") + F.col("long_b_before")).alias("longs"), "is_long"
     )
 
 
@@ -88,12 +99,13 @@ def chat_windows(turns: DataFrame, budget: Budget = Budget(), cost: Column | Non
     cost: a column of exact token counts of each turn, if there is one; every turn must cost something.
     """
     ordered = _ordered(turns, budget, cost)
-    ordered = ordered.withColumn("stretch", F.when(F.col("is_long") == 1, F.lit(-1).cast("long")).otherwise(F.floor(F.col("before") / budget.stride)))
+    ordered = ordered.withColumn("stretch", F.when(F.col("is_long") == 1, F.lit(-1).cast("long")).otherwise(F.floor(F.col("before") / F.col("stride"))))
+    ordered = saved(ordered, "turns")  # four branches read it
     span = ["k", "longs", "is_long", "stretch"]
     spans = ordered.groupBy(*span).agg(F.min("ord").alias("first_turn"), F.min("before").alias("start"))
     part = lambda kind: F.struct(F.lit(kind).alias("kind"), F.col("ord").alias("ord"), F.col("role").alias("role"), F.col("text").alias("text"), F.col("cost").alias("cost")).alias("part")
     new = ordered.join(spans, span).select("k", "first_turn", part(2))
-    leading = ordered.filter((F.col("ord") == 1) & (F.col("role") == "system") & (F.col("cost") <= budget.system))
+    leading = ordered.filter((F.col("ord") == 1) & (F.col("role") == "system"))
     system = spans.filter("first_turn > 1").select("k", "first_turn").join(leading, "k").select("k", "first_turn", part(0))
     h = budget.history
     reach = spans.select("k", "first_turn", "start", F.explode(F.array(F.floor(F.col("start") / h), F.floor(F.col("start") / h) - 1)).alias("bucket"))
@@ -133,20 +145,20 @@ def read_back(windows: DataFrame) -> DataFrame:
 
 def oracle(turns_sql: str, budget: Budget = Budget()) -> str:
     """DuckDB SQL for read_back(chat_windows(...)) over the rows of turns_sql."""
-    s, h = budget.stride, budget.history
+    h = budget.history
+    cost = f"(length(text) + 3) // 4 + {budget.per_turn}"
     esc = lambda c: f"regexp_replace({c}, '([\\\\<|])', '\\\\\\1', 'g')"
     return f"""
 WITH t AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM ({turns_sql})),
-o AS (SELECT *, (length(text) + 3) // 4 + {budget.per_turn} AS cost, row_number() OVER w AS ord,
-  coalesce(sum((length(text) + 3) // 4 + {budget.per_turn}) OVER p, 0) AS before,
-  coalesce(sum(CASE WHEN (length(text) + 3) // 4 + {budget.per_turn} > {s} THEN 1 ELSE 0 END) OVER p, 0) AS longs FROM t
-  WINDOW w AS (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text),
-  p AS (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
-c AS (SELECT *, CASE WHEN cost > {s} THEN -1 ELSE before // {s} END AS stretch, cost > {s} AS is_long,
+n AS (SELECT *, {cost} AS cost, row_number() OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text) AS ord FROM t),
+l AS (SELECT *, greatest({h}, ({budget.tokens} - {h} - greatest({budget.system}, max(CASE WHEN ord = 1 AND role = 'system' THEN cost ELSE 0 END) OVER (PARTITION BY conv_id))) // 2) AS stride FROM n),
+o AS (SELECT *, coalesce(sum(cost) OVER p, 0) AS before, coalesce(sum(CASE WHEN cost > stride THEN 1 ELSE 0 END) OVER p, 0) AS longs FROM l
+  WINDOW p AS (PARTITION BY conv_id ORDER BY ord ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+c AS (SELECT *, CASE WHEN cost > stride THEN -1 ELSE before // stride END AS stretch, cost > stride AS is_long,
   length({esc("role")}) + length({esc("text")}) + 4 + 7 AS chars FROM o),
 sp AS (SELECT conv_id, longs, is_long, stretch, min(ord) AS first_turn, min(before) AS start FROM c GROUP BY ALL),
 rep AS (SELECT sp.conv_id, c.chars FROM sp JOIN c ON c.conv_id IS NOT DISTINCT FROM sp.conv_id
-  WHERE (c.ord = 1 AND c.role = 'system' AND c.cost <= {budget.system} AND sp.first_turn > 1)
+  WHERE (c.ord = 1 AND c.role = 'system' AND sp.first_turn > 1)
   OR (NOT (c.ord = 1 AND c.role = 'system') AND c.ord < sp.first_turn AND c.before >= sp.start - {h})),
 r AS (SELECT conv_id, sum(chars) AS chars FROM rep GROUP BY conv_id),
 g AS (SELECT conv_id, count(*) AS n_turns, string_agg(role || chr(10) || text || chr(10), '' ORDER BY ord) AS turns,
