@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .words import byte_texts, chunks, covered
+from .words import byte_texts, chunks, covered, shared_prefixes
 
 COLUMNS = "doc_id long, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, repeat_share double, longest_repeat long, kept boolean"
 SYMBOLS = "#*$%&|<>"
@@ -40,47 +40,7 @@ class Limits:
 
 def repeat_lengths(ids: np.ndarray, docs: np.ndarray) -> np.ndarray:
     """For each place, the words of the longest substring starting there that starts elsewhere in its document too."""
-    n = len(ids)
-    best = np.zeros(n, np.int64)
-    if n < 2:
-        return best
-    _, rank = np.unique(docs.astype(np.int64) * (int(ids.max()) + 1) + ids, return_inverse=True)
-    size = np.bincount(rank)
-    start = np.cumsum(size) - size
-    rank = start[rank]  # a rank is the first slot of its group in suffix order
-    ranks, step = [rank], 1
-    while True:
-        count = np.bincount(rank, minlength=n)
-        active = np.flatnonzero(count[rank] > 1)
-        if not len(active):
-            break
-        after = active + step
-        second = np.where(after < n, rank[np.minimum(after, n - 1)] + 1, 0)
-        key = rank[active] * np.int64(n + 1) + second
-        order = np.argsort(key, kind="stable")
-        places, keys = active[order], key[order]
-        group = rank[places]
-        new_group = np.r_[True, group[1:] != group[:-1]]
-        new_key = np.r_[True, keys[1:] != keys[:-1]]
-        slot = np.arange(len(places)) - np.maximum.accumulate(np.where(new_group, np.arange(len(places)), 0)) + group
-        rank = rank.copy()
-        rank[places] = slot[np.maximum.accumulate(np.where(new_key, np.arange(len(places)), 0))]
-        ranks.append(rank)
-        step *= 2
-    suffixes = np.argsort(rank)
-    a, b = suffixes[:-1].copy(), suffixes[1:].copy()
-    live = np.flatnonzero(ranks[0][a] == ranks[0][b])
-    a, b = a[live], b[live]
-    common = np.zeros(len(live), np.int64)
-    for level in range(len(ranks) - 1, -1, -1):
-        inside = (a < n) & (b < n)
-        same = inside & (ranks[level][np.minimum(a, n - 1)] == ranks[level][np.minimum(b, n - 1)])
-        common[same] += 1 << level
-        a[same] += 1 << level
-        b[same] += 1 << level
-    np.maximum.at(best, suffixes[live], common)
-    np.maximum.at(best, suffixes[live + 1], common)
-    return best
+    return shared_prefixes(docs.astype(np.int64) * (int(ids.max(initial=0)) + 1) + ids, np.arange(len(ids), 0, -1))
 
 
 def maximal_repeats(words: list[bytes], min_repeat: int = 1) -> list[tuple[int, int]]:

@@ -5,17 +5,20 @@ The suffixes that matter start a window of `span` words (35) that starts elsewhe
 1. Pruning. Each window has an anchor: the least hash among its word sequences of `anchor` words. Equal
    windows have equal anchors, so a window whose anchor occurs once in the corpus is a leaf of the tree and
    is left out. Anchors are about a tenth of the words; only these are counted.
-2. Groups. A remaining suffix belongs to the subtree of its prefix, whose length varies: a short one where
-   the anchor is rare, a longer one where it is frequent, so that groups stay of a size that one task sorts.
-   Within a bucket of documents equal suffixes are one row with a count.
-3. Subtrees. Each task sorts its groups' suffixes, which is the depth-first order of its subtrees, and walks
-   them once: an internal node of depth `span` or more is a run of equal labels with two suffixes or more.
-   The nodes' suffixes go back to their buckets, where adjoining ones make the maximal repeats, whose words
-   are removed.
-
-Words are compared by 64-bit hashes of words and of word sequences. Windows are judged on the input only.
+2. Groups. A remaining suffix goes to a group by a prefix of variable length: by its anchor, which reaches
+   from somewhere in its window over `anchor` words, so that adjoining suffixes mostly go to one group and their
+   words are sent once a run; where an anchor is frequent, by its own first words, more of them the more
+   frequent the anchor is. Equal windows meet in one group. Groups are dealt to parts of a size that one task
+   sorts; equal runs of a bucket of documents are one row with a count.
+3. Subtrees. Each part's suffixes are sorted word by word (a suffix array with the longest common prefixes
+   of neighbours, which is the depth-first order of its subtrees); a prefix of `span` words or more that two
+   suffixes share is an internal node that deep. Its suffixes go back to their buckets, where adjoining ones
+   make the maximal repeats, whose words are removed.
+
+Words are compared by 64-bit hashes. Windows are judged on the input only.
 Defined results: null or blank texts have no words; a text shorter than a window loses nothing; repeated
-rows (same id or not) are separate documents, so they remove each other; other columns are ignored.
+rows (same id or not) are separate documents, so they remove each other; an empty table gives no rows; ties do
+not matter, as all suffixes of a node are repeats; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -30,14 +33,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .shared import saved
-from .words import U64, WordHasher, byte_texts, chunks, covered, mix, sliding_min, windows
+from .words import U64, WordHasher, byte_texts, chunks, covered, mix, shared_prefixes, sliding_min, windows
 
 RESULT = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string"
 
 
 @dataclass(frozen=True)
 class Plan:
-    """span: words of a window; anchor: words of an anchor; prefixes: words of a group's prefix for rare, frequent and very frequent anchors."""
+    """span: words of a window; anchor: words of an anchor; prefixes: words of a suffix's own prefix where its anchor is frequent, and very frequent."""
 
     span: int = 35
     anchor: int = 18
@@ -51,12 +54,8 @@ class Plan:
 
 
 def text_bytes(docs: DataFrame, text_col: str) -> int:
-    """Bytes of the texts, roughly: twice the files that the plan reads, or counted where these are not known."""
-    leaves = docs._jdf.queryExecution().optimizedPlan().collectLeaves()
-    sizes = [int(str(leaves.apply(k).stats().sizeInBytes())) for k in range(leaves.size())]
-    if sizes and max(sizes) < 1 << 58:
-        return 2 * sum(sizes)
-    return docs.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
+    """Bytes of all texts."""
+    return docs.agg(F.sum(F.octet_length(docs[text_col]).cast("long"))).first()[0] or 0
 
 
 def bucketed(docs: DataFrame, bucket_bytes: int, id_col: str, text_col: str) -> DataFrame:
@@ -123,14 +122,20 @@ def _parts(table: pa.Table, room: int = 2 << 20) -> Iterator[pa.RecordBatch]:
     return chunks(iter(table.to_batches()), room=room)
 
 
-def _suffixes(plan: Plan):
-    """Cogroup: a bucket's documents and its repeated anchors -> prefix, label, bucket, n."""
+_RUNS = "part int, bucket int, n int, words binary"
+#: Windows of a run at most.
+_LONGEST_RUN = 4096
+
+
+def _suffixes(plan: Plan, parts: int):
+    """Cogroup: a bucket's documents and its repeated anchors -> runs of suffixes that go to one group, as the hashes of their words."""
 
     def run(docs: pa.Table, anchors: pa.Table) -> pa.Table:
         key = anchors.column("key").to_numpy().view(U64)
         order = np.argsort(key)
         key, total = key[order], anchors.column("total").to_numpy()[order]
-        hasher, found = WordHasher(), []
+        hasher = WordHasher()
+        found: dict[tuple[int, bytes], int] = {}
         for batch in _parts(docs) if len(key) else ():
             words = _Words(byte_texts(batch), hasher, plan)
             own, _ = words.anchors()
@@ -139,45 +144,51 @@ def _suffixes(plan: Plan):
             if not len(live):
                 continue
             count = total[at[live]]
-            short, long = (words.labels(p)[live] for p in plan.prefixes)
-            label = words.labels(plan.span)[live]
-            prefix = np.where(count <= plan.frequent, short, np.where(count <= plan.frequent**2, long, label))
-            found.append(np.stack([(prefix >> U64(32)), label], 1))
-        if not found:
-            return pa.table({"prefix": pa.array([], pa.int32()), "label": pa.array([], pa.int64()), "bucket": pa.array([], pa.int32()), "n": pa.array([], pa.int32())})
-        rows = np.concatenate(found)
-        rows = rows[np.argsort(rows[:, 1])]
-        first = np.flatnonzero(np.r_[True, rows[1:, 1] != rows[:-1, 1]])
-        count = np.diff(np.r_[first, len(rows)])
-        bucket = np.full(len(first), docs.column("bucket")[0].as_py(), np.int32)
-        return pa.table({"prefix": rows[first, 0].astype(np.uint32).view(np.int32), "label": rows[first, 1].view(np.int64), "bucket": bucket, "n": count.astype(np.int32)})
+            group = own[live]
+            if (count > plan.frequent).any():
+                short, long = (words.labels(p)[live] for p in plan.prefixes)
+                group = np.where(count <= plan.frequent, group, np.where(count <= plan.frequent**2, short, np.where(count <= plan.frequent**3, long, words.labels(plan.span)[live])))
+            part = ((mix(group) >> U64(32)) * U64(parts)) >> U64(32)
+            new = np.r_[True, (live[1:] != live[:-1] + 1) | (group[1:] != group[:-1])]
+            starts = np.flatnonzero(new)
+            for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(live)], strict=True):
+                for c in range(a, b, _LONGEST_RUN):
+                    begin, windows_ = int(live[c]), min(b - c, _LONGEST_RUN)
+                    unit = int(part[a]), words.hashes[begin : begin + windows_ + plan.span - 1].tobytes()
+                    found[unit] = found.get(unit, 0) + 1
+        bucket = docs.column("bucket")[0].as_py() if len(docs) else 0
+        return pa.table({"part": pa.array([p for p, _ in found], pa.int32()), "bucket": pa.array([bucket] * len(found), pa.int32()), "n": pa.array(list(found.values()), pa.int32()), "words": pa.array([w for _, w in found], pa.binary())})
 
     return run
 
 
-def _walk(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Suffixes in depth-first order -> those at nodes with two suffixes or more; a node may go on in the next batch."""
-    held = None  # the last node's (prefix, label), its only row so far, or None for that row once it is out
-    for batch in batches:
-        prefix, label, bucket, n = (batch.column(k).to_numpy() for k in range(4))
-        if not len(label):
-            continue
-        if held is not None and held[2] is not None:
-            prefix, label, bucket, n = np.r_[held[0], prefix], np.r_[held[1], label], np.r_[held[2][0], bucket], np.r_[held[2][1], n]
-        same = (label[1:] == label[:-1]) & (prefix[1:] == prefix[:-1])
-        deep = np.r_[same, False] | np.r_[False, same] | (n > 1)
-        if held is not None and held[2] is None:
-            deep |= (label == held[1]) & (prefix == held[0])
-        alone = not deep[-1]
-        held = (prefix[-1:], label[-1:], (bucket[-1:], n[-1:]) if alone else None)
-        yield pa.RecordBatch.from_arrays([pa.array(bucket[deep], pa.int32()), pa.array(label[deep], pa.int64())], names=["bucket", "label"])
+def _walk(plan: Plan):
+    """A part's runs -> the labels of the suffixes at internal nodes of `span` words or more, packed by bucket."""
+
+    def run(runs: pa.Table) -> pa.Table:
+        runs = runs.combine_chunks()
+        sizes = np.array([len(w) // 8 for w in runs.column("words").to_pylist()], np.int64)
+        words = np.concatenate([np.frombuffer(w, U64) for w in runs.column("words").to_pylist()])
+        ends = np.cumsum(sizes)
+        left = np.repeat(ends, sizes) - np.arange(len(words))
+        several = np.repeat(runs.column("n").to_numpy() > 1, sizes)
+        deep = np.flatnonzero((left >= plan.span) & (several | (shared_prefixes(words, left, plan.span) >= plan.span)))
+        bucket = np.repeat(runs.column("bucket").to_numpy(), sizes)[deep]
+        label = windows(words, plan.span)[deep] if len(deep) else words[:0]
+        order = np.lexsort((label, bucket))
+        bucket, label = bucket[order], label[order]
+        first = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if len(bucket) else np.empty(0, np.int64)
+        packed = [np.unique(x).tobytes() for x in np.split(label, first[1:])] if len(first) else []
+        return pa.table({"bucket": pa.array(bucket[first], pa.int32()), "labels": pa.array(packed, pa.binary())})
+
+    return run
 
 
 def _remove(plan: Plan, with_text: bool):
     """Cogroup: a bucket's documents and the labels of its repeated windows -> documents without the repeats."""
 
     def run(docs: pa.Table, repeats: pa.Table) -> pa.Table:
-        label = np.sort(repeats.column("label").to_numpy().view(U64))
+        label = np.sort(np.concatenate([np.frombuffer(x, U64) for x in repeats.column("labels").to_pylist()] or [np.empty(0, U64)]))
         hasher, rows = WordHasher(), []
         for batch in _parts(docs):
             words = _Words(byte_texts(batch), hasher, plan)
@@ -206,7 +217,8 @@ def remove_repeats(docs: DataFrame, plan: Plan = Plan(), with_text: bool = True,
     totals = anchors.groupBy("key").agg(F.sum("n").alias("total")).filter("total > 1")
     repeated = anchors.join(totals, "key").select("bucket", "key", "total").distinct()
     grouped = own.groupBy("bucket")
-    suffixes = grouped.cogroup(repeated.groupBy("bucket")).applyInArrow(_suffixes(plan), "prefix int, label long, bucket int, n int")
-    ordered = suffixes.repartition("prefix").sortWithinPartitions("prefix", "label")
-    nodes = ordered.mapInArrow(_walk, "bucket int, label long")
+    # a part has about as many words as a bucket
+    parts = max(1, min(-(-text_bytes(docs, text_col) // plan.bucket_bytes), 1 << 30))
+    runs = grouped.cogroup(repeated.groupBy("bucket")).applyInArrow(_suffixes(plan, parts), _RUNS)
+    nodes = runs.groupBy("part").applyInArrow(_walk(plan), "bucket int, labels binary")
     return grouped.cogroup(nodes.groupBy("bucket")).applyInArrow(_remove(plan, with_text), RESULT)

@@ -90,6 +90,54 @@ def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
     return np.minimum(back[: n - w + 1], ahead[w - 1 : n])
 
 
+def shared_prefixes(ids: np.ndarray, left: np.ndarray, most: int | None = None) -> np.ndarray:
+    """For each place, the length of the longest common prefix of its suffix with any other place's, from a suffix array.
+
+    left: entries from a place to the end of its sequence, which a prefix does not cross. Ranks of 1, 2, 4, ... entries
+    come from prefix doubling, where only places whose rank is still shared are sorted again; with `most`, suffixes are
+    told apart by so many entries at least, and a longer prefix counts as no shorter than that. Neighbours in suffix
+    order then have the longest prefix in common, which follows from the stored ranks.
+    """
+    n = len(ids)
+    best = np.zeros(n, np.int64)
+    if n < 2:
+        return best
+    _, rank = np.unique(ids, return_inverse=True)
+    size = np.bincount(rank)
+    start = np.cumsum(size) - size
+    rank = start[rank]  # a rank is the first slot of its group in suffix order
+    ranks, step = [rank], 1
+    while most is None or step < most:
+        count = np.bincount(rank, minlength=n)
+        active = np.flatnonzero(count[rank] > 1)
+        if not len(active):
+            break
+        second = np.where(step < left[active], rank[np.minimum(active + step, n - 1)] + 1, 0)
+        key = rank[active] * np.int64(n + 1) + second
+        order = np.argsort(key, kind="stable")
+        places, keys = active[order], key[order]
+        group = rank[places]
+        new_group = np.r_[True, group[1:] != group[:-1]]
+        new_key = np.r_[True, keys[1:] != keys[:-1]]
+        slot = np.arange(len(places)) - np.maximum.accumulate(np.where(new_group, np.arange(len(places)), 0)) + group
+        rank = rank.copy()
+        rank[places] = slot[np.maximum.accumulate(np.where(new_key, np.arange(len(places)), 0))]
+        ranks.append(rank)
+        step *= 2
+    suffixes = np.argsort(rank, kind="stable")
+    a, b = suffixes[:-1], suffixes[1:]
+    live = np.flatnonzero(ranks[0][a] == ranks[0][b])
+    a, b = a[live], b[live]
+    room, common = np.minimum(left[a], left[b]), np.zeros(len(live), np.int64)
+    for level in range(len(ranks) - 1, -1, -1):
+        same = (common < room) & (ranks[level][np.minimum(a + common, n - 1)] == ranks[level][np.minimum(b + common, n - 1)])
+        common[same] += 1 << level
+    common = np.minimum(common, room)
+    np.maximum.at(best, suffixes[live], common)
+    np.maximum.at(best, suffixes[live + 1], common)
+    return best
+
+
 def to_bytes(text: str | bytes | None) -> bytes:
     return b"" if text is None else text if isinstance(text, bytes) else text.encode("utf-8", "surrogatepass")
 

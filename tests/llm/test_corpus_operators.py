@@ -148,7 +148,7 @@ def brute_substring(rows, span):
     return sorted(out)
 
 
-@pytest.mark.parametrize("plan", [substring_dedup.Plan(), substring_dedup.Plan(35, 18, (9, 18), 1), substring_dedup.Plan(5, 3, (2, 4), 1, 2000), substring_dedup.Plan(3, 3, (1, 2), 3, 500), substring_dedup.Plan(4, 1, (1, 1), 2, 500)])
+@pytest.mark.parametrize("plan", [substring_dedup.Plan(), substring_dedup.Plan(35, 18, (9, 18), 1, 3000), substring_dedup.Plan(5, 3, (2, 4), 1, 2000), substring_dedup.Plan(3, 3, (1, 2), 3, 500), substring_dedup.Plan(4, 1, (1, 1), 2, 500)])
 def test_substring_dedup_is_exact(docs, rows, plan):
     got = sorted((r.doc_id, r.n_words, r.n_removed, r.kept_sha256) for r in substring_dedup.remove_repeats(docs, plan).collect())
     assert got == brute_substring(rows, plan.span)
@@ -264,16 +264,18 @@ def brute_chat(turns, budget):
         rows = [(r[2] or "", r[3] or "") for r in group]
         cost = [(len(t) + 3) // 4 + budget.per_turn for _, t in rows]
         before = [sum(cost[:k]) for k in range(len(rows))]
-        key = [(sum(c > budget.stride for c in cost[:k]), cost[k] > budget.stride, -1 if cost[k] > budget.stride else before[k] // budget.stride) for k in range(len(rows))]
+        system = rows[0][0] == "system"
+        stride = max(budget.history, (budget.tokens - budget.history - max(budget.system, cost[0] if system else 0)) // 2)
+        key = [(sum(c > stride for c in cost[:k]), cost[k] > stride, -1 if cost[k] > stride else before[k] // stride) for k in range(len(rows))]
         esc = lambda x: re.sub(r"([\\<|])", r"\\\1", x)
         fmt = lambda r: f"<|{esc(r[0])}|>{esc(r[1])}<|end|>"
-        system = rows[0][0] == "system"
         windows = []
         for _, span in itertools.groupby(range(len(rows)), key=lambda k: key[k]):
             span = list(span)
-            head = [0] if system and cost[0] <= budget.system and span[0] > 0 else []
+            head = [0] if system and span[0] > 0 else []
             head += [k for k in range(system, span[0]) if before[k] >= before[span[0]] - budget.history]
-            windows.append(("".join(fmt(rows[k]) for k in head + span), len(head), sum(cost[k] for k in head + span), max(cost[k] for k in span)))
+            fits = max(cost[k] for k in span) <= stride and (not system or cost[0] + 3 * budget.history <= budget.tokens)
+            windows.append(("".join(fmt(rows[k]) for k in head + span), len(head), sum(cost[k] for k in head + span), fits))
         out[conv] = rows, windows
     return out
 
@@ -283,7 +285,7 @@ def test_chat_windows(spark):
     turns = []
     for conv in (1, 2, 3, 4, None):
         for k in range(rng.choice([1, 5, 40])):
-            role = "system" if k == 0 and conv in (1, 2) else rng.choice(["user", "assistant"])
+            role = "system" if k == 0 and conv in (1, 2, 3) else rng.choice(["user", "assistant"])
             text = "".join(rng.choice("ab <|\\end>$1é\n") for _ in range(rng.choice([0, 5, 60, 200, 900])))
             turns.append((conv, k, role, text))
     turns += [(7, None, None, None), (7, 0, "assistant", "same"), (7, 0, "assistant", "same"), (8, 0, "a|>b\\", "<|end|>"), (9, 300, "assistant", "late"), (9, 2, "user", "early"), (-7, 0, "user", "</s>[INST] ok [/INST]"), (-7, 1, "assistant", "</s>[INST] ok [/INST]")]
@@ -297,7 +299,7 @@ def test_chat_windows(spark):
     assert got.keys() == want.keys()
     for conv, (rows, windows) in want.items():
         assert [(r.formatted, r.n_repeated, r.tokens) for r in sorted(got[conv], key=lambda r: r.first_turn)] == [w[:3] for w in windows]
-        assert all(tokens <= budget.tokens or longest > budget.stride for _, _, tokens, longest in windows)
+        assert all(tokens <= budget.tokens or not fits for _, _, tokens, fits in windows)
     for r in chat_windows.read_back(made).collect():
         rows, windows = want[r.conv_id]
         loss = "".join(t for role, t in rows if role == "assistant")
