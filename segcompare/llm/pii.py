@@ -7,7 +7,8 @@ rewritten text, and what they find is carried back to source spans; only finds t
 and overlap no plain find of their kind are added.
 
 Defined results: a null or empty text has no spans; rows are independent, so ties, repeated rows, null ids
-and other columns change nothing. All rewriting and detection is linear in the text.
+and other columns change nothing; an empty table gives no rows; equal finds of two kinds are both given. Names, hosts
+and blanks of any length are read.
 """
 
 from __future__ import annotations
@@ -74,7 +75,7 @@ def detect(text: str) -> list[Span]:
 
 
 # Look-alikes of ASCII characters; whole ranges follow by rule below.
-_LOOK_ALIKES = {
+LOOK_ALIKES = {
     "а": "a", "е": "e", "о": "o", "р": "p", "с": "c", "у": "y", "х": "x", "і": "i", "ѕ": "s", "ј": "j", "һ": "h", "ԁ": "d", "ԛ": "q", "ԝ": "w",
     "А": "A", "В": "B", "Е": "E", "К": "K", "М": "M", "Н": "H", "О": "O", "Р": "P", "С": "C", "Т": "T", "Х": "X", "У": "Y", "І": "I", "Ѕ": "S", "Ј": "J",
     "ο": "o", "α": "a", "ι": "i", "ν": "v", "ρ": "p", "υ": "u", "κ": "k", "Ο": "O", "Α": "A", "Β": "B", "Ε": "E", "Ι": "I", "Κ": "K", "Μ": "M", "Ν": "N", "Τ": "T", "Χ": "X",
@@ -83,7 +84,7 @@ _LOOK_ALIKES = {
 #: Characters that show nothing and are dropped.
 _INVISIBLE = "­​‌‍⁠﻿"
 _DIGIT_ROWS = (0x0660, 0x06F0, 0x0966, 0x2080, *range(0x1D7CE, 0x1D800, 10))
-_MAP = {ord(k): v for k, v in _LOOK_ALIKES.items()}
+_MAP = {ord(k): v for k, v in LOOK_ALIKES.items()}
 _MAP |= {0xFF01 + k: chr(0x21 + k) for k in range(94)}
 _MAP |= {row + k: str(k) for row in _DIGIT_ROWS for k in range(10)}
 _MAP |= {c: " " for c in (0xA0, *range(0x2000, 0x200B), 0x202F, 0x3000)} | {c: "-" for c in range(0x2010, 0x2016)}
@@ -104,15 +105,18 @@ _SPELLED = re.compile(rf"(?<!\w)(?:(?:plus|{_NAME}|[0-9]+)(?!\w)[\s,-]{{1,3}}){{
 _TWO_NAMES = re.compile(rf"(?<!\w){_NAME}[\s,-]{{1,3}}{_NAME}(?!\w)", re.I)
 _ITEM = re.compile(r"\w+")
 
-_OPEN, _SHUT = r"[ \t]*[(\[{<][ \t]*", r"[ \t]*[)\]}>][ \t]*"
-_AT = rf"(?:{_OPEN}(?:at|@|arroba){_SHUT}|[ \t]+at[ \t]+|[ \t]+@[ \t]+|[ \t]?@[ \t]?)"
-_DOT = rf"(?:{_OPEN}(?:dot|punkt|point|punto|\.){_SHUT}|[ \t]+(?:dot|punkt|punto)[ \t]+|\.)"
-_HINT = re.compile(r"[(\[{<][ \t]*(?:at|@|arroba|dot|punkt|point|punto|\.)[ \t]*[)\]}>]|[ \t](?:dot|punkt|punto)[ \t]|[ \t]@|@[ \t]", re.I)
-_ATOM = r"(?<![A-Za-z0-9_%+-])[A-Za-z0-9_%+-]{1,64}"
-_MAIL = re.compile(rf"{_ATOM}(?:{_DOT}[A-Za-z0-9_%+-]{{1,64}}){{0,8}}(?P<at>{_AT})(?P<domain>[A-Za-z0-9-]{{1,63}}(?:{_DOT}[A-Za-z0-9-]{{1,63}}){{1,8}})", re.I)
+# blanks are taken whole and from their first one on, so that no long run of them is read more than once
+_OPEN, _SHUT = r"[(\[{<][ \t]*+", r"[ \t]*+[)\]}>][ \t]*+"
+_AT = rf"(?:(?<![ \t])[ \t]*+(?:{_OPEN}(?:at|@|arroba){_SHUT}|(?<=[ \t])at[ \t]++|@[ \t]*+))"
+_DOT = rf"(?:(?<![ \t])[ \t]*+(?:{_OPEN}(?:dot|punkt|point|punto|\.){_SHUT}|(?<=[ \t])(?:dot|punkt|punto)[ \t]++|(?<![ \t])\.))"
+_HINT = re.compile(r"[(\[{<][ \t]*+(?:at|@|arroba|dot|punkt|point|punto|\.)[ \t]*+[)\]}>]|[ \t](?:dot|punkt|punto)[ \t]|[ \t]@|@[ \t]", re.I)
+_AT_MARK = re.compile(_AT, re.I)
+_NAME_CHAIN = re.compile(rf"(?<![A-Za-z0-9_%+-])[A-Za-z0-9_%+-]++(?:{_DOT}[A-Za-z0-9_%+-]++)*+", re.I)
+_HOST_CHAIN = re.compile(rf"[A-Za-z0-9-]++(?:{_DOT}[A-Za-z0-9-]++)++", re.I)
 _QUAD = re.compile(rf"(?<![0-9])[0-9]{{1,3}}(?:{_DOT}[0-9]{{1,3}}){{3}}(?![0-9])", re.I)
 # Last labels that let a bare "at ... dot ..." count as an address.
 _ENDINGS = set("com org net edu gov mil int info biz io co ai dev app me tv eu de fr es uk us ca it nl be ch at pl se no dk fi pt br mx ar in jp cn ru au nz example test invalid local".split())
+_DOT_MARK = re.compile(_DOT, re.I)
 _MARK = re.compile(rf"(?P<at>{_AT})|(?P<dot>{_DOT})", re.I)
 
 
@@ -171,16 +175,32 @@ def _spelled(text: str) -> list[tuple[int, int, str]]:
     return edits
 
 
-def _marks(text: str) -> list[tuple[int, int, str]]:
-    spans = []
-    for m in _MAIL.finditer(text):
-        bare = m["at"].strip().lower() == "at"
-        dots = [x[0] for x in _MARK.finditer(m["domain"]) if x["dot"] and x[0] != "."]
-        ending = re.split(_DOT, m["domain"], flags=re.I)[-1].lower()
-        if bare and (not dots or ending not in _ENDINGS):
+def _addresses(text: str) -> list[tuple[int, int]]:
+    """Spans of addresses with a written-out mark: a chain of names that ends at an "at", and a chain of host labels after it."""
+    spans, done = [], 0
+    for m in _AT_MARK.finditer(text):
+        if m.start() < done:
+            continue
+        begin, done = done, m.end()
+        names = None
+        for names in _NAME_CHAIN.finditer(text, begin, m.start()):
+            pass
+        host = _HOST_CHAIN.match(text, m.end()) if names and names.end() == m.start() else None
+        if not host:
+            continue
+        mark = m[0].strip().lower()
+        dots = [x[0] for x in _DOT_MARK.finditer(host[0]) if x[0] != "."]
+        ending = re.split(_DOT, host[0], flags=re.I)[-1].lower()
+        if mark == "at" and (not dots or ending not in _ENDINGS):
             continue  # "look at one dot on the map"
-        if dots or m["at"] != "@":
-            spans.append((m.start(), m.end()))
+        if dots or m[0] != "@" or any(x[0] != "." for x in _DOT_MARK.finditer(names[0])):
+            spans.append((names.start(), host.end()))
+            done = host.end()
+    return spans
+
+
+def _marks(text: str) -> list[tuple[int, int, str]]:
+    spans = _addresses(text)
     spans += [(m.start(), m.end()) for m in _QUAD.finditer(text) if m[0].count(".") < 3 or not re.fullmatch(r"[0-9.]+", m[0])]
     edits, last = [], 0
     for lo, hi in sorted(spans):
@@ -221,12 +241,14 @@ def find_identifiers(text: str | None) -> tuple[list[Span], list[Span]]:
     now = normalise(text) if text else None
     if now is None:
         return base, []
-    taken = {kind: [s[1:] for s in base if s[0] == kind] for kind in KINDS}
+    taken = {kind: [s[1:] for s in base if s[0] == kind] for kind in KINDS}  # in order, not overlapping
     added = []
     for kind, lo, hi in detect(now.text):
         begin, end, rewritten = now.source(lo, hi)
-        if rewritten and not any(begin < e and s < end for s, e in taken[kind]):
-            taken[kind].append((begin, end))
+        k = bisect.bisect_left(taken[kind], (begin, end))
+        free = (k == 0 or taken[kind][k - 1][1] <= begin) and (k == len(taken[kind]) or taken[kind][k][0] >= end)
+        if rewritten and free:
+            taken[kind].insert(k, (begin, end))
             added.append((kind, begin, end))
     return base, added
 
@@ -271,7 +293,7 @@ def mask_documents(docs: DataFrame, text_col: str = "text", chars_col: str = "n_
             texts = columns[k].to_pylist()
             new = [t if not t else mask(t, [s for part in find_identifiers(t) for s in part]) for t in texts]
             columns[k] = pa.array(new, batch.schema.field(k).type)
-            if chars_col in names:
+            if chars_col in names and pa.types.is_integer(batch.schema.field(chars_col).type):
                 c = names.index(chars_col)
                 columns[c] = pa.array([old if a == b else len(b) for a, b, old in zip(texts, new, columns[c].to_pylist(), strict=True)], batch.schema.field(c).type)
             yield pa.RecordBatch.from_arrays(columns, schema=batch.schema)
