@@ -4,11 +4,18 @@ A character trigram model is counted over all documents. Words that show signs o
 inside letters, stretched letters, single letters with blanks or dots between) become a lattice: each
 character may stand for itself or for the letters it imitates, a run of one letter for one or two of them, a
 separator for nothing. The best path under the character model and the channel's costs is the restored word.
+A sign at a word's edge is mostly punctuation, so leaving it out is cheap there and dear inside a word: "to!!"
+stays "to", "sh!p" becomes "ship". Letters of other scripts that look like Latin ones are read as these. Where
+the best reading is the word as written, the channel adds nothing.
 A logistic model over words and their beginnings (of the written and the restored ones), so that inflected
 forms of one stem count together, gives the score.
 
-Labels are learned only from rows outside the held-out fold, from a sample of at most `per_class` rows of
-each class, the parameter that bounds what the driver gathers. Null and empty texts score the prior.
+Labels are learned only from rows outside the held-out fold, from a sample of at most `per_class` labelled ids of
+each class, one text each, the parameter that bounds what the driver gathers.
+Defined results: null and empty texts score the fitted intercept, as does a text without known features; without
+labels of both classes all rows score the prior; repeated rows (same id or not) are scored each, a null id is
+never held out; ties between readings take the least string; an empty table gives no rows; other columns, labels
+included, are ignored by the score; texts and words of any length are read whole.
 """
 
 from __future__ import annotations
@@ -22,6 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .pii import LOOK_ALIKES
 from .words import chunks
 
 FOLDS = 5
@@ -83,11 +91,14 @@ def log_model(counts: np.ndarray) -> np.ndarray:
 # What signs and figures imitate.
 IMITATES = {"0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "g", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "i", "|": "il", "+": "t", "(": "c", "<": "c", "€": "e", "£": "l", "¡": "i", "*": "aeiou", "#": "aeiou"}
 _SIGNS = re.escape("".join(IMITATES))
-_LEET = re.compile(rf"[^\W\d_][{_SIGNS}]+[^\W_]|(?<!\S)[@$|(<€£¡0-9]+[^\W\d_]{{2}}|[^\W\d_]{{2}}[@$|€£0-9!]+(?=[\s.,;:?]|$)")
+_LEET = re.compile(rf"[^\W\d_][{_SIGNS}]+[^\W_]|(?<!\S)[@$|(<€£¡!0-9]+[^\W\d_]{{2}}|[^\W\d_]{{2}}[@$|€£0-9!]+(?=[\s.,;:?]|$)")
 _STRETCH = re.compile(r"([^\W\d_])\1\1")
 _SPACED = re.compile(rf"(?<![^\s])[^\W_{_SIGNS}](?:[ ._*~-][\w{_SIGNS}]){{2,}}(?![^\s.,;:!?])")
 _EDGE = ".,;:!?\"'()[]{}%&*#<>|$ \t\n"
-_COST = {"keep": 0.0, "imitate": 0.7, "sign": 6.0, "shrink": 0.4, "join": 0.3, "blank": 1.5}
+_COST = {"keep": 0.0, "imitate": 0.7, "sign": 6.0, "edge": 0.2, "shrink": 0.4, "join": 0.3, "blank": 1.5}
+_LATIN = {ord(k): v.lower() for k, v in LOOK_ALIKES.items() if v.isalpha()}
+_OTHER = "".join(map(re.escape, map(chr, _LATIN)))
+_MIXED = re.compile(rf"[a-z][{_OTHER}]|[{_OTHER}][a-z]")
 
 
 def lattice(word: str) -> list[list[tuple[str, float]]]:
@@ -101,12 +112,23 @@ def lattice(word: str) -> list[list[tuple[str, float]]]:
             continue
         as_is = [(x, _COST["imitate"]) for x in IMITATES.get(c, "")] or [(c, _COST["keep"])]
         if c in IMITATES:
-            as_is.append(("", _COST["sign"]))
-        ways = [(x * k, cost + _COST["shrink"] * (k != n)) for x, cost in as_is for k in sorted({1, 2, n} if n < 3 else {1, 2}) if k <= n or n == 1 and k == 1]
+            at_edge = not c.isdigit() and (m.start() == 0 or m.end() == len(word))
+            as_is.append(("", _COST["edge" if at_edge else "sign"]))
+        ways = [(x * k, cost + _COST["shrink"] * (k != n and x != "")) for x, cost in as_is for k in sorted({1, 2, n} if n < 3 else {1, 2}) if k <= n or n == 1 and k == 1]
         out.append(sorted({w: c for w, c in sorted(ways, key=lambda y: -y[1])}.items()))
     return out
 
 
+def path_cost(reading: list[tuple[str, float]], model: np.ndarray) -> float:
+    """What one choice of ways costs, under the channel and the character model."""
+    total, a, b = sum(price for _, price in reading), 0, 0
+    for c in "".join(way for way, _ in reading) + " ":
+        z = int(ALPHABET[ord(c)]) if ord(c) < 256 else 0
+        total -= float(model[a, b, z])
+        a, b = b, z
+    return total
+
+
 def viterbi(word: str, model: np.ndarray) -> str:
     """The cheapest reading of the lattice under the character model."""
 
@@ -150,7 +172,7 @@ class Restorer:
 
     def suspects(self, low: str) -> set[str]:
         found, size = set(), len(low)
-        for pattern in (_LEET, _STRETCH):
+        for pattern in (_LEET, _STRETCH) if low.isascii() else (_LEET, _STRETCH, _MIXED):
             a = b = 0
             for m in pattern.finditer(low):
                 if m.end() <= b:
@@ -163,10 +185,12 @@ class Restorer:
                 found.add(low[a:b])
         return found | {m[0] for m in _SPACED.finditer(low)}
 
-    def words(self, text: str | None) -> set[bytes]:
+    def words(self, text: str | None, channel: bool = True) -> set[bytes]:
         low = (text or "").lower()
         out = set(low.encode("utf-8", "surrogatepass").translate(_BLANKS).split())
-        for word in self.suspects(low):
+        for word in self.suspects(low) if channel else ():
+            if not word.isascii():
+                word = word.translate(_LATIN)
             for form in {word.strip(".,;:?\"'%&"), word.strip(_EDGE)}:
                 if len(form) >= 2:
                     out.update((self.read(form) if len(form) <= 64 else viterbi(form, self.model)).encode("utf-8", "surrogatepass").translate(_BLANKS).split())
@@ -261,20 +285,21 @@ def train(docs: DataFrame, labels: DataFrame, per_class: int = 2000, id_col: str
             yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), pa.array([sorted(restorer.words(t)) for t in batch.column(0).to_pylist()], pa.list_(pa.binary()))], names=["toxic", "doc_id", "words"])
 
     own = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
-    sample = own.join(chosen, "doc_id").select("text", F.col("toxic").cast("int").alias("toxic"), "doc_id").mapInArrow(run, "toxic int, doc_id long, words array<binary>")
+    # one text an id, so that repeated ids do not add to what the driver gathers
+    sample = own.join(chosen, "doc_id").groupBy("doc_id", F.col("toxic").cast("int").alias("toxic")).agg(F.min("text").alias("text")).select("text", "toxic", "doc_id").mapInArrow(run, "toxic int, doc_id long, words array<binary>")
     rows = ((r.doc_id, r.toxic, [bytes(w) for w in r.words]) for r in sample.toLocalIterator())
     return model, *fit_words(rows, 0.5 if share is None else float(share))
 
 
-def score_documents(docs: DataFrame, fitted: tuple[np.ndarray, dict[bytes, float], float], id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row per row of docs; map-only."""
+def score_documents(docs: DataFrame, fitted: tuple[np.ndarray, dict[bytes, float], float], id_col: str = "doc_id", text_col: str = "text", channel: bool = True) -> DataFrame:
+    """One row per row of docs; map-only. channel=False scores the words as written, to compare with."""
     box = docs.sparkSession.sparkContext.broadcast(fitted)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model, weights, bias = box.value
         restorer, known = Restorer(model), _Active(weights)
         for batch in chunks(batches):
-            z = np.array([bias + sum(weights[f] for f in set().union(*map(known.__getitem__, restorer.words(t)))) for t in batch.column(2).to_pylist()])
+            z = np.array([bias + sum(weights[f] for f in set().union(*map(known.__getitem__, restorer.words(t, channel)))) for t in batch.column(2).to_pylist()])
             score = 1 / (1 + np.exp(-np.clip(z, -500, 500)))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(score), pa.array((score >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 

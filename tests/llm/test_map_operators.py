@@ -1,5 +1,7 @@
 """Operators without a shuffle of texts: against brute force, and on nulls, empty tables, ties and clashing names."""
 
+import hashlib
+import itertools
 import random
 import re
 import zlib
@@ -59,6 +61,60 @@ def test_quality_base_counts(spark, odd):
     assert quality_rules.judge_documents(odd.filter("false")).count() == 0
 
 
+def test_quality_verdict_matches_brute_force(spark):
+    rng = random.Random(12)
+    rows = []
+    for k in range(40):
+        w = [rng.choice("abcdefghijklmnop") + rng.choice("xyz") for _ in range(rng.randint(40, 70))]
+        for _ in range(rng.randint(0, 2)):
+            a, n = rng.randrange(len(w)), rng.randint(8, 24)
+            at = rng.randrange(len(w))
+            w[at:at] = w[a : a + n]
+        rows.append((k, " ".join(w)))
+    rows += [(3, rows[3][1]), (None, rows[4][1])]
+    limits = quality_rules.Limits(max_longest=20)
+    got = sorted((r.doc_id if r.doc_id is not None else -1, round(r.repeat_share, 9), r.longest_repeat, r.kept) for r in quality_rules.judge_documents(spark.createDataFrame(rows, "doc_id long, text string"), limits).collect())
+    want = []
+    for k, t in rows:
+        w = t.split()
+        best = brute_repeats(w)
+        under = {i + j for i in range(len(w)) if best[i] >= 8 for j in range(best[i])}
+        triples = {i + j for i in range(len(w) - 2) if best[i] >= 3 for j in range(3)}
+        failed = len(w) < 50 or 100 * len(triples) > 50 * len(w)
+        share = len(under) / len(w)
+        want.append((-1 if k is None else k, round(share, 9), max(best), not failed and share <= limits.max_share and max(best) <= 20))
+    assert got == sorted(want) and len({x[3] for x in want}) == 2
+
+
+def test_tokenizers_agree_on_given_documents(spark):
+    fast = tokens.ByteTokenizer()
+    for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("text").collect():
+        if r.text:
+            assert fast.encode(r.text) == fast.slow().encode(r.text, add_special_tokens=False).ids
+
+
+def test_packing_keeps_the_rules_placement():
+    rng = random.Random(5)
+    packer, held, at = packing.SumOfSquaresPacker(64), {}, {}
+    for k in range(400):
+        n = rng.randint(1, 63)
+        s, offset = packer.place(n)
+        held.setdefault(s, []).append((k, 0, n, np.arange(n, dtype="<u4"), n, offset))
+        at[s] = at.get(s, 0) + n
+        if at[s] == 64:
+            held.pop(s)
+    placed = {p[0]: (s, p[5]) for s, pieces in held.items() for p in pieces}
+    out = packing.finish(held, 64, packer.new)
+    assert sum(p[2] for p in out) == sum(p[2] for pieces in held.values() for p in pieces)
+    fill = {}
+    for doc, start, length, ids, n, s, offset in sorted(out, key=lambda p: (p[5], p[6])):
+        assert offset == fill.get(s, 0) and len(ids) == length
+        fill[s] = offset + length
+    assert all(x == 64 or x & (x - 1) == 0 for x in fill.values())
+    stayed = sum(placed[doc] == (s, offset) and length == n for doc, _, length, _, n, s, offset in out)
+    assert stayed > 0.6 * len(placed)
+
+
 def test_quality_method_rejects_what_the_base_rule_keeps():
     new = lambda n, c: [f"{c}{k}" for k in range(n)]
     shared, long_one = new(40, "s"), new(120, "l")
@@ -210,6 +266,32 @@ def test_clean_texts_get_nothing():
         assert pii.find_identifiers(text) == ([], [])
 
 
+def test_long_disguised_addresses():
+    name, host = "n" * 200, " dot ".join(["label" * 30] * 20 + ["org"])
+    text = f"write {'x.' * 12}{name} (at) {host} now, " + " " * 50000 + "and a.b.c" * 2000
+    base, added = pii.find_identifiers(text)
+    assert [(k, text[a:b]) for k, a, b in added] == [("email", f"{'x.' * 12}{name} (at) {host}")]
+
+
+def test_pii_query_values_on_odd_rows(spark):
+    texts = [None, "", "a.b@c.de 1.2.3.4 and 4337-1665-9846-4399 +49 (30) 1234567", *(t for t, *_ in DISGUISED), "é😀 a@b.cd", "a@b.cd " * 3000]
+    rows = [(k, t, "x", "kept") for k, t in enumerate([*texts, texts[2], texts[2]])] + [(None, texts[2], "x", "kept"), (2, texts[2], "x", "kept")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, spans string, n_email string").repartition(3)
+    want = []
+    for k, t, *_ in rows:
+        base = brute_pii(t or "")
+        base.sort(key=lambda x: (pii.KINDS.index(x[0]), x[1]))
+        said = ",".join(f"{kind}:{a}:{b}" for kind, a, b in base)
+        added = pii.find_identifiers(t)[1]
+        every = sorted([*base, *added], key=lambda x: (pii.KINDS.index(x[0]), x[1]))
+        counts = [sum(x[0] == kind for x in base) for kind in ("email", "ip", "card", "phone")]
+        want.append((k, *counts, hashlib.sha256(said.encode()).hexdigest(), ",".join(f"{kind}:{a}:{b}" for kind, a, b in every)))
+    got = [tuple(r)[:7] for r in pii.personal_data(df).collect()]
+    assert sorted(got, key=str) == sorted(want, key=str)
+    clash = spark.createDataFrame([(1, "mail a@b.cd", "many")], "doc_id long, text string, n_chars string")
+    assert [tuple(r) for r in pii.mask_documents(clash).collect()] == [(1, "mail <EMAIL>", "many")]
+
+
 def test_pii_rows(spark, odd):
     assert pii.personal_data(odd).count() == len(ODD)
     assert pii.mask_documents(odd).columns == odd.columns
@@ -233,6 +315,57 @@ def test_toxicity_long_disguised_runs():
     assert len(toxicity.viterbi(".".join(letters * 60), model).replace(" ", "")) == 60 * len(letters)
 
 
+def small_model():
+    plain = "the long walk by the river and the old mill on the hill was soft and green that you are an idiot and a moron said the man to him " * 40
+    s = toxicity._symbols("  " + plain + "  ")
+    n = toxicity._SIZE
+    return toxicity.log_model(np.bincount(s[:-2] * n * n + s[1:-1] * n + s[2:], minlength=n**3).reshape(n, n, n))
+
+
+def test_viterbi_finds_the_cheapest_of_all_paths():
+    model, rng = small_model(), random.Random(8)
+    words_ = ["1d10t", "m0r0n", "to!!", "!d!ot", "h1ll", "oolldd", "t.h.e", "m-o-r-o-n", "w*lk", "ri|er"]
+    words_ += ["".join(rng.choice("thei10!4@lo") for _ in range(rng.randint(1, 6))) for _ in range(150)]
+    for word in words_:
+        paths = list(itertools.product(*toxicity.lattice(word)))
+        costs = [toxicity.path_cost(p, model) for p in paths]
+        least = {"".join(w for w, _ in p).strip() for p, c in zip(paths, costs, strict=True) if c <= min(costs) + 1e-4}
+        assert toxicity.viterbi(word, model) in least
+
+
+def test_channel_leaves_clean_words_and_helps_disguised_ones(spark):
+    model = small_model()
+    restorer = toxicity.Restorer(model)
+    for text in ("to!! that!! hill! (the) mill* and $ the 10 men", "said the man!!! to him!!", "the hill, the mill."):
+        assert restorer.words(text) == restorer.words(text, channel=False), text
+    assert b"idiot" in restorer.words("you \u0456di\u043et said")  # letters of another script
+    weights = ({b"=idiot": 6.0, b"=moron": 6.0}, -3.0)
+    disguised = [(k, f"the man by the river is {w} said him") for k, w in enumerate(["an 1d10t", "a m0r0n", "a m.o.r.o.n", "an i d i o t", "an !diot", "a morrrrron"])]
+    clean = [(100 + k, t) for k, t in enumerate(["the man said to!! him", "the old mill!! on the hill", None, ""])]
+    df = spark.createDataFrame([*disguised, *clean, (0, disguised[0][1]), (None, disguised[1][1])], "doc_id long, text string")
+    with_, without = ([(r.doc_id, r.predicted) for r in toxicity.score_documents(df, (model, *weights), channel=c).collect()] for c in (True, False))
+    assert sum(y for _, y in with_) == len(disguised) + 2 and sum(y for _, y in without) == 0
+    assert all(y == 0 for k, y in with_ if k is not None and k >= 100)
+
+
+def test_toxicity_query_matches_a_plain_scorer(spark):
+    rng = random.Random(6)
+    vocabulary = ["river", "mill", "hill", "bread", "salt", "honey", "idiot", "1d10t", "to!!", "m o r o n", "moron"]
+    rows = [(k, " ".join(rng.choice(vocabulary) for _ in range(rng.randint(0, 12)))) for k in range(120)] + [(7, "again idiot"), (None, "moron"), (130, None), (131, "idiot " * 20000)]
+    df = spark.createDataFrame([(*r, 1, "x") for r in rows], "doc_id long, text string, toxic int, score string").repartition(3)
+    labels = spark.createDataFrame([(k, int("idiot" in (t or "") or "moron" in (t or ""))) for k, t in rows if k is not None and k < 120], "doc_id long, toxic int")
+    model, weights, bias = toxicity.train(df, labels)
+    got = sorted(((r.doc_id is None, r.doc_id or 0, r.held_out, round(r.score, 9), r.predicted) for r in toxicity.score_documents(df, (model, weights, bias)).collect()))
+    want = []
+    for k, t in rows:
+        restorer = toxicity.Restorer(model)
+        seen = {f for w in restorer.words(t) for f in toxicity.features(w)}
+        z = bias + sum(weights.get(f, 0.0) for f in sorted(seen))
+        score = 1 / (1 + np.exp(-z))
+        want.append((k is None, k or 0, k is not None and zlib.crc32(str(k).encode()) % 5 == 0, round(float(score), 9), int(score >= 0.5)))
+    assert got == sorted(want)
+
+
 def test_toxicity_restores_and_scores(spark):
     rng = random.Random(4)
     plain = ["the rain in the hills was soft and green", "a long walk by the river and the old mill", "the market sells bread and salt and honey"]
