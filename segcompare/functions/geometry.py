@@ -142,9 +142,24 @@ def validity(ring: Column) -> Column:
         .when(F.exists(nexts, lambda e: e["up"] & e["flat"]), "repeated vertex")
         .when(F.exists(nexts, lambda e: ~e["up"] & ~e["flat"]), "slanted edge")
         .when(signed_area2(ring) == 0, "no area")
+        .when(crosses_itself(ring), "crosses itself")
     )
 
 
+def assembled_rings(vertices: DataFrame, keys: list[str]) -> DataFrame:
+    """Vertex rows (keys, seq, x, y) in any order -> keys, ring in order of seq."""
+    v = F.struct("seq", F.col("x").cast("bigint").alias("x"), F.col("y").cast("bigint").alias("y"))
+    rings = vertices.groupBy(*keys).agg(F.array_sort(F.collect_list(v)).alias("v"))
+    return rings.select(*keys, F.transform("v", lambda p: F.struct(p["x"].alias("x"), p["y"].alias("y"))).alias("ring"))
+
+
+def crosses_itself(ring: Column) -> Column:
+    """Whether an upright edge meets a flat one of the same ring inside both."""
+    sides = F.zip_with(ring, rotated(ring), lambda a, b: F.struct(F.least(a["x"], b["x"]).alias("ax"), F.greatest(a["x"], b["x"]).alias("bx"), F.least(a["y"], b["y"]).alias("ay"), F.greatest(a["y"], b["y"]).alias("by")))
+    upright, flat = F.filter(sides, lambda e: e["ax"] == e["bx"]), F.filter(sides, lambda e: e["ay"] == e["by"])
+    return F.exists(upright, lambda u: F.exists(flat, lambda f: (f["ax"] < u["ax"]) & (u["ax"] < f["bx"]) & (u["ay"] < f["ay"]) & (f["ay"] < u["by"])))
+
+
 def once(df: DataFrame, **columns: Column) -> DataFrame:
     """df with further columns that are computed once: a generator of one row keeps the optimizer from
     copying an expression into each of its uses, which inside lambdas would repeat it for every element."""

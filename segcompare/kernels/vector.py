@@ -3,7 +3,8 @@
 A batch of pairs advances together. The frontier is five parallel arrays (pair, x0, y0, x1, y1). A box smaller
 than the threshold is counted pixel by pixel; a larger one is split into fan-out parts, and each part is judged
 against both rings: a part that an edge meets is undecided, any other is wholly inside or outside. Only parts
-whose contribution is open go on; the first box is never judged. Work is bounded by `chunk_cells`.
+whose contribution is open go on; the first box is never judged. At most `frontier_boxes` boxes advance at once,
+the others wait on a stack, and at most `chunk_cells` pixels are counted at once, a larger box strip by strip.
 """
 
 from __future__ import annotations
@@ -40,6 +41,7 @@ class Options:
     edge_cache: int = 256
     frontier: str = "level"
     chunk_cells: int = 4_000_000
+    frontier_boxes: int = 1 << 18
     pixels_only: bool = False
 
     @property
@@ -168,12 +170,12 @@ def split(x0: np.ndarray, y0: np.ndarray, x1: np.ndarray, y1: np.ndarray, g: int
 
 
 def needs_split(f1: np.ndarray, f2: np.ndarray) -> np.ndarray:
-    """For the intersection alone: one ring undecided and none of them outside."""
+    """For the intersection alone: a part goes on where one ring is undecided and none lies outside of it."""
     return ((f1 == STRADDLE) | (f2 == STRADDLE)) & (f1 != OUTSIDE) & (f2 != OUTSIDE)
 
 
 def needs_split_joint(f1: np.ndarray, f2: np.ndarray) -> np.ndarray:
-    """For intersection and union together: any ring undecided, but for one that lies all inside."""
+    """For intersection and union together: a part goes on where any ring is undecided."""
     return (f1 == STRADDLE) | (f2 == STRADDLE)
 
 
@@ -184,8 +186,21 @@ class _Work:
         self.inter, self.union, self.pixels, self.boxes, self.partitions, self.level = (np.zeros(n, np.int64) for _ in range(6))
 
 
-def _count_pixels(p: Rings, q: Rings, box: tuple[np.ndarray, ...], work: _Work, options: Options) -> None:
+def _strips(box: tuple[np.ndarray, ...], cells: int) -> tuple[np.ndarray, ...]:
+    """The same pixels with boxes of more than `cells` cut into strips of whole rows."""
     pair, x0, y0, x1, y1 = box
+    rows = np.maximum(1, cells // np.maximum(x1 - x0, 1))
+    strips = np.maximum(1, -(-(y1 - y0) // rows))
+    if (strips == 1).all():
+        return box
+    of = np.repeat(np.arange(len(pair)), strips)
+    k = np.arange(len(of)) - np.repeat(np.cumsum(strips) - strips, strips)
+    lo = y0[of] + k * rows[of]
+    return pair[of], x0[of], lo, x1[of], np.minimum(lo + rows[of], y1[of])
+
+
+def _count_pixels(p: Rings, q: Rings, box: tuple[np.ndarray, ...], work: _Work, options: Options) -> None:
+    pair, x0, y0, x1, y1 = box = _strips(box, options.chunk_cells)
     size = (x1 - x0) * (y1 - y0)
     part = np.cumsum(size) // options.chunk_cells
     for rows in np.split(np.arange(len(pair)), np.flatnonzero(np.diff(part)) + 1) if len(pair) else ():
@@ -234,7 +249,7 @@ def hybrid(p: Rings, q: Rings, options: Options = Options()) -> _Work:
         root = (np.arange(n), mx(p.box[0], q.box[0]), mx(p.box[1], q.box[1]), mn(p.box[2], q.box[2]), mn(p.box[3], q.box[3]))
     some = (root[3] > root[1]) & (root[4] > root[2])
     root = tuple(v[some] for v in root)
-    batch = 1 if options.layout == "records" else len(root[0]) if options.frontier == "level" else 65_536
+    batch = 1 if options.layout == "records" else min(len(root[0]), options.frontier_boxes) if options.frontier == "level" else 65_536
     stack = [(0, root)]
     while stack:
         level, box = stack.pop()
@@ -245,7 +260,7 @@ def hybrid(p: Rings, q: Rings, options: Options = Options()) -> _Work:
         if len(following[0]):
             stack.append((level + 1, following))
             if options.frontier == "level" and options.layout == "columns":
-                batch = max(batch, len(following[0]))
+                batch = min(max(batch, len(following[0])), options.frontier_boxes)
     if options.union == "indirect" and not options.pixels_only:
         work.union = p.area + q.area - work.inter
     return work

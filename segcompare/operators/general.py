@@ -131,6 +131,15 @@ def op_agg_approx(spark: SparkSession, d: str) -> DataFrame:
     return x.select((F.abs(F.col("a") - F.col("b")) <= 0.1 * F.col("b")).alias("within"))
 
 
+def op_agg_sketch(spark: SparkSession, d: str) -> DataFrame:
+    """Distinct counts from sketches that are made per flag and merged: whether they are near the exact count."""
+    lines = load(spark, d, "lineitem")
+    parts = lines.groupBy("l_returnflag").agg(F.hll_sketch_agg("l_orderkey", 14).alias("sketch"))
+    merged = parts.agg(F.hll_sketch_estimate(F.hll_union_agg("sketch")).alias("a"))
+    exact = lines.agg(F.count_distinct("l_orderkey").alias("b"))
+    return merged.join(exact).select((F.abs(F.col("a") - F.col("b")) <= 0.05 * F.col("b")).alias("within"))
+
+
 def op_agg_rollup(spark: SparkSession, d: str) -> DataFrame:
     return load(spark, d, "part").rollup("p_brand", "p_size").agg(F.grouping_id().cast("int").alias("level"), F.count(F.lit(1)).alias("n")).select("p_brand", "p_size", "level", "n")
 
@@ -343,10 +352,15 @@ def register_table_functions(spark: SparkSession) -> None:
     spark.udtf.register("seg_boxes", F.udtf(_Boxes, returnType="level int, x0 bigint, y0 bigint, x1 bigint, y1 bigint, f1 int, f2 int"))
 
 
+def pixel_sums(pixels: DataFrame) -> DataFrame:
+    """obj_id, x, y rows -> obj_id, n, sum_x, sum_y."""
+    return pixels.groupBy("obj_id").agg(F.count(F.lit(1)).alias("n"), F.sum("x").alias("sum_x"), F.sum("y").alias("sum_y"))
+
+
 def op_udtf(spark: SparkSession, d: str) -> DataFrame:
     register_table_functions(spark)
-    cells(spark, d, "P").filter("obj_id < 80").select("obj_id", "ring").createOrReplaceTempView("_seg_rings")
-    return spark.sql("SELECT r.obj_id, t.x, t.y FROM _seg_rings r, LATERAL seg_pixels(r.ring) t")
+    cells(spark, d, "P").select("obj_id", "ring").createOrReplaceTempView("_seg_rings")
+    return pixel_sums(spark.sql("SELECT r.obj_id, t.x, t.y FROM _seg_rings r, LATERAL seg_pixels(r.ring) t"))
 
 
 def op_cogroup(spark: SparkSession, d: str) -> DataFrame:

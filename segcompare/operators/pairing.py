@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.geometry import ring_area
 from ..sources.fixtures import with_boxes
 
 
@@ -63,6 +64,12 @@ def pairing_stats(pairs: DataFrame, areas: DataFrame) -> DataFrame:
     return joined.select("image_id", "candidates", "positive", F.round(1 - F.col("positive") / F.col("candidates"), 6).alias("false_share"))
 
 
+def size_filter(objects: DataFrame, least: int, most: int | None = None) -> DataFrame:
+    """Objects whose area lies in [least, most], with the area: specks and merged blobs are left out before pairing."""
+    sized = objects.withColumn("area", ring_area(F.col("ring"))).filter(F.col("area") >= least)
+    return sized if most is None else sized.filter(F.col("area") <= most)
+
+
 def roi_filter(objects: DataFrame, minx: int, miny: int, maxx: int, maxy: int) -> DataFrame:
     """Objects whose boxes meet a region; on a stored layout the comparisons reach the Parquet statistics."""
     return objects.filter((F.col("minx") <= maxx) & (F.col("maxx") >= minx) & (F.col("miny") <= maxy) & (F.col("maxy") >= miny))

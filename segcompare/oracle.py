@@ -66,13 +66,13 @@ def _objects(side: str) -> str:
 
 
 _SUM = "CAST(sum(inter) AS BIGINT) AS inter_sum, CAST(sum(uni) AS BIGINT) AS uni_sum"
-_COLS = r"""WITH w AS (SELECT doc_id, 1 + n_chars % 3 AS width, list_filter(regexp_split_to_array(text, '[ \t\n\r\x0B\f]+'), lambda x: x <> '')[1:128] AS words FROM documents),
+_COLS = r"""WITH w AS (SELECT doc_id, 1 + n_chars % 3 AS width, list_filter(regexp_split_to_array(text, '[ \t\n\r\x0B\f]+'), lambda x: x <> '') AS words FROM documents),
 h AS (SELECT doc_id, width, unnest(words) AS word, generate_subscripts(words, 1) AS i FROM w),
 c AS (SELECT doc_id, width, i, 1 + length(word) % 16 AS h FROM h)
 """
 _EVENTS = """WITH a AS (SELECT event_id, CASE WHEN event_id % 2 = 0 THEN 'P' ELSE 'Q' END AS side, CAST((event_id // 2) % 18 AS INTEGER) AS image_id, (event_id // 36) % 64 AS tile_id, CAST(round(value * 1000) AS BIGINT) AS bytes, ts FROM events)
 """
-_TRI = """WITH v AS (SELECT vec_id, label, CAST(embedding[1] AS DOUBLE) AS x1, CAST(embedding[2] AS DOUBLE) AS y1, CAST(embedding[3] AS DOUBLE) AS x2, CAST(embedding[4] AS DOUBLE) AS y2, CAST(embedding[5] AS DOUBLE) AS x3, CAST(embedding[6] AS DOUBLE) AS y3 FROM embeddings WHERE vec_id < 200),
+_TRI = """WITH v AS (SELECT vec_id, label, CAST(embedding[1] AS DOUBLE) AS x1, CAST(embedding[2] AS DOUBLE) AS y1, CAST(embedding[3] AS DOUBLE) AS x2, CAST(embedding[4] AS DOUBLE) AS y2, CAST(embedding[5] AS DOUBLE) AS x3, CAST(embedding[6] AS DOUBLE) AS y3 FROM embeddings),
 s AS (SELECT vec_id, label, g, x1 * g AS x1, y1 * g AS y1, x2 * g AS x2, y2 * g AS y2, x3 * g AS x3, y3 * g AS y3 FROM v, (VALUES (4), (16), (64), (256)) t(g)),
 ex AS (SELECT *, abs((x1 * y2 - x2 * y1) + (x2 * y3 - x3 * y2) + (x3 * y1 - x1 * y3)) / 2 AS exact FROM s),
 r AS (SELECT *, unnest(range(CAST(floor(least(y1, y2, y3)) AS BIGINT), CAST(floor(greatest(y1, y2, y3)) AS BIGINT) + 1)) + 0.5 AS cy FROM ex),
@@ -108,9 +108,15 @@ def _windows(starts: str, length: str) -> str:
     return _EVENTS + f"SELECT s AS start, s + INTERVAL '{length}' AS \"end\", image_id, count(*) AS files, CAST(sum(bytes) AS BIGINT) AS bytes FROM (SELECT *, {starts} AS s FROM a) WHERE ts >= s AND ts < s + INTERVAL '{length}' GROUP BY s, image_id"
 
 
-_SCALE = "SELECT CAST(f AS INTEGER) AS factor, CAST(f * f * sum(inter) AS BIGINT) AS inter_sum, CAST(f * f * sum(uni) AS BIGINT) AS uni_sum FROM ar, range(1, 6) t(f) WHERE image_id = 3 GROUP BY f"
+_SCALE = "SELECT CAST(f AS INTEGER) AS factor, CAST(f * f * sum(inter) AS BIGINT) AS inter_sum, CAST(f * f * sum(uni) AS BIGINT) AS uni_sum FROM ar, range(1, 6) t(f) GROUP BY f"
+
+_PIXEL_SUMS = F1 + "SELECT obj_id, count(*) AS n, CAST(sum(x) AS BIGINT) AS sum_x, CAST(sum(y) AS BIGINT) AS sum_y FROM (SELECT c.obj_id, c.x, c.y, count(e.x) AS n FROM (SELECT obj_id, x, unnest(range(miny, maxy)) AS y FROM (SELECT obj_id, miny, maxy, unnest(range(minx, maxx)) AS x FROM pb)) c LEFT JOIN pe e ON e.obj_id = c.obj_id AND e.x > c.x AND e.lo <= c.y AND c.y < e.hi GROUP BY ALL) WHERE n % 2 = 1 GROUP BY obj_id"
 
 SQL: dict[str, str] = {
+    "rings_assembled": F1 + "SELECT obj_id, CAST(nv AS INTEGER) AS n_vertices, area FROM pb",
+    "objects_by_size": F1 + "SELECT obj_id, area FROM pb WHERE area BETWEEN 100 AND 400",
+    "agreement_shapes": "SELECT shape, method, CAST(0 AS BIGINT) AS mismatches FROM (VALUES ('vessels'), ('columns')) s(shape), (VALUES ('hybrid'), ('joint'), ('overlay')) t(method)",
+    "arrivals_outer": _EVENTS + "SELECT p.image_id, p.tile_id, p.event_id AS p_event FROM a p WHERE p.side = 'P' AND NOT EXISTS (SELECT 1 FROM a q WHERE q.side = 'Q' AND q.image_id = p.image_id AND q.tile_id = p.tile_id AND q.ts BETWEEN p.ts - INTERVAL 1 HOUR AND p.ts + INTERVAL 1 HOUR) AND p.ts <= (SELECT least(max(ts) FILTER (WHERE side = 'P'), max(ts) FILTER (WHERE side = 'Q')) - INTERVAL 2 DAY FROM a)",
     "fx_objects_p": _objects("p"),
     "fx_objects_q": _objects("q"),
     "fx_stats": F1 + "SELECT side, count(*) AS objects, round(avg(area), 6) AS mean_area, round(stddev_samp(area), 6) AS sd_area FROM (SELECT 'P' AS side, area FROM pb UNION ALL SELECT 'Q', area FROM qb) GROUP BY side",
@@ -119,18 +125,18 @@ SQL: dict[str, str] = {
     "fx_columns": _COLS + "SELECT doc_id AS obj_id, CAST(2 + 2 * sum(CASE WHEN h = prev THEN 0 ELSE 1 END) AS INTEGER) AS n_vertices, CAST(sum(h * width) AS BIGINT) AS area FROM (SELECT *, coalesce(lag(h) OVER (PARTITION BY doc_id ORDER BY i), -1) AS prev FROM c) GROUP BY doc_id",
     "fx_scaled_area": F1 + "SELECT CAST(f AS INTEGER) AS factor, CAST(f * f * sum(area) AS BIGINT) AS area FROM pb, range(1, 6) t(f) GROUP BY f",
     "parse_ok": F1 + "SELECT image_id, count(*) AS objects, CAST(sum(area) AS BIGINT) AS area_sum FROM pb WHERE (obj_id // 4) % 50 NOT IN (0, 1, 2, 3) GROUP BY image_id",
-    "parse_rejects": "SELECT reason, count(*) AS n FROM (SELECT CASE o_orderkey % 50 WHEN 0 THEN 'not integers' WHEN 1 THEN 'slanted edge' WHEN 2 THEN 'too few vertices' WHEN 3 THEN 'repeated vertex' END AS reason FROM orders UNION ALL SELECT 'not integers' FROM documents WHERE doc_id % 10 = 0) WHERE reason IS NOT NULL GROUP BY reason",
-    "parse_vector_equals": "SELECT (SELECT count(*) FROM orders) + (SELECT count(*) FROM documents WHERE doc_id % 10 = 0) AS lines, CAST(0 AS BIGINT) AS mismatches",
+    "parse_rejects": "SELECT reason, count(*) AS n FROM (SELECT CASE o_orderkey % 50 WHEN 0 THEN 'not integers' WHEN 1 THEN 'slanted edge' WHEN 2 THEN 'too few vertices' WHEN 3 THEN 'repeated vertex' END AS reason FROM orders UNION ALL SELECT 'not integers' FROM documents) WHERE reason IS NOT NULL GROUP BY reason",
+    "parse_vector_equals": "SELECT (SELECT count(*) FROM orders) + (SELECT count(*) FROM documents) AS lines, CAST(0 AS BIGINT) AS mismatches",
     "ring_repair": F1 + "SELECT obj_id, CAST(nv AS INTEGER) AS n_vertices, area FROM pb WHERE (obj_id // 4) % 50 IN (4, 5)",
     "ring_area": F1 + "SELECT obj_id, area FROM pb",
     "ring_area_partials": F1 + "SELECT obj_id, area FROM pb",
     "ring_mbr": F1 + f"SELECT obj_id, {_BOX} FROM qb",
     "ring_edges": F1 + "SELECT obj_id, CAST(row_number() OVER (PARTITION BY obj_id ORDER BY seq) - 1 AS INTEGER) AS seq, x, lo, hi, sgn FROM pe",
     "centroid": F1 + "SELECT obj_id, round(sum((x + nx) * (x * ny - nx * y)) / (3 * sum(x * ny - nx * y)), 6) AS cx, round(sum((y + ny) * (x * ny - nx * y)) / (3 * sum(x * ny - nx * y)), 6) AS cy FROM pv GROUP BY obj_id",
-    "pixel_in_ring": F1 + "SELECT obj_id, x, y FROM (SELECT c.obj_id, c.x, c.y, count(e.x) AS n FROM (SELECT obj_id, x, unnest(range(miny, maxy)) AS y FROM (SELECT obj_id, miny, maxy, unnest(range(minx, maxx)) AS x FROM pb WHERE image_id = 3)) c LEFT JOIN pe e ON e.obj_id = c.obj_id AND e.x > c.x AND e.lo <= c.y AND c.y < e.hi GROUP BY ALL) WHERE n % 2 = 1",
-    "box_position_grid": F1.rstrip() + ", px AS (SELECT c.obj_id, c.x, c.y, count(e.x) AS n FROM (SELECT obj_id, x, unnest(range(miny, maxy)) AS y FROM (SELECT obj_id, miny, maxy, unnest(range(minx, maxx)) AS x FROM pb WHERE image_id = 3 AND tile_id = 0)) c LEFT JOIN pe e ON e.obj_id = c.obj_id AND e.x > c.x AND e.lo <= c.y AND c.y < e.hi GROUP BY ALL), "
-    "bx AS (SELECT obj_id, bx, by_ FROM pb, range(0, 193, 16) t(bx), range(0, 193, 16) u(by_) WHERE image_id = 3 AND tile_id = 0), "
-    "cn AS (SELECT bx.obj_id, bx, by_, count(px.x) AS n FROM bx LEFT JOIN (SELECT * FROM px WHERE n % 2 = 1) px ON px.obj_id = bx.obj_id AND px.x // 16 * 16 = bx AND px.y // 16 * 16 = by_ GROUP BY ALL) SELECT obj_id, bx, by_ AS \"by\", CASE n WHEN 0 THEN 0 WHEN 256 THEN 1 ELSE -1 END AS pos FROM cn",
+    "pixel_in_ring": _PIXEL_SUMS,
+    "box_position_grid": F1.rstrip() + ", px AS (SELECT c.obj_id, c.x, c.y, count(e.x) AS n FROM (SELECT obj_id, x, unnest(range(miny, maxy)) AS y FROM (SELECT obj_id, miny, maxy, unnest(range(minx, maxx)) AS x FROM pb)) c LEFT JOIN pe e ON e.obj_id = c.obj_id AND e.x > c.x AND e.lo <= c.y AND c.y < e.hi GROUP BY ALL), "
+    "bx AS (SELECT obj_id, bx, unnest(range(CAST(floor(miny / 16) * 16 AS BIGINT), maxy, 16)) AS by_ FROM (SELECT *, unnest(range(CAST(floor(minx / 16) * 16 AS BIGINT), maxx, 16)) AS bx FROM pb)), "
+    "cn AS (SELECT bx.obj_id, bx, by_, count(px.x) AS n FROM bx LEFT JOIN (SELECT * FROM px WHERE n % 2 = 1) px ON px.obj_id = bx.obj_id AND CAST(floor(px.x / 16) * 16 AS BIGINT) = bx AND CAST(floor(px.y / 16) * 16 AS BIGINT) = by_ GROUP BY ALL) SELECT obj_id, bx, by_ AS \"by\", CASE n WHEN 0 THEN 0 WHEN 256 THEN 1 ELSE -1 END AS pos FROM cn",
     "pairs_tile_closed": F1 + "SELECT image_id, tile_id, p_id, q_id FROM pr",
     "pairs_tile_open": F1 + f"SELECT p.image_id, p.tile_id, p.obj_id AS p_id, q.obj_id AS q_id FROM pb p JOIN qb q ON p.image_id = q.image_id AND p.tile_id = q.tile_id AND {_MEET_OPEN}",
     "pairs_image_grid": F1 + f"SELECT p.image_id, p.obj_id AS p_id, q.obj_id AS q_id FROM pb p JOIN qb q ON p.image_id = q.image_id AND {_MEET}",
@@ -140,14 +146,14 @@ SQL: dict[str, str] = {
     "pairing_stats": F1 + "SELECT image_id, count(*) AS candidates, count(*) FILTER (WHERE inter > 0) AS positive, round(1 - count(*) FILTER (WHERE inter > 0) / count(*), 6) AS false_share " + _BY_IMAGE,
     "pairs_roi": F1 + "SELECT image_id, tile_id, p_id, q_id FROM pr WHERE pminx <= 100 AND pmaxx >= 0 AND pminy <= 100 AND pmaxy >= 0 AND qminx <= 100 AND qmaxx >= 0 AND qminy <= 100 AND qmaxy >= 0",
     "area_pixel_classes": F1 + "SELECT image_id, p_id, q_id, inter AS n_both, uni - inter AS n_one, (greatest(pmaxx, qmaxx) - least(pminx, qminx)) * (greatest(pmaxy, qmaxy) - least(pminy, qminy)) - uni AS n_none FROM ar JOIN (SELECT p_id, q_id, pminx, pminy, pmaxx, pmaxy, qminx, qminy, qmaxx, qmaxy FROM pr) USING (p_id, q_id)",
-    "area_hybrid_relational": _AREAS + " WHERE image_id <= 5",
+    "area_hybrid_relational": _AREAS,
     "area_thresholds": F1 + f"SELECT t.threshold, {_SUM} FROM ar, (VALUES (2), (16), (64), (128), (256)) t(threshold) GROUP BY t.threshold",
     "area_scaled": F1 + _SCALE,
-    "area_layouts": F1 + f"SELECT t.layout, {_SUM} FROM ar, (VALUES ('records'), ('columns'), ('blocks'), ('cached')) t(layout) WHERE image_id = 3 GROUP BY t.layout",
+    "area_layouts": F1 + f"SELECT t.layout, {_SUM} FROM ar, (VALUES ('records'), ('columns'), ('blocks'), ('cached')) t(layout) GROUP BY t.layout",
     "agreement": F1 + "SELECT t.method, count(*) AS pairs, CAST(0 AS BIGINT) AS mismatches FROM ar, (VALUES ('spans'), ('hybrid'), ('joint'), ('overlay')) t(method) GROUP BY t.method",
     "score_all": F1 + "SELECT count(*) AS pairs, round(avg(ratio), 6) AS score FROM hit",
     "score_set_level": _SETS,
-    "score_set_pixels": f"SELECT * FROM ({_SETS}) WHERE image_id <= 5",
+    "score_set_pixels": _SETS,
     "missing_objects": F1 + "SELECT image_id, side, count(*) AS total, count(m) AS matched, count(*) - count(m) AS missing FROM (SELECT image_id, 'P' AS side, obj_id, m FROM pb LEFT JOIN (SELECT DISTINCT p_id AS obj_id, 1 AS m FROM hit) USING (obj_id) UNION ALL SELECT image_id, 'Q', obj_id, m FROM qb LEFT JOIN (SELECT DISTINCT q_id AS obj_id, 1 AS m FROM hit) USING (obj_id)) GROUP BY ALL",
     "unmatched_objects": F1 + "SELECT image_id, 'P' AS side, obj_id FROM pb WHERE obj_id NOT IN (SELECT p_id FROM hit) UNION ALL SELECT image_id, 'Q', obj_id FROM qb WHERE obj_id NOT IN (SELECT q_id FROM hit)",
     "overlap_profile": F1 + "SELECT image_id, CAST(sum(area_p) AS BIGINT) AS sum_p, CAST(sum(area_q) AS BIGINT) AS sum_q, CAST(sum(inter) AS BIGINT) AS sum_inter, round(avg(inter / area_p), 6) AS share_p, round(avg(inter / area_q), 6) AS share_q FROM hit GROUP BY image_id",
@@ -175,7 +181,7 @@ SQL: dict[str, str] = {
     "arrivals_asof": _EVENTS + "SELECT image_id, tile_id, (SELECT max_by(p.event_id, (p.ts, p.event_id)) FROM a p WHERE p.side = 'P' AND p.image_id = q.image_id AND p.tile_id = q.tile_id AND p.ts <= q.ts) AS p_event, event_id AS q_event FROM a q WHERE side = 'Q'",
     "arrivals_interval": _EVENTS + "SELECT p.image_id, p.tile_id, p.event_id AS p_event, q.event_id AS q_event FROM a p JOIN a q ON p.side = 'P' AND q.side = 'Q' AND p.image_id = q.image_id AND p.tile_id = q.tile_id AND q.ts BETWEEN p.ts - INTERVAL '1 hour' AND p.ts + INTERVAL '1 hour'",
     "tile_assembler": _EVENTS.rstrip() + ", r AS (SELECT *, row_number() OVER (PARTITION BY image_id, tile_id, side ORDER BY event_id) AS rn FROM a) SELECT p.image_id, p.tile_id, p.event_id AS p_event, q.event_id AS q_event FROM r p JOIN r q ON p.side = 'P' AND q.side = 'Q' AND p.image_id = q.image_id AND p.tile_id = q.tile_id AND p.rn = q.rn",
-    "stream_score": F1 + f"SELECT image_id, count(*) AS pairs, round(avg(ratio), 6) AS score FROM hit WHERE (image_id, tile_id) IN ({_EVENTS} SELECT image_id, tile_id FROM a WHERE side = 'P') GROUP BY image_id",
+    "stream_score": F1 + f"SELECT image_id, count(*) AS pairs, round(avg(ratio), 6) AS score FROM hit WHERE (image_id, tile_id) IN ({_EVENTS} SELECT image_id, tile_id FROM a GROUP BY ALL HAVING count(DISTINCT side) = 2) GROUP BY image_id",
     "pixel_resolution": _TRI + "SELECT CAST(g AS INTEGER) AS g, count(*) AS n, round(avg(err), 6) AS mean_rel_error FROM e GROUP BY g",
     "pixel_error_by_label": _TRI + "SELECT label, count(*) AS n, round(avg(err), 6) AS mean_rel_error FROM e WHERE g = 64 GROUP BY label",
     "io_json_round_trip": F1 + "SELECT obj_id, area FROM pb",
@@ -201,6 +207,7 @@ SQL: dict[str, str] = {
     "op_agg_hash": "SELECT l_returnflag AS flag, l_linestatus AS status, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS qty, round(avg(l_discount), 6) AS avg_disc FROM lineitem GROUP BY ALL",
     "op_agg_distinct": "SELECT l_suppkey, count(DISTINCT l_partkey) AS n FROM lineitem GROUP BY 1",
     "op_agg_approx": "SELECT TRUE AS within",
+    "op_agg_sketch": "SELECT TRUE AS within",
     "op_agg_rollup": "SELECT p_brand, p_size, CAST(grouping(p_brand, p_size) AS INTEGER) AS level, count(*) AS n FROM part GROUP BY ROLLUP (p_brand, p_size)",
     "op_agg_cube": "SELECT lang, source, count(*) AS n, CAST(sum(n_chars) AS BIGINT) AS chars FROM documents GROUP BY CUBE (lang, source)",
     "op_agg_gsets": "SELECT l_returnflag, l_linestatus, count(*) AS n FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())",
@@ -230,11 +237,11 @@ SQL: dict[str, str] = {
     "op_sqludf": F1 + "SELECT obj_id, area FROM pb",
     "op_arrowudf": F1 + "SELECT obj_id, area FROM pb",
     "op_udaf": F1 + "SELECT image_id, round(avg(ratio), 6) AS score FROM hit GROUP BY image_id",
-    "op_udtf": F1 + "SELECT obj_id, x, y FROM (SELECT c.obj_id, c.x, c.y, count(e.x) AS n FROM (SELECT obj_id, x, unnest(range(miny, maxy)) AS y FROM (SELECT obj_id, miny, maxy, unnest(range(minx, maxx)) AS x FROM pb WHERE obj_id < 80)) c LEFT JOIN pe e ON e.obj_id = c.obj_id AND e.x > c.x AND e.lo <= c.y AND c.y < e.hi GROUP BY ALL) WHERE n % 2 = 1",
+    "op_udtf": _PIXEL_SUMS,
     "op_cogroup": F1 + "SELECT image_id, tile_id, count(p_id) AS n FROM (SELECT image_id, tile_id FROM pb UNION SELECT image_id, tile_id FROM qb) LEFT JOIN pr USING (image_id, tile_id) GROUP BY ALL",
 }
 SQL |= {name: _AREAS for name in ("area_edge_form", "area_edge_form_exploded", "area_pixel", "area_pixel_vector", "area_pixel_spans", "area_hybrid", "area_hybrid_overlap_root", "area_hybrid_joint", "area_boxes_only", "area_hybrid_stack", "area_overlay", "area_overlay_union")}
-SQL |= {name: _SCORES for name in ("score_plain", "score_rewritten", "scheme_staged", "scheme_streams", "scheme_pipelined", "scheme_chunked16", "scheme_database", "routed_lanes")}
+SQL |= {name: _SCORES for name in ("score_plain", "score_rewritten", "scheme_staged", "scheme_streams", "scheme_pipelined", "scheme_chunked16", "scheme_database", "routed_lanes", "routed_stream")}
 SQL["satellite_pairs"] = SQL["fx_satellites"].replace("SELECT image_id, tile_id, CAST(obj_id AS BIGINT)", "sb AS (SELECT image_id, tile_id, CAST(obj_id AS BIGINT)", 1).replace("FROM l JOIN pl USING (k)) sb", "FROM l JOIN pl USING (k)), sb") + f""" ),{_rings("p", "po")},
 sj AS (SELECT p.image_id, p.obj_id AS s_id, q.obj_id AS p_id, p.minx, p.miny, p.maxx, p.maxy FROM sb p JOIN pb q ON p.image_id = q.image_id AND p.tile_id = q.tile_id AND {_MEET}),
 si AS (SELECT s.image_id, s_id, p_id, sum(e.sgn * greatest(least(e.hi, s.maxy) - greatest(e.lo, s.miny), 0) * (greatest(e.x, s.maxx) - greatest(e.x, s.minx))) AS inter FROM sj s JOIN pe e ON e.obj_id = s.p_id GROUP BY ALL)

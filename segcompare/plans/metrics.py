@@ -53,6 +53,26 @@ def geo_mean(column: Column) -> Column:
     return F.exp(F.avg(F.ln(column)))
 
 
+def run_seconds(make: Callable[[], DataFrame], runs: int = 1) -> float:
+    """Median seconds of making and computing a frame; what a scheme does before it returns counts."""
+    taken = []
+    for _ in range(runs):
+        began = time.perf_counter()
+        timed(make())
+        taken.append(time.perf_counter() - began)
+    return sorted(taken)[runs // 2]
+
+
+def image_speedups(p: DataFrame, q: DataFrame, base: Callable[[DataFrame, DataFrame], DataFrame], other: Callable[[DataFrame, DataFrame], DataFrame]) -> list[tuple[int, float, float, float]]:
+    """(image, seconds of base, seconds of other, speed-up) of each image's two sets."""
+    out = []
+    for (image,) in p.select("image_id").distinct().orderBy("image_id").collect():  # as many rows as images
+        own = [df.filter(F.col("image_id") == image) for df in (p, q)]
+        a, b = (run_seconds(lambda f=f: f(*own)) for f in (base, other))
+        out.append((image, a, b, speedup(a, b)))
+    return out
+
+
 def profile_query(p: DataFrame, q: DataFrame, variant: str = "rewritten", runs: int = 3) -> list[tuple[str, float, float]]:
     """(component, seconds, share) of a comparison query: prefixes of the plan are timed and subtracted."""
     pairs = lambda: pairing.candidate_pairs(p, q)
@@ -85,11 +105,18 @@ def sweep(pairs: DataFrame, factors: list[int], settings: list[vector.Options])
 
 
 def workload_stats(objects: DataFrame) -> DataFrame:
-    """Objects, mean and sample deviation of the area."""
+    """Objects, mean and sample deviation of the area (see pair_stats for pairs)."""
     area = g.ring_area(F.col("ring"))
     return objects.select(area.alias("a")).agg(F.count(F.lit(1)).alias("objects"), F.round(F.avg("a"), 6).alias("mean_area"), F.round(F.stddev_samp("a"), 6).alias("sd_area"))
 
 
+def pair_stats(objects: DataFrame, pairs: DataFrame) -> DataFrame:
+    """Pairs, pairs an object, mean and sample deviation of the pairs in a tile."""
+    by_tile = pairs.groupBy("image_id", "tile_id").agg(F.count(F.lit(1)).alias("n"))
+    tiles = objects.groupBy("image_id", "tile_id").agg(F.count(F.lit(1)).alias("objects")).join(by_tile, ["image_id", "tile_id"], "left").withColumn("n", F.coalesce("n", F.lit(0)))
+    return tiles.agg(F.sum("n").alias("pairs"), F.round(F.sum("n") / F.sum("objects"), 6).alias("pairs_per_object"), F.round(F.avg("n"), 6).alias("mean_pairs"), F.round(F.stddev_samp("n"), 6).alias("sd_pairs"))
+
+
 def pixel_area_float(triangles: DataFrame, resolution: int) -> DataFrame:
     """Polygons with real coordinates, enlarged by `resolution`: exact area and count of pixel centres inside (any edge direction)."""
     g_ = float(resolution)

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..functions import geometry as g
 from ..kernels import native, vector
 from ..operators import pairing, similarity
+from ..sources import parse
 from ..storage import materialised
 
 
@@ -39,14 +40,28 @@ def _rounded(scores: DataFrame) -> DataFrame:
     return scores.select("image_id", "pairs", F.round("score", 6).alias("score"))
 
 
+def aggregated(pairs: DataFrame, options: vector.Options = vector.Options()) -> DataFrame:
+    """The aggregation stage of the schemes: the adaptive kernel on each pair."""
+    return native.areas_only(vector.hybrid_areas(pairs, options))
+
+
+def objects_of(rows: DataFrame) -> DataFrame:
+    """Objects, parsed where the rows are lines of text."""
+    return parse.parse_polygons(rows)[0] if "text" in rows.columns else rows
+
+
 def run_staged(p: DataFrame, q: DataFrame, streams: int = 1) -> DataFrame:
-    """Each stage's result is stored before the next begins; several streams work on their own images side by side."""
+    """Stages parse (of lines of text), index, pair, aggregate; each one's result is stored before the next begins.
+
+    Several streams work on their own images side by side.
+    """
 
     def one(k: int) -> DataFrame:
         own = lambda df: df.filter(F.col("image_id") % streams == k)
-        a, b = (materialised(pairing.with_boxes(own(df)), "boxed") for df in (p, q))
+        parsed = (materialised(objects_of(own(df)), "parsed") if "text" in df.columns else own(df) for df in (p, q))
+        a, b = (materialised(pairing.with_boxes(df), "boxed") for df in parsed)
         pairs = materialised(pairing.candidate_pairs(a, b), "pairs")
-        areas = materialised(native.areas_only(native.edge_form_areas(pairs)), "areas")
+        areas = materialised(aggregated(pairs), "areas")
         return materialised(similarity.partial_scores(areas), "scores")
 
     with ThreadPoolExecutor(streams) as pool:
@@ -58,8 +73,8 @@ def run_staged(p: DataFrame, q: DataFrame, streams: int = 1) -> DataFrame:
 
 
 def run_pipelined(p: DataFrame, q: DataFrame) -> DataFrame:
-    """One lazy plan: stages fuse into tasks, and only the tile join and the score move rows."""
-    return _rounded(similarity.mean_ratio(native.edge_form_areas(pairing.candidate_pairs(p, q))))
+    """One lazy plan from objects or lines of text: stages fuse into tasks, and only the tile join and the score move rows."""
+    return _rounded(similarity.mean_ratio(aggregated(pairing.candidate_pairs(objects_of(p), objects_of(q)))))
 
 
 def run_database_style(p: DataFrame, q: DataFrame, chunks: int = 16) -> DataFrame:
@@ -96,5 +111,5 @@ def plain_query(p: DataFrame, q: DataFrame) -> DataFrame:
 
 
 def rewritten_query(p: DataFrame, q: DataFrame) -> DataFrame:
-    """Box test and positive area instead of the predicate, union from the areas."""
-    return run_pipelined(p, q)
+    """Box test and positive area instead of the predicate, one overlay a pair, and the union from the areas."""
+    return _rounded(similarity.mean_ratio(vector.overlay_areas(pairing.candidate_pairs(p, q))))

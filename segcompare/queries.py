@@ -14,7 +14,7 @@ from .plans import metrics, pipeline, rebalance
 from .sources import fixtures as fx
 from .sources import io, parse
 from .storage import materialised
-from .streaming import arrivals
+from .streaming import arrivals, backlog
 
 Query = Callable[[SparkSession, str], DataFrame]
 Options = vector.Options
@@ -144,16 +144,18 @@ def centroid(s, d):
 
 @query
 def pixel_in_ring(s, d):
-    p = fx.with_boxes(fx.cells(s, d, "P").filter("image_id = 3"))
+    """Pixels inside each object, by the test of one pixel: how many, and the sums of their places."""
+    p = fx.with_boxes(fx.cells(s, d, "P"))
     cells = p.select("obj_id", "ring", "miny", "maxy", F.explode(F.sequence("minx", F.col("maxx") - 1)).alias("x")).withColumn("y", F.explode(F.sequence("miny", F.col("maxy") - 1)))
-    return cells.filter(g.pixel_in_ring(F.col("ring"), F.col("x"), F.col("y"))).select("obj_id", "x", "y")
+    return general.pixel_sums(cells.filter(g.pixel_in_ring(F.col("ring"), F.col("x"), F.col("y"))))
 
 
 @query
 def box_position_grid(s, d):
-    """Positions of the 16 by 16 boxes of a tile against its objects."""
-    p = fx.cells(s, d, "P").filter("image_id = 3 AND tile_id = 0")
-    cells = p.select("obj_id", "ring", F.explode(F.expr("sequence(0L, 192L, 16L)")).alias("bx")).withColumn("by", F.explode(F.expr("sequence(0L, 192L, 16L)")))
+    """Positions of the grid boxes of 16 by 16 pixels that each object's bounding box meets."""
+    p = fx.with_boxes(fx.cells(s, d, "P"))
+    steps = lambda lo, hi: F.explode(F.sequence(F.floor(F.col(lo) / 16) * 16, F.floor((F.col(hi) - 1) / 16) * 16, F.lit(16).cast("bigint")))
+    cells = p.select("obj_id", "ring", "miny", "maxy", steps("minx", "maxx").alias("bx")).withColumn("by", steps("miny", "maxy"))
     return cells.select("obj_id", "bx", "by", g.box_position(F.col("ring"), F.col("bx"), F.col("by"), F.col("bx") + 16, F.col("by") + 16).alias("pos"))
 
 
@@ -260,8 +262,30 @@ _hybrid("area_hybrid_stack", Options(frontier="stack", fan_out=4, threshold=8))
 
 @query
 def area_hybrid_relational(s, d):
-    p, q = (o.filter("image_id <= 5") for o in _sides(s, d))
-    return relational.hybrid_relational(pairing.candidate_pairs(p, q), Options(fan_out=4, threshold=16))
+    return relational.hybrid_relational(_pairs(s, d), Options(fan_out=4, threshold=16))
+
+
+@query
+def agreement_shapes(s, d):
+    """Pairs whose areas differ between the adaptive kernel and the closed form, on vessels and on skylines."""
+    out = None
+    for name, p, q in (("vessels", fx.vessels(s, d), fx.cells(s, d, "P")), ("columns", fx.columns(s, d), fx.columns(s, d, shift=1))):
+        pairs = pairing.candidate_pairs(p, q)
+        row = similarity.agreement(vector.pixel_areas(pairs), hybrid=vector.hybrid_areas(pairs), joint=vector.hybrid_areas(pairs, Options(union="direct")), overlay=vector.overlay_areas(pairs)).select(F.lit(name).alias("shape"), "method", "mismatches")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query
+def rings_assembled(s, d):
+    """Rings taken apart into vertex rows and put together again in order."""
+    rows = fx.cells(s, d, "P").select("image_id", "tile_id", "obj_id", F.posexplode("ring").alias("seq", "v")).select("image_id", "tile_id", "obj_id", "seq", "v.x", "v.y")
+    return g.assembled_rings(rows, ["image_id", "tile_id", "obj_id"]).select("obj_id", F.size("ring").alias("n_vertices"), g.ring_area(F.col("ring")).alias("area"))
+
+
+@query
+def objects_by_size(s, d):
+    return pairing.size_filter(fx.cells(s, d, "P"), 100, 400).select("obj_id", "area")
 
 
 @query
@@ -290,7 +314,7 @@ def area_thresholds(s, d):
 
 @query
 def area_scaled(s, d):
-    pairs = _pairs(s, d).filter("image_id = 3")
+    pairs = _kept_pairs(s, d)
     big = lambda k: pairs.select(*native.KEYS, g.scale_ring(F.col("ring_p"), k).alias("ring_p"), g.scale_ring(F.col("ring_q"), k).alias("ring_q"))
     return _sums([(k, "factor", vector.hybrid_areas(big(k))) for k in (1, 2, 3, 4, 5)])
 
@@ -301,7 +325,7 @@ LAYOUTS = {"records": Options(layout="records", edge_block=1, edge_cache=0), "co
 
 @query
 def area_layouts(s, d):
-    pairs = _pairs(s, d).filter("image_id = 3")
+    pairs = _kept_pairs(s, d)
     return _sums([(name, "layout", vector.hybrid_areas(pairs, o)) for name, o in LAYOUTS.items()])
 
 
@@ -355,8 +379,7 @@ def score_set_level(s, d):
 
 @query
 def score_set_pixels(s, d):
-    p, q = (o.filter("image_id <= 5") for o in _sides(s, d))
-    return similarity.set_jaccard_pixels(p, q)
+    return similarity.set_jaccard_pixels(*_sides(s, d))
 
 
 @query
@@ -557,6 +580,17 @@ def stream_score(s, d):
     return arrivals.stream_scores(s, d)
 
 
+@query
+def routed_stream(s, d):
+    """Scores of pairs that arrive as a stream, with the lanes' cut moved by the backlog between batches."""
+    return backlog.routed_scores(_pairs(s, d))
+
+
+@query
+def arrivals_outer(s, d):
+    return arrivals.unanswered(s, d)
+
+
 @query
 def late_rows(s, d):
     return arrivals.late_rows(s, d)
@@ -567,7 +601,7 @@ def late_rows(s, d):
 
 @query
 def pixel_resolution(s, d):
-    t = fx.triangles(s, d).filter("vec_id < 200")
+    t = fx.triangles(s, d)
     out = None
     for k in (4, 16, 64, 256):
         row = metrics.pixel_error(t, k).agg(F.lit(k).alias("g"), F.count(F.lit(1)).alias("n"), F.round(F.avg("rel_error"), 6).alias("mean_rel_error"))
@@ -577,7 +611,7 @@ def pixel_resolution(s, d):
 
 @query
 def pixel_error_by_label(s, d):
-    t = fx.triangles(s, d).filter("vec_id < 200")
+    t = fx.triangles(s, d)
     return metrics.pixel_error(t, 64).groupBy("label").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg("rel_error"), 6).alias("mean_rel_error"))
 
 

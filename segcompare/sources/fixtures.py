@@ -110,9 +110,9 @@ def vessels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def column_heights(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """doc_id, width, heights: word lengths of the first 128 words as a skyline."""
+    """doc_id, width, heights: the lengths of all words as a skyline."""
     docs = load(spark, sf_dir, "documents")
-    words = F.slice(F.filter(F.split("text", r"[ \t\n\r\x0B\f]+"), lambda w: w != ""), 1, 128)
+    words = F.filter(F.split("text", r"[ \t\n\r\x0B\f]+"), lambda w: w != "")
     return docs.select("doc_id", (1 + F.col("n_chars") % 3).alias("width"), F.transform(words, lambda w: (1 + F.length(w) % 16).cast("bigint")).alias("heights")).filter(F.size("heights") > 0)
 
 
@@ -140,7 +140,7 @@ def raw_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     line = F.concat_ws(" ", F.col("obj_id").cast("string"), F.array_join(coords, " "))
     text = F.when(F.col("k") % 50 == 0, F.concat(line, F.lit(".5"))).otherwise(line)
     rings = p.select("image_id", "algo", "tile_id", F.col("k").alias("line_no"), text.alias("text"))
-    junk = load(spark, sf_dir, "documents").filter("doc_id % 10 = 0").select(F.expr("cast(doc_id % 18 as int)").alias("image_id"), F.lit("P").alias("algo"), F.lit(0).cast("bigint").alias("tile_id"), (-1 - F.col("doc_id")).alias("line_no"), "text")
+    junk = load(spark, sf_dir, "documents").select(F.expr("cast(doc_id % 18 as int)").alias("image_id"), F.lit("P").alias("algo"), F.lit(0).cast("bigint").alias("tile_id"), (-1 - F.col("doc_id")).alias("line_no"), "text")
     return rings.unionByName(junk)
 
 

@@ -62,10 +62,20 @@ def _ring_of(text: str | None) -> tuple[int | None, list[tuple[int, int]] | None
     twice = sum(a[0] * b[1] - b[0] * a[1] for a, b in zip(ring, ring[1:] + ring[:1], strict=True))
     if not twice:
         return numbers[0], None, "no area"
+    if _crosses_itself(ring):
+        return numbers[0], None, "crosses itself"
     corners = [v for v, before, after in zip(ring, steps[-1:] + steps[:-1], steps, strict=True) if bool(before[0]) != bool(after[0])]
     return numbers[0], corners[::-1] if twice < 0 else corners, None
 
 
+def _crosses_itself(ring: list[tuple[int, int]]) -> bool:
+    v = np.array(ring, np.int64)
+    lo, hi = np.minimum(v, np.roll(v, -1, 0)), np.maximum(v, np.roll(v, -1, 0))
+    up = lo[:, 0] == hi[:, 0]
+    flat_lo, flat_hi = lo[~up], hi[~up]
+    return any(((flat_lo[:, 0] < x) & (x < flat_hi[:, 0]) & (a < flat_lo[:, 1]) & (flat_lo[:, 1] < b)).any() for x, a, b in zip(lo[up, 0], lo[up, 1], hi[up, 1], strict=True))
+
+
 def _vector(raw: DataFrame) -> DataFrame:
     kind = pa.list_(pa.struct([("x", pa.int64()), ("y", pa.int64())]))
 

@@ -90,6 +90,21 @@ def interval_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return run_to_end(p.join(q, near).select(F.col("p_image").alias("image_id"), F.col("p_tile").alias("tile_id"), "p_event", "q_event"), "append")
 
 
+def unanswered(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """P files without a Q file of their tile within an hour, by a left outer stream join.
+
+    A row is certain once the watermark has passed its hour, so only files two days older than the last ones of both
+    sides are given out; those after that may still be waiting when the input ends.
+    """
+    path = stage_arrivals(spark, sf_dir)
+    stream = lambda side, prefix: read_arrivals(spark, path).filter(F.col("side") == side).select(F.col("image_id").alias(f"{prefix}_image"), F.col("tile_id").alias(f"{prefix}_tile"), F.col("event_id").alias(f"{prefix}_event"), F.col("event_time").alias(f"{prefix}_time")).withWatermark(f"{prefix}_time", "60 minutes")
+    p, q = stream("P", "p"), stream("Q", "q")
+    near = (F.col("p_image") == F.col("q_image")) & (F.col("p_tile") == F.col("q_tile")) & F.expr("q_time BETWEEN p_time - INTERVAL 1 HOUR AND p_time + INTERVAL 1 HOUR")
+    alone = run_to_end(p.join(q, near, "left_outer").select(F.col("p_image").alias("image_id"), F.col("p_tile").alias("tile_id"), "p_event", "p_time", "q_event"), "append").filter("q_event IS NULL")
+    ends = tile_arrivals(spark, sf_dir).agg(F.least(F.max(F.when(F.col("side") == "P", F.col("event_time"))), F.max(F.when(F.col("side") == "Q", F.col("event_time")))).alias("last"))
+    return alone.join(F.broadcast(ends), F.col("p_time").cast("timestamp_ntz") <= F.col("last") - F.expr("INTERVAL 2 DAYS")).select("image_id", "tile_id", "p_event")
+
+
 def asof(spark: SparkSession, sf_dir: str) -> DataFrame:
     """For each Q file, the last P file of its tile at or before it: union, then the last non-null value."""
     a = tile_arrivals(spark, sf_dir)
@@ -120,8 +135,11 @@ class TileAssembler:
         p, q = sorted(p), sorted(q)
         k = min(len(p), len(q))
         rows = [(*key, a, b) for a, b in zip(p[:k], q[:k], strict=True)]
-        state.update((p[k:], q[k:]))
-        if p[k:] or q[k:]:
+        if not (p[k:] or q[k:]):
+            if state.exists:
+                state.remove()
+        else:
+            state.update((p[k:], q[k:]))
             state.setTimeoutTimestamp(state.getCurrentWatermarkMs() + 24 * 3600 * 1000)
         yield pd.DataFrame(rows, columns=["image_id", "tile_id", "p_event", "q_event"])
 
@@ -132,13 +150,29 @@ def assemble_tiles(spark: SparkSession, sf_dir: str) -> DataFrame:
     return run_to_end(made, "append")
 
 
+class BothSides:
+    """Gives a tile out once, when files of both sides have arrived; the state is three flags a tile, whatever is sent again."""
+
+    OUTPUT = "image_id int, tile_id bigint"
+    STATE = "p boolean, q boolean, done boolean"
+
+    def __call__(self, key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        p, q, done = state.get if state.exists else (False, False, False)
+        for frame in frames:
+            sides = set(frame["side"])
+            p, q = p or "P" in sides, q or "Q" in sides
+        ready = bool(p and q and not done)
+        state.update((bool(p), bool(q), bool(done or ready)))
+        yield pd.DataFrame([key] if ready else [], columns=["image_id", "tile_id"])
+
+
 def stream_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Running score per image over the tiles whose P file has arrived (re-sent files count once): sums are mergeable.
+    """Running score per image over the tiles whose P and Q files have arrived (re-sent files count once): sums are mergeable.
 
     Each micro-batch compares its own new tiles with the batch kernel; the running state is (sum, count).
     """
-    arrivals = read_arrivals(spark, stage_arrivals(spark, sf_dir)).withWatermark("event_time", "60 minutes")
-    fresh = arrivals.filter("side = 'P'").dropDuplicates(["image_id", "tile_id"]).select("image_id", "tile_id")
+    arrivals = read_arrivals(spark, stage_arrivals(spark, sf_dir))
+    fresh = arrivals.groupBy("image_id", "tile_id").applyInPandasWithState(BothSides(), BothSides.OUTPUT, BothSides.STATE, "append", GroupStateTimeout.NoTimeout)
     p, q = cells(spark, sf_dir, "P"), cells(spark, sf_dir, "Q")
     out, checkpoint = new_path(spark, "scores"), new_path(spark, "progress")
     seen = []
