@@ -68,7 +68,7 @@ def _objects(side: str) -> str:
 _SUM = "CAST(sum(inter) AS BIGINT) AS inter_sum, CAST(sum(uni) AS BIGINT) AS uni_sum"
 _COLS = r"""WITH w AS (SELECT doc_id, 1 + n_chars % 3 AS width, list_filter(regexp_split_to_array(text, '[ \t\n\r\x0B\f]+'), lambda x: x <> '') AS words FROM documents),
 h AS (SELECT doc_id, width, unnest(words) AS word, generate_subscripts(words, 1) AS i FROM w),
-c AS (SELECT doc_id, width, i, 1 + length(word) % 16 AS h FROM h)
+c AS (SELECT doc_id * 65536 + (i - 1) // 128 AS obj_id, width, i, 1 + length(word) % 16 AS h FROM h)
 """
 _EVENTS = """WITH a AS (SELECT event_id, CASE WHEN event_id % 2 = 0 THEN 'P' ELSE 'Q' END AS side, CAST((event_id // 2) % 18 AS INTEGER) AS image_id, (event_id // 36) % 64 AS tile_id, CAST(round(value * 1000) AS BIGINT) AS bytes, ts FROM events)
 """
@@ -122,7 +122,7 @@ SQL: dict[str, str] = {
     "fx_stats": F1 + "SELECT side, count(*) AS objects, round(avg(area), 6) AS mean_area, round(stddev_samp(area), 6) AS sd_area FROM (SELECT 'P' AS side, area FROM pb UNION ALL SELECT 'Q', area FROM qb) GROUP BY side",
     "fx_satellites": f"WITH {_PLACED}, l AS (SELECT l_orderkey AS k, l_linenumber AS n, sum(l_partkey) AS sp, sum(l_suppkey) AS ss, sum(CAST(l_quantity AS BIGINT)) AS sq FROM lineitem GROUP BY ALL), "
     "m AS (SELECT image_id, tile_id, 8 * k + n AS obj_id, x0 + sp % 18 AS minx, y0 + ss % 18 AS miny, sq, sp FROM l JOIN pl USING (k)) SELECT image_id, tile_id, CAST(obj_id AS BIGINT) AS obj_id, CAST(minx AS BIGINT) AS minx, CAST(miny AS BIGINT) AS miny, CAST(minx + 2 + sq % 5 AS BIGINT) AS maxx, CAST(miny + 2 + sp % 5 AS BIGINT) AS maxy FROM m",
-    "fx_columns": _COLS + "SELECT doc_id AS obj_id, CAST(2 + 2 * sum(CASE WHEN h = prev THEN 0 ELSE 1 END) AS INTEGER) AS n_vertices, CAST(sum(h * width) AS BIGINT) AS area FROM (SELECT *, coalesce(lag(h) OVER (PARTITION BY doc_id ORDER BY i), -1) AS prev FROM c) GROUP BY doc_id",
+    "fx_columns": _COLS + "SELECT obj_id, CAST(2 + 2 * sum(CASE WHEN h = prev THEN 0 ELSE 1 END) AS INTEGER) AS n_vertices, CAST(sum(h * width) AS BIGINT) AS area FROM (SELECT *, coalesce(lag(h) OVER (PARTITION BY obj_id ORDER BY i), -1) AS prev FROM c) GROUP BY obj_id",
     "fx_scaled_area": F1 + "SELECT CAST(f AS INTEGER) AS factor, CAST(f * f * sum(area) AS BIGINT) AS area FROM pb, range(1, 6) t(f) GROUP BY f",
     "parse_ok": F1 + "SELECT image_id, count(*) AS objects, CAST(sum(area) AS BIGINT) AS area_sum FROM pb WHERE (obj_id // 4) % 50 NOT IN (0, 1, 2, 3) GROUP BY image_id",
     "parse_rejects": "SELECT reason, count(*) AS n FROM (SELECT CASE o_orderkey % 50 WHEN 0 THEN 'not integers' WHEN 1 THEN 'slanted edge' WHEN 2 THEN 'too few vertices' WHEN 3 THEN 'repeated vertex' END AS reason FROM orders UNION ALL SELECT 'not integers' FROM documents) WHERE reason IS NOT NULL GROUP BY reason",
@@ -171,7 +171,7 @@ SQL: dict[str, str] = {
     "vessel_pairs": F1.rstrip() + ", tl AS (SELECT DISTINCT image_id, tile_id, (tile_id % 8) * 208 AS x, (tile_id // 8) * 208 AS y FROM pb), "
     "ve AS (SELECT image_id, tile_id, x + ex AS x, y + elo AS lo, y + ehi AS hi, s AS sgn FROM tl, (VALUES (208, 0, 40, -1), (40, 40, 168, -1), (208, 168, 208, -1), (0, 0, 208, 1)) t(ex, elo, ehi, s)), "
     f"vp AS (SELECT b.image_id, CAST(b.image_id AS BIGINT) * 1000000 + b.tile_id AS p_id, b.obj_id AS q_id, CAST(-sum({_TERM.replace('a.', 'v.').replace('b.', 'e.')}) AS BIGINT) AS inter, any_value(b.area) AS area FROM pb b JOIN ve v ON v.image_id = b.image_id AND v.tile_id = b.tile_id JOIN pe e ON e.obj_id = b.obj_id GROUP BY ALL) SELECT image_id, p_id, q_id, inter, 208 * 208 - 168 * 128 + area - inter AS uni FROM vp WHERE inter > 0",
-    "column_pairs": _COLS + "SELECT doc_id AS p_id, CAST(sum(CASE WHEN prev IS NULL THEN 0 ELSE least(h, prev) * width END) AS BIGINT) AS inter FROM (SELECT *, lag(h) OVER (PARTITION BY doc_id ORDER BY i) AS prev FROM c) GROUP BY doc_id",
+    "column_pairs": _COLS + "SELECT obj_id AS p_id, CAST(sum(CASE WHEN prev IS NULL THEN 0 ELSE least(h, prev) * width END) AS BIGINT) AS inter FROM (SELECT *, lag(h) OVER (PARTITION BY obj_id ORDER BY i) AS prev FROM c) GROUP BY obj_id",
     "tasks": _TASKS + "SELECT image_id, tile_id, objects, vertices, pairs, pixels FROM tk",
     "batches": _TASKS + "SELECT image_id * 1000000 + coalesce(before, 0) // 100000 AS batch_id, count(*) AS tasks, CAST(sum(pixels) AS BIGINT) AS cost FROM (SELECT *, CAST(sum(pixels) OVER (PARTITION BY image_id ORDER BY tile_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS BIGINT) AS before FROM (SELECT CAST(image_id AS BIGINT) AS image_id, tile_id, pixels FROM tk)) GROUP BY 1",
     "geo_mean": F1 + "SELECT round(exp(avg(ln(n))), 6) AS geo_mean FROM (SELECT image_id, CAST(count(*) AS DOUBLE) AS n FROM pb GROUP BY image_id)",

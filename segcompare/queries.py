@@ -330,8 +330,8 @@ def area_layouts(s, d):
 
 
 def _kept_pairs(s: SparkSession, d: str) -> DataFrame:
-    """All pairs, joined once for a sweep's many settings."""
-    return materialised(_pairs(s, d), "pairs")
+    """All pairs, joined once for a sweep's many settings and dealt over all cores, as a pair's work is large for its bytes."""
+    return materialised(_pairs(s, d).repartition(4 * s.sparkContext.defaultParallelism), "pairs")
 
 
 METHODS = [Options(pixels_only=True, union="direct"), Options(union="direct"), Options()]
@@ -482,7 +482,7 @@ def satellite_pairs(s, d):
 
 @query
 def column_pairs(s, d):
-    pairs = pairing.candidate_pairs(fx.columns(s, d), fx.columns(s, d, shift=1))
+    pairs = pairing.candidate_pairs(fx.columns(s, d), fx.columns(s, d, shift=1)).repartition(4 * s.sparkContext.defaultParallelism)
     return vector.hybrid_areas(pairs).select("p_id", "inter")
 
 

@@ -110,10 +110,12 @@ def vessels(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def column_heights(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """doc_id, width, heights: the lengths of all words as a skyline."""
+    """obj_id, width, heights: the lengths of a document's words as skylines of 128 words each; obj_id is 65,536 * doc_id + part."""
     docs = load(spark, sf_dir, "documents")
     words = F.filter(F.split("text", r"[ \t\n\r\x0B\f]+"), lambda w: w != "")
-    return docs.select("doc_id", (1 + F.col("n_chars") % 3).alias("width"), F.transform(words, lambda w: (1 + F.length(w) % 16).cast("bigint")).alias("heights")).filter(F.size("heights") > 0)
+    every = docs.select("doc_id", (1 + F.col("n_chars") % 3).alias("width"), F.transform(words, lambda w: (1 + F.length(w) % 16).cast("bigint")).alias("heights")).filter(F.size("heights") > 0)
+    parts = every.select("doc_id", "width", "heights", F.explode(F.sequence(F.lit(0), F.floor((F.size("heights") - 1) / 128).cast("int"))).alias("part"))
+    return parts.select((F.col("doc_id") * 65536 + F.col("part")).alias("obj_id"), "width", F.slice("heights", F.col("part") * 128 + 1, F.lit(128)).alias("heights"))
 
 
 def columns(spark: SparkSession, sf_dir: str, shift: int = 0) -> DataFrame:
@@ -124,9 +126,9 @@ def columns(spark: SparkSession, sf_dir: str, shift: int = 0) -> DataFrame:
     tops = F.flatten(F.transform(F.sequence(n - 1, F.lit(0).cast("bigint"), F.lit(-1).cast("bigint")), lambda k: F.array(F.struct((left + (k + 1) * F.col("width")).alias("x"), F.get("heights", k.cast("int")).alias("y")), F.struct((left + k * F.col("width")).alias("x"), F.get("heights", k.cast("int")).alias("y")))))
     zero = F.lit(0).cast("bigint")
     base = F.array(F.struct(left.cast("bigint").alias("x"), zero.alias("y")), F.struct((left + n * F.col("width")).cast("bigint").alias("x"), zero.alias("y")))
-    rows = geometry.once(sky, given=F.concat(base, tops)).select("doc_id", "given")
+    rows = geometry.once(sky, given=F.concat(base, tops)).select("obj_id", "given")
     rows = geometry.repaired(rows, "given", "ring")
-    return rows.select(F.lit(0).alias("image_id"), F.col("doc_id").alias("tile_id"), F.lit(f"C{shift}").alias("algo"), F.col("doc_id").alias("obj_id"), "ring")
+    return rows.select(F.lit(0).alias("image_id"), F.col("obj_id").alias("tile_id"), F.lit(f"C{shift}").alias("algo"), "obj_id", "ring")
 
 
 def raw_text(spark: SparkSession, sf_dir: str) -> DataFrame:
