@@ -29,7 +29,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .shared import saved
@@ -214,8 +214,9 @@ def remove_repeats(docs: DataFrame, plan: Plan = Plan(), with_text: bool = True,
     """One row per row of docs: words, words removed, and what is kept (digest, and text if asked for)."""
     own = bucketed(docs, plan.bucket_bytes, id_col, text_col)
     anchors = saved(_count_anchors(own, plan), "anchors")
-    totals = anchors.groupBy("key").agg(F.sum("n").alias("total")).filter("total > 1")
-    repeated = anchors.join(totals, "key").select("bucket", "key", "total").distinct()
+    # a row is an anchor in a batch of documents, so that of a frequent one there are as many as batches, not as places
+    counted = anchors.withColumn("total", F.sum("n").over(Window.partitionBy("key"))).filter("total > 1")
+    repeated = counted.select("bucket", "key", "total")
     grouped = own.groupBy("bucket")
     # a part has about as many words as a bucket
     parts = max(1, min(-(-text_bytes(docs, text_col) // plan.bucket_bytes), 1 << 30))
