@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 import time
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -63,14 +63,12 @@ def run_seconds(make: Callable[[], DataFrame], runs: int = 1) -> float:
     return sorted(taken)[runs // 2]
 
 
-def image_speedups(p: DataFrame, q: DataFrame, base: Callable[[DataFrame, DataFrame], DataFrame], other: Callable[[DataFrame, DataFrame], DataFrame]) -> list[tuple[int, float, float, float]]:
-    """(image, seconds of base, seconds of other, speed-up) of each image's two sets."""
-    out = []
+def image_speedups(p: DataFrame, q: DataFrame, base: Callable[[DataFrame, DataFrame], DataFrame], other: Callable[[DataFrame, DataFrame], DataFrame]) -> Iterator[tuple[int, float, float, float]]:
+    """(image, seconds of base, seconds of other, speed-up) of each image's two sets, one after another."""
     for (image,) in p.select("image_id").distinct().orderBy("image_id").collect():  # as many rows as images
         own = [df.filter(F.col("image_id") == image) for df in (p, q)]
         a, b = (run_seconds(lambda f=f: f(*own)) for f in (base, other))
-        out.append((image, a, b, speedup(a, b)))
-    return out
+        yield image, a, b, speedup(a, b)
 
 
 def profile_query(p: DataFrame, q: DataFrame, variant: str = "rewritten", runs: int = 3) -> list[tuple[str, float, float]]:
