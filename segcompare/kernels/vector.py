@@ -28,7 +28,7 @@ class Options:
 
     fan_out n = g * g parts of a split; threshold T: boxes below it are counted by pixels (default n * n / 2);
     union "indirect" (from the ring areas) or "direct"; root "joint" box of the pair or "overlap" of the boxes;
-    layout "records" (a box at a time) or "columns" (parallel arrays); edge_block edges are tested at once;
+    layout "records" (an array of boxes) or "columns" (parallel arrays); edge_block edges are tested at once;
     rings of up to edge_cache edges are kept as dense blocks; frontier "level" or "stack" (bounded memory).
     """
 
@@ -58,6 +58,15 @@ class Options:
             raise ValueError("the threshold is 2 or more")
         return t
 
+    @property
+    def at_once(self) -> int:
+        """Boxes that advance at once: their parts are a million at most."""
+        return max(1, min(self.frontier_boxes, (1 << 20) // self.fan_out))
+
+
+#: Rows of boxes and edges that are compared in one go.
+_ROWS = 1 << 14
+
 
 def default_threshold(fan_out: int) -> int:
     return fan_out * fan_out // 2
@@ -72,6 +81,7 @@ class Rings:
         following[offsets[1:][n > 0] - 1] = offsets[:-1][n > 0]
         nx, ny = xs[following], ys[following]
         self.start, self.count = offsets[:-1], n
+        self.xs, self.ys = xs, ys
         self.ax, self.bx, self.ay, self.by = np.minimum(xs, nx), np.maximum(xs, nx), np.minimum(ys, ny), np.maximum(ys, ny)
         self.up = xs == nx
         owner = np.repeat(np.arange(len(n)), n)
@@ -90,6 +100,13 @@ class Rings:
         offsets = np.asarray(column.offsets, np.int64) - (column.offsets[0].as_py() if len(column.offsets) else 0)
         return cls(np.asarray(flat.field(0), np.int64), np.asarray(flat.field(1), np.int64), offsets)
 
+    def upright(self) -> tuple[np.ndarray, np.ndarray, tuple[np.ndarray, ...]]:
+        """(start and count of each ring's vertical edges; their x, lower and upper end, sign: 1 downwards, else -1)."""
+        at = np.flatnonzero(self.up)
+        owner = np.repeat(np.arange(len(self.count)), self.count)[at]
+        count = np.bincount(owner, minlength=len(self.count))
+        return np.cumsum(count) - count, count, (self.xs[at], self.ay[at], self.by[at], np.where(self.ys[at] > self.ay[at], 1, -1))
+
     def cached(self, cap: int) -> tuple[np.ndarray, ...]:
         """Edges of the rings of up to cap edges as dense blocks, padded with edges that meet nothing."""
         if self.dense is None or self.dense[0].shape[1] < min(cap, int(self.count.max(initial=0))):
@@ -103,6 +120,12 @@ class Rings:
 
     def positions(self, pair: np.ndarray, x0: np.ndarray, y0: np.ndarray, x1: np.ndarray, y1: np.ndarray, options: Options) -> np.ndarray:
         """INSIDE, OUTSIDE or STRADDLE of each box against its pair's ring."""
+        if options.edge_cache:
+            self.cached(options.edge_cache)
+        parts = [self._positions(*(v[k : k + _ROWS] for v in (pair, x0, y0, x1, y1)), options) for k in range(0, len(pair), _ROWS)]
+        return np.concatenate(parts) if parts else np.zeros(0, np.int64)
+
+    def _positions(self, pair: np.ndarray, x0: np.ndarray, y0: np.ndarray, x1: np.ndarray, y1: np.ndarray, options: Options) -> np.ndarray:
         n = len(pair)
         meets, odd = np.zeros(n, bool), np.zeros(n, np.int64)
         count = self.count[pair]
@@ -135,26 +158,19 @@ class Rings:
 
     def raster(self, pair: np.ndarray, x0: np.ndarray, y0: np.ndarray, x1: np.ndarray, y1: np.ndarray, base: np.ndarray, total: int) -> np.ndarray:
         """Inside flags of the boxes' pixels, row by row, box k from base[k]: crossings to the left, modulo 2."""
-        flips = np.zeros(total + 1, np.int64)
         width = x1 - x0
         count = self.count[pair]
         box = np.repeat(np.arange(len(pair)), count)
         edge = np.repeat(self.start[pair] - np.cumsum(count) + count, count) + np.arange(int(count.sum()))
         lo, hi = np.maximum(self.ay[edge], y0[box]), np.minimum(self.by[edge], y1[box])
-        live = self.up[edge] & (hi > lo) & (self.ax[edge] < x1[box])
+        live = self.up[edge] & (hi > lo)
         box, edge, lo, hi = box[live], edge[live], lo[live], hi[live]
         rows = hi - lo
-        e = np.repeat(np.arange(len(box)), rows)
-        j = np.repeat(lo - np.cumsum(rows) + rows, rows) + np.arange(int(rows.sum()))
-        b = box[e]
-        np.add.at(flips, base[b] + (j - y0[b]) * width[b] + np.maximum(self.ax[edge[e]] - x0[b], 0), 1)
-        run = np.cumsum(flips[:total])
-        height = y1 - y0
-        r = np.repeat(np.arange(len(pair)), height)
-        row = np.arange(int(height.sum())) - np.repeat(np.cumsum(height) - height, height)
-        first = base[r] + row * width[r]
-        before = np.where(first > 0, run[first - 1], 0)
-        return (run - np.repeat(before, width[r])) % 2 == 1
+        # an edge beyond the right border is taken at the row's end: a closed ring then leaves nothing to the next row
+        at = base[box] + (lo - y0[box]) * width[box] + np.clip(self.ax[edge] - x0[box], 0, width[box])
+        step = np.arange(int(rows.sum())) - np.repeat(np.cumsum(rows) - rows, rows)
+        flips = np.bincount(np.repeat(at, rows) + step * np.repeat(width[box], rows), minlength=total + 1)[:total].astype(np.uint8)
+        return np.bitwise_xor.accumulate(flips & 1).view(bool)
 
 
 def split(x0: np.ndarray, y0: np.ndarray, x1: np.ndarray, y1: np.ndarray, g: int) -> tuple[np.ndarray, ...]:
@@ -186,7 +202,7 @@ class _Work:
         self.inter, self.union, self.pixels, self.boxes, self.partitions, self.level = (np.zeros(n, np.int64) for _ in range(6))
 
 
-def _strips(box: tuple[np.ndarray, ...], cells: int) -> tuple[np.ndarray, ...]:
+def strips(box: tuple[np.ndarray, ...], cells: int) -> tuple[np.ndarray, ...]:
     """The same pixels with boxes of more than `cells` cut into strips of whole rows."""
     pair, x0, y0, x1, y1 = box
     rows = np.maximum(1, cells // np.maximum(x1 - x0, 1))
@@ -200,9 +216,10 @@ def _strips(box: tuple[np.ndarray, ...], cells: int) -> tuple[np.ndarray, ...]:
 
 
 def _count_pixels(p: Rings, q: Rings, box: tuple[np.ndarray, ...], work: _Work, options: Options) -> None:
-    pair, x0, y0, x1, y1 = box = _strips(box, options.chunk_cells)
+    pair, x0, y0, x1, y1 = box = strips(box, options.chunk_cells)
     size = (x1 - x0) * (y1 - y0)
-    part = np.cumsum(size) // options.chunk_cells
+    # a box costs its pixels and a look at each edge of both rings
+    part = np.cumsum(np.maximum(size, 4 * (p.count[pair] + q.count[pair]))) // options.chunk_cells
     for rows in np.split(np.arange(len(pair)), np.flatnonzero(np.diff(part)) + 1) if len(pair) else ():
         own = tuple(v[rows] for v in box)
         base = np.cumsum(size[rows]) - size[rows]
@@ -236,6 +253,12 @@ def _advance(p: Rings, q: Rings, box: tuple[np.ndarray, ...], work: _Work, optio
     return (own[go_on], *(v[go_on] for v in part))
 
 
+def _interleaved(box: tuple[np.ndarray, ...]) -> tuple[np.ndarray, ...]:
+    """The same boxes as one array of records; its fields lie five entries apart."""
+    records = np.stack(box, 1)
+    return tuple(records[:, k] for k in range(records.shape[1]))
+
+
 def hybrid(p: Rings, q: Rings, options: Options = Options()) -> _Work:
     """Areas and counters of each pair of rings (p[k], q[k])."""
     n = len(p.count)
@@ -249,18 +272,16 @@ def hybrid(p: Rings, q: Rings, options: Options = Options()) -> _Work:
         root = (np.arange(n), mx(p.box[0], q.box[0]), mx(p.box[1], q.box[1]), mn(p.box[2], q.box[2]), mn(p.box[3], q.box[3]))
     some = (root[3] > root[1]) & (root[4] > root[2])
     root = tuple(v[some] for v in root)
-    batch = 1 if options.layout == "records" else min(len(root[0]), options.frontier_boxes) if options.frontier == "level" else 65_536
+    batch = max(1, options.at_once if options.frontier == "level" else min(options.at_once, 4096))
     stack = [(0, root)]
     while stack:
         level, box = stack.pop()
-        if len(box[0]) > max(batch, 1):
-            stack.append((level, tuple(v[: len(box[0]) - max(batch, 1)] for v in box)))
-            box = tuple(v[len(box[0]) - max(batch, 1) :] for v in box)
-        following = _advance(p, q, box, work, options, level)
+        if len(box[0]) > batch:
+            stack.append((level, tuple(v[: len(box[0]) - batch] for v in box)))
+            box = tuple(v[len(box[0]) - batch :] for v in box)
+        following = _advance(p, q, _interleaved(box) if options.layout == "records" else box, work, options, level)
         if len(following[0]):
             stack.append((level + 1, following))
-            if options.frontier == "level" and options.layout == "columns":
-                batch = min(max(batch, len(following[0])), options.frontier_boxes)
     if options.union == "indirect" and not options.pixels_only:
         work.union = p.area + q.area - work.inter
     return work
@@ -279,6 +300,29 @@ def hybrid_areas(pairs: DataFrame, options: Options = Options()) -> DataFrame:
     return pairs.select("image_id", "p_id", "q_id", "ring_p", "ring_q").mapInArrow(run, f"{AREAS}, {COUNTERS}")
 
 
+def sweep_work(pairs: DataFrame, factors: list[int], settings: list[Options]) -> DataFrame:
+    """factor, setting (its number) and the sums of the counters over all pairs: one pass, whatever the number of settings."""
+    for o in settings:
+        o.side, o.limit  # noqa: B018
+    names = ["factor", "setting", "pixels", "boxes", "partitions", "max_level"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total: dict[tuple[int, int], list[int]] = {}
+        for batch in batches:
+            given = [Rings.of(batch.column(k)) for k in (0, 1)]
+            for factor in factors if len(batch) else ():
+                p, q = (Rings(r.xs * factor, r.ys * factor, np.r_[r.start, len(r.xs)]) for r in given)
+                for k, o in enumerate(settings):
+                    work, sums = hybrid(p, q, o), total.setdefault((factor, k), [0, 0, 0, 0])
+                    for c, v in enumerate((work.pixels, work.boxes, work.partitions)):
+                        sums[c] += int(v.sum())
+                    sums[3] = max(sums[3], int(work.level.max()))
+        yield pa.RecordBatch.from_arrays([pa.array(v, pa.int32() if c in (0, 1, 5) else pa.int64()) for c, v in enumerate(zip(*((*k, *v) for k, v in total.items()), strict=True) if total else [[]] * 6)], names=names)
+
+    rows = pairs.select("ring_p", "ring_q").mapInArrow(run, "factor int, setting int, pixels long, boxes long, partitions long, max_level int")
+    return rows.groupBy("factor", "setting").agg(*(F.sum(c).alias(c) for c in names[2:5]), F.max("max_level").alias("max_level"))
+
+
 def pixel_areas(pairs: DataFrame) -> DataFrame:
     return hybrid_areas(pairs, Options(pixels_only=True, union="direct"))
 
@@ -305,8 +349,76 @@ def overlay(ring_p: np.ndarray, ring_q: np.ndarray, union: bool = False) -> np.n
     return np.stack([xs[slab], ys[lo], xs[slab + 1], ys[hi]], 1)
 
 
-def boxes_area(boxes: np.ndarray) -> int:
-    return int(((boxes[:, 2] - boxes[:, 0]) * (boxes[:, 3] - boxes[:, 1])).sum())
+def edge_form_sums(p: Rings, a: np.ndarray, q: Rings, b: np.ndarray, cells: int = 500_000) -> np.ndarray:
+    """Intersection areas of the pairs (p[a[k]], q[b[k]]) from pairs of their vertical edges, in closed form."""
+    out = np.zeros(len(a), np.int64)
+    sides = [(r, *r.upright()) for r in (p, q)]
+    (_, p_start, p_count, p_edges), (_, q_start, q_count, q_edges) = sides
+    terms = p_count[a] * q_count[b]
+    for rows in np.split(np.arange(len(a)), np.flatnonzero(np.diff(np.cumsum(terms) // cells)) + 1) if len(a) else ():
+        n = terms[rows]
+        of = np.repeat(np.arange(len(rows)), n)
+        k = np.arange(len(of)) - np.repeat(np.cumsum(n) - n, n)
+        width = q_count[b[rows]][of]
+        e, f = p_start[a[rows]][of] + k // width, q_start[b[rows]][of] + k % width
+        (px, plo, phi, psign), (qx, qlo, qhi, qsign) = (tuple(v[i] for v in edges) for edges, i in ((p_edges, e), (q_edges, f)))
+        height = np.maximum(np.minimum(phi, qhi) - np.maximum(plo, qlo), 0)
+        term = -psign * qsign * height * np.maximum(px, qx)
+        some = n > 0
+        out[rows[some]] = np.add.reduceat(term, (np.cumsum(n) - n)[some]) if len(term) else 0
+    return out
+
+
+def _cuts(owner: np.ndarray, v: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(sorted distinct values of each owner, one owner after another; their starts; their counts; the place of each v among its owner's)."""
+    order = np.lexsort((v, owner))
+    o, x = owner[order], v[order]
+    new = np.r_[True, (o[1:] != o[:-1]) | (x[1:] != x[:-1])] if len(x) else np.zeros(0, bool)
+    count = np.bincount(o[new], minlength=n)
+    start = np.cumsum(count) - count
+    place = np.empty(len(v), np.int64)
+    place[order] = np.cumsum(new) - 1
+    return x[new], start, count, place - start[owner]
+
+
+def overlay_sums(p: Rings, q: Rings, union: bool = False, cells: int = 2_000_000) -> np.ndarray:
+    """Areas of the exact intersection or union of each pair, from the slabs between all cuts of both rings.
+
+    The slabs of many pairs lie behind one another in one array, of about `cells` entries or one pair's.
+    """
+    n = len(p.count)
+    both = (p, q)
+    grown = [np.cumsum((p.count + q.count) ** 2 // 4)]
+    out = np.zeros(n, np.int64)
+    for rows in np.split(np.arange(n), np.flatnonzero(np.diff(grown[0] // cells)) + 1) if n else ():
+        lo, hi, m = rows[0], rows[-1] + 1, len(rows)
+        spans = [slice(int(r.start[lo]), int(r.start[hi - 1] + r.count[hi - 1])) for r in both]
+        owners = [np.repeat(np.arange(m), r.count[lo:hi]) for r in both]
+        owner = np.concatenate(owners)
+        if not len(owner):
+            continue
+        xs, x_start, nx, xi = _cuts(owner, np.concatenate([r.ax[s] for r, s in zip(both, spans, strict=True)]), m)
+        # an edge's lower end is another's upper end, so the lower ends and the upper ones are cut together
+        ys, y_start, ny, yi = _cuts(np.r_[owner, owner], np.concatenate([v for k in ("ay", "by") for v in (getattr(r, k)[s] for r, s in zip(both, spans, strict=True))]), m)
+        bottom, top = yi[: len(owner)], yi[len(owner) :]
+        base = np.cumsum(nx * ny) - nx * ny
+        total = int((nx * ny).sum())
+        upright = np.concatenate([r.up[s] for r, s in zip(both, spans, strict=True)])
+        inside = []
+        for first, last in ((0, len(owners[0])), (len(owners[0]), len(owner))):
+            e = np.flatnonzero(upright[first:last]) + first
+            height = top[e] - bottom[e]
+            each = np.repeat(e, height)
+            row = np.arange(len(each)) - np.repeat(np.cumsum(height) - height, height) + bottom[each]
+            flips = np.bincount(base[owner[each]] + row * nx[owner[each]] + xi[each], minlength=total).astype(np.uint8) & 1
+            inside.append(np.bitwise_xor.accumulate(flips))  # a ring is left as often as entered, so each row ends with 0
+        hit = np.flatnonzero(inside[0] | inside[1] if union else inside[0] & inside[1])
+        pair = np.searchsorted(base, hit, "right") - 1
+        cell = hit - base[pair]
+        row, column = cell // nx[pair], cell % nx[pair]
+        x, y = x_start[pair] + column, y_start[pair] + row
+        np.add.at(out, pair + lo, (xs[x + 1] - xs[x]) * (ys[y + 1] - ys[y]))
+    return out
 
 
 def overlay_areas(pairs: DataFrame, union: str = "indirect", with_boxes: bool = False) -> DataFrame:
@@ -316,19 +428,13 @@ def overlay_areas(pairs: DataFrame, union: str = "indirect", with_boxes: bool =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            inter, uni, found = [], [], []
-            sides = [Rings.of(batch.column(k)) for k in (3, 4)]
-            corners = []
-            for k in (3, 4):
-                flat = batch.column(k).flatten()
-                offsets = np.asarray(batch.column(k).offsets, np.int64)
-                corners.append(np.split(np.stack([np.asarray(flat.field(0), np.int64), np.asarray(flat.field(1), np.int64)], 1), offsets[1:-1] - offsets[0]))
-            for k in range(len(batch)):
-                a, b = corners[0][k], corners[1][k]
-                boxes = overlay(a, b)
-                inter.append(boxes_area(boxes))
-                uni.append(boxes_area(overlay(a, b, union=True)) if union == "direct" else int(sides[0].area[k] + sides[1].area[k]) - inter[-1])
-                found.append([dict(zip(("x0", "y0", "x1", "y1"), r, strict=True)) for r in boxes.tolist()] if with_boxes else None)
+            a, b = Rings.of(batch.column(3)), Rings.of(batch.column(4))
+            inter = overlay_sums(a, b)
+            uni = overlay_sums(a, b, union=True) if union == "direct" else a.area + b.area - inter
+            found = []
+            if with_boxes:
+                corners = [np.split(np.stack([r.xs, r.ys], 1), r.start[1:]) for r in (a, b)]
+                found = [[dict(zip(("x0", "y0", "x1", "y1"), r, strict=True)) for r in overlay(x, y).tolist()] for x, y in zip(*corners, strict=True)] if len(batch) else []
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array(inter, pa.int64()), pa.array(uni, pa.int64()), *([pa.array(found, kind)] if with_boxes else [])], names=names)
 
     schema = AREAS + (f", boxes {BOXES}" if with_boxes else "")

@@ -91,15 +91,12 @@ def profile_query(p: DataFrame, q: DataFrame, variant: str = "rewritten", runs:
 
 
 def sweep(pairs: DataFrame, factors: list[int], settings: list[vector.Options]) -> DataFrame:
-    """Work counters for each enlargement and setting of the adaptive kernel."""
-    out = None
-    for factor in factors:
-        big = pairs.select(*native.KEYS, g.scale_ring(F.col("ring_p"), factor).alias("ring_p"), g.scale_ring(F.col("ring_q"), factor).alias("ring_q"))
-        for o in settings:
-            method = "pixel" if o.pixels_only else "hybrid_joint" if o.union == "direct" else "hybrid"
-            row = vector.work_summary(vector.hybrid_areas(big, o)).select(F.lit(factor).alias("factor"), F.lit(method).alias("method"), F.lit(o.fan_out).alias("fanout"), F.lit(o.limit).cast("bigint").alias("threshold"), "pixels", "boxes", "partitions", "max_level")
-            out = row if out is None else out.unionByName(row)
-    return out
+    """Work counters for each enlargement and setting of the adaptive kernel, from one pass over the pairs."""
+    spark = pairs.sparkSession
+    named = [(k, f, "pixel" if o.pixels_only else "hybrid_joint" if o.union == "direct" else "hybrid", o.fan_out, o.limit) for f in factors for k, o in enumerate(settings)]
+    told = spark.createDataFrame(named, "setting int, factor int, method string, fanout int, threshold bigint")
+    # without a pair the counters are empty
+    return told.join(vector.sweep_work(pairs, factors, settings), ["factor", "setting"], "left").select("factor", "method", "fanout", "threshold", "pixels", "boxes", "partitions", "max_level")
 
 
 def workload_stats(objects: DataFrame) -> DataFrame:
