@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import geometry as g
-from ..kernels import native
+from ..kernels import native, vector
 from . import pairing
 
 
@@ -72,18 +74,37 @@ def _set_scores(counts: DataFrame) -> DataFrame:
     return counts.select("image_id", "px_p", "px_q", "px_both", "px_any", F.round(F.try_divide(F.col("px_both"), F.col("px_any")), 6).alias("score"))
 
 
-def pixels_of(objects: DataFrame) -> DataFrame:
-    """Distinct pixels of a set: only for checks, it makes a row per pixel."""
-    spans = row_spans(objects)
-    return spans.select("image_id", "y", F.explode(F.sequence("x0", F.col("x1") - 1)).alias("x")).distinct()
+def _block_counts(side: int):
+    """All rings that reach a square block of pixels -> how many of its pixels lie in P, in Q, in both, in any."""
 
+    def run(key: tuple[pa.Scalar, ...], rows: pa.Table) -> pa.Table:
+        left, low = key[1].as_py() * side, key[2].as_py() * side
+        of = np.asarray(rows.column("of").to_numpy())
+        rings = vector.Rings.of(rows.column("ring").combine_chunks())
+        x0, y0, x1, y1 = np.maximum(rings.box[0], left), np.maximum(rings.box[1], low), np.minimum(rings.box[2], left + side), np.minimum(rings.box[3], low + side)
+        size = (x1 - x0) * (y1 - y0)
+        inside = np.zeros((2, side * side), bool)
+        for part in np.split(np.arange(len(of)), np.flatnonzero(np.diff(np.cumsum(size) // 1_000_000)) + 1):
+            base = np.cumsum(size[part]) - size[part]
+            at = np.flatnonzero(rings.raster(part, x0[part], y0[part], x1[part], y1[part], base, int(size[part].sum())))
+            k = np.searchsorted(base, at, "right") - 1
+            cell, r = at - base[k], part[k]
+            width = x1[r] - x0[r]
+            inside[of[r], (y0[r] + cell // width - low) * side + x0[r] + cell % width - left] = True
+        p, q = inside
+        return pa.table({"image_id": pa.array([key[0].as_py()], pa.int32()), **{c: pa.array([int(v.sum())]) for c, v in (("px_p", p), ("px_q", q), ("px_both", p & q), ("px_any", p | q))}})
 
-def set_jaccard_pixels(p: DataFrame, q: DataFrame) -> DataFrame:
-    a, b = (pixels_of(o).withColumn(n, F.lit(1)) for o, n in ((p, "a"), (q, "b")))
-    both = a.join(b, ["image_id", "y", "x"], "full_outer")
-    n = lambda c: F.count_if(c).alias
-    in_p, in_q = F.col("a").isNotNull(), F.col("b").isNotNull()
-    return _set_scores(both.groupBy("image_id").agg(n(in_p)("px_p"), n(in_q)("px_q"), n(in_p & in_q)("px_both"), F.count(F.lit(1)).alias("px_any")))
+    return run
+
+
+def set_jaccard_pixels(p: DataFrame, q: DataFrame, side: int = 256) -> DataFrame:
+    """Set-level score per image from the pixels themselves: each block of pixels is marked ring by ring, where only rings move."""
+    rings = p.select("image_id", "ring", F.lit(0).alias("of")).unionByName(q.select("image_id", "ring", F.lit(1).alias("of")))
+    rings = rings.select("*", *(v.alias(k) for k, v in g.ring_mbr(F.col("ring")).items()))
+    blocks = lambda lo, hi: F.explode(F.sequence(F.floor(F.col(lo) / side), F.floor((F.col(hi) - 1) / side)))
+    dealt = rings.withColumn("bx", blocks("minx", "maxx")).withColumn("by", blocks("miny", "maxy")).select("image_id", "bx", "by", "of", "ring")
+    counts = dealt.groupBy("image_id", "bx", "by").applyInArrow(_block_counts(side), "image_id int, px_p long, px_q long, px_both long, px_any long")
+    return _set_scores(counts.groupBy("image_id").agg(*(F.sum(c).alias(c) for c in ("px_p", "px_q", "px_both", "px_any"))))
 
 
 def unmatched(areas: DataFrame, p: DataFrame, q: DataFrame) -> DataFrame:
@@ -113,14 +134,40 @@ def overlap_profile(areas: DataFrame) -> DataFrame:
     return hit.groupBy("image_id").agg(F.sum("area_p").alias("sum_p"), F.sum("area_q").alias("sum_q"), F.sum("inter").alias("sum_inter"), F.round(F.avg(F.col("inter") / F.col("area_p")), 6).alias("share_p"), F.round(F.avg(F.col("inter") / F.col("area_q")), 6).alias("share_q"))
 
 
+_RATIOS = "algo_a int, algo_b int, pairs long, ratio_sum double"
+
+
+def _tile_ratios(tile: pa.Table) -> pa.Table:
+    """All objects of a tile -> for each two result sets, overlapping pairs and the sum of their ratios."""
+    tile = tile.sort_by("algo")
+    algo = tile.column("algo").to_numpy()
+    rings = vector.Rings.of(tile.column("ring").combine_chunks())
+    x0, y0, x1, y1 = rings.box
+    found: dict[tuple[int, int], list[float]] = {}
+    step = max(1, 2_000_000 // len(algo))
+    for lo in range(0, len(algo), step):
+        some = slice(lo, lo + step)
+        meet = (x0[some, None] <= x1) & (x0 <= x1[some, None]) & (y0[some, None] <= y1) & (y0 <= y1[some, None]) & (algo[some, None] < algo)
+        a, b = np.nonzero(meet)
+        a += lo
+        inter = vector.edge_form_sums(rings, a, rings, b)
+        hit = inter > 0
+        a, b, inter = a[hit], b[hit], inter[hit]
+        kinds, at = np.unique(np.stack([algo[a], algo[b]], 1), axis=0, return_inverse=True)
+        at = at.reshape(-1)
+        ratios = np.bincount(at, inter / (rings.area[a] + rings.area[b] - inter), len(kinds))
+        for (i, j), n, r in zip(kinds.tolist(), np.bincount(at, minlength=len(kinds)).tolist(), ratios.tolist(), strict=True):
+            had = found.setdefault((i, j), [0, 0.0])
+            had[0], had[1] = had[0] + n, had[1] + r
+    columns = list(zip(*((i, j, n, r) for (i, j), (n, r) in found.items()), strict=True)) or [[]] * 4
+    return pa.table({c.split()[0]: pa.array(v, t) for c, v, t in zip(_RATIOS.split(", "), columns, (pa.int32(), pa.int32(), pa.int64(), pa.float64()), strict=True)})
+
+
 def cross_matrix(objects: DataFrame) -> DataFrame:
-    """Scores of all pairs of result sets (column algo): one self-join on image and tile."""
-    boxed = objects.select("image_id", "tile_id", F.col("algo").cast("int").alias("algo"), "obj_id", "ring", *(v.alias(k) for k, v in g.ring_mbr(F.col("ring")).items()))
-    side = lambda s: boxed.select("image_id", "tile_id", F.col("algo").alias(f"algo_{s}"), F.col("obj_id").alias(f"{'p' if s == 'a' else 'q'}_id"), F.col("ring").alias("ring_p" if s == "a" else "ring_q"), *(F.col(c).alias(f"{'p' if s == 'a' else 'q'}_{c}") for c in ("minx", "miny", "maxx", "maxy")))
-    pairs = side("a").join(side("b"), ["image_id", "tile_id"]).filter((F.col("algo_a") < F.col("algo_b")) & pairing.mbr_overlaps())
-    inter = pairs.select("algo_a", "algo_b", g.edge_form_inter(F.col("ring_p"), F.col("ring_q")).alias("inter"), g.ring_area(F.col("ring_p")).alias("a"), g.ring_area(F.col("ring_q")).alias("b"))
-    hit = inter.filter("inter > 0")
-    return hit.groupBy("algo_a", "algo_b").agg(F.count(F.lit(1)).alias("pairs"), F.round(F.avg(pair_ratio(F.col("inter"), F.col("a"), F.col("b"))), 6).alias("score"))
+    """Scores of all pairs of result sets (column algo): each tile's objects meet one another in one Arrow call."""
+    own = objects.select("image_id", "tile_id", F.col("algo").cast("int").alias("algo"), "ring")
+    parts = own.groupBy("image_id", "tile_id").applyInArrow(_tile_ratios, _RATIOS)
+    return parts.groupBy("algo_a", "algo_b").agg(F.sum("pairs").alias("pairs"), F.round(F.sum("ratio_sum") / F.sum("pairs"), 6).alias("score"))
 
 
 def matrix_table(matrix: DataFrame, algos: list[int]) -> DataFrame:
