@@ -118,6 +118,22 @@ def poly_touches(ring_p: Column, ring_q: Column, inter: Column) -> Column:
     return (inter == 0) & ~crosses_properly(ring_p, ring_q) & ~some_inside & some_on
 
 
+def sides(ring: Column) -> Column:
+    """The edges as boxes (ax, ay, bx, by) without width or height."""
+    return F.zip_with(ring, rotated(ring), lambda a, b: F.struct(F.least(a["x"], b["x"]).alias("ax"), F.least(a["y"], b["y"]).alias("ay"), F.greatest(a["x"], b["x"]).alias("bx"), F.greatest(a["y"], b["y"]).alias("by")))
+
+
+def touching(pairs: DataFrame) -> DataFrame:
+    """Of pairs without common area (ring_p, ring_q), those that poly_touches accepts: edges that meet.
+
+    Edges of such rings cannot cross, and no vertex of one lies inside the other, as either would bring common area;
+    so they touch where an edge of one meets an edge of the other.
+    """
+    edged = once(pairs, _sp=sides(F.col("ring_p")), _sq=sides(F.col("ring_q")))
+    meet = lambda e, f: (e["ax"] <= f["bx"]) & (f["ax"] <= e["bx"]) & (e["ay"] <= f["by"]) & (f["ay"] <= e["by"])
+    return edged.filter(F.exists("_sp", lambda e: F.exists("_sq", lambda f: meet(e, f)))).drop("_sp", "_sq")
+
+
 def centroid(ring: Column) -> Column:
     """(x, y) of the centre of mass."""
     ox, oy = ring[0]["x"], ring[0]["y"]

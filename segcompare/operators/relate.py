@@ -30,7 +30,10 @@ def contains_pairs(pairs: DataFrame) -> DataFrame:
 
 
 def touches_pairs(pairs: DataFrame) -> DataFrame:
-    return with_areas(pairs).filter("inter = 0").filter(g.poly_touches(F.col("ring_p"), F.col("ring_q"), F.col("inter"))).select(*KEYS)
+    """Pairs without common area whose boundaries meet."""
+    # computed once each: a filter on top would else put the whole closed form and all edges into every comparison
+    none = g.once(pairs, inter=g.edge_form_inter(F.col("ring_p"), F.col("ring_q"))).filter("inter = 0")
+    return g.touching(none.select(*KEYS, "ring_p", "ring_q")).select(*KEYS)
 
 
 def relations(pairs: DataFrame) -> DataFrame:
