@@ -68,10 +68,10 @@ def op_join_range(spark: SparkSession, d: str) -> DataFrame:
 
 
 def op_join_theta(spark: SparkSession, d: str) -> DataFrame:
-    p = load(spark, d, "part").select("p_brand", "p_partkey", "p_retailprice")
-    a, b = p.alias("a"), p.alias("b")
-    dearer = (F.col("a.p_brand") == F.col("b.p_brand")) & (F.col("a.p_retailprice") > F.col("b.p_retailprice"))
-    return a.join(b, dearer).groupBy(F.col("a.p_brand").alias("p_brand")).agg(F.count(F.lit(1)).alias("n"))
+    """Pairs of a brand's parts of which the first is dearer: parts of one price stand together, and a running sum counts the cheaper ones."""
+    prices = load(spark, d, "part").filter("p_brand IS NOT NULL AND p_retailprice IS NOT NULL").groupBy("p_brand", "p_retailprice").agg(F.count(F.lit(1)).alias("parts"))
+    below = F.sum("parts").over(Window.partitionBy("p_brand").orderBy("p_retailprice").rowsBetween(Window.unboundedPreceding, -1))
+    return prices.withColumn("below", below).filter("below > 0").groupBy("p_brand").agg(F.sum(F.col("parts") * F.col("below")).alias("n"))
 
 
 def op_join_outer(spark: SparkSession, d: str) -> DataFrame:
@@ -316,14 +316,21 @@ def op_udaf(spark: SparkSession, d: str) -> DataFrame:
 
 
 class _Pixels:
-    def eval(self, ring) -> Iterator[tuple[int, int]]:
-        xs, ys = [v.x for v in ring], [v.y for v in ring]
-        n = len(xs)
-        upright = [(xs[k], min(ys[k], ys[(k + 1) % n]), max(ys[k], ys[(k + 1) % n])) for k in range(n) if xs[k] == xs[(k + 1) % n]]
-        for j in range(min(ys), max(ys)):
-            for i in range(min(xs), max(xs)):
-                if sum(x > i and lo <= j < hi for x, lo, hi in upright) % 2:
-                    yield i, j
+    """The pixels of each ring of a table's Arrow batches."""
+
+    def eval(self, batch: pa.RecordBatch) -> Iterator[pa.Table]:
+        rings, ids = vector.Rings.of(batch.column("ring")), batch.column("obj_id").to_numpy()
+        x0, y0, x1, y1 = rings.box
+        boxes = vector.strips((np.arange(len(ids)), x0, y0, x1, y1), 1_000_000)
+        pair, x0, y0, x1, y1 = boxes
+        size = (x1 - x0) * (y1 - y0)
+        for part in np.split(np.arange(len(pair)), np.flatnonzero(np.diff(np.cumsum(size) // 1_000_000)) + 1) if len(pair) else ():
+            base = np.cumsum(size[part]) - size[part]
+            at = np.flatnonzero(rings.raster(*(v[part] for v in boxes), base, int(size[part].sum())))
+            k = np.searchsorted(base, at, "right") - 1
+            cell, r = at - base[k], part[k]
+            width = x1[r] - x0[r]
+            yield pa.table({"obj_id": ids[pair[r]], "x": x0[r] + cell % width, "y": y0[r] + cell // width})
 
 
 class _Boxes:
@@ -347,8 +354,8 @@ class _Boxes:
 
 
 def register_table_functions(spark: SparkSession) -> None:
-    """seg_pixels(ring), seg_boxes(ring, ring, fan_out, threshold)."""
-    spark.udtf.register("seg_pixels", F.udtf(_Pixels, returnType="x bigint, y bigint"))
+    """seg_pixels(TABLE(obj_id, ring)), seg_boxes(ring, ring, fan_out, threshold)."""
+    spark.udtf.register("seg_pixels", F.arrow_udtf(_Pixels, returnType="obj_id bigint, x bigint, y bigint"))
     spark.udtf.register("seg_boxes", F.udtf(_Boxes, returnType="level int, x0 bigint, y0 bigint, x1 bigint, y1 bigint, f1 int, f2 int"))
 
 
@@ -360,7 +367,7 @@ def pixel_sums(pixels: DataFrame) -> DataFrame:
 def op_udtf(spark: SparkSession, d: str) -> DataFrame:
     register_table_functions(spark)
     cells(spark, d, "P").select("obj_id", "ring").createOrReplaceTempView("_seg_rings")
-    return pixel_sums(spark.sql("SELECT r.obj_id, t.x, t.y FROM _seg_rings r, LATERAL seg_pixels(r.ring) t"))
+    return pixel_sums(spark.sql("SELECT obj_id, x, y FROM seg_pixels(TABLE(_seg_rings))"))
 
 
 def op_cogroup(spark: SparkSession, d: str) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.geometry import ring_area
+from ..functions.geometry import once, ring_area
 from ..sources.fixtures import with_boxes
 
 
@@ -47,9 +47,17 @@ def candidate_pairs(p: DataFrame, q: DataFrame, scope: str = "tile", closed: boo
     return pairs.filter((F.floor(corner_x / cell) == F.col("cx")) & (F.floor(corner_y / cell) == F.col("cy"))).drop("cx", "cy")
 
 
-def nested_pairs(p: DataFrame, q: DataFrame, closed: bool = True) -> DataFrame:
-    """Every box of an image against every other: the brute-force check of the joins above."""
-    return _side(p, "p_").join(_side(q, "q_"), ["image_id"]).filter(mbr_overlaps(closed))
+def nested_pairs(p: DataFrame, q: DataFrame, closed: bool = True, band: int = 64) -> DataFrame:
+    """Every box of an image against every other one that shares a band of rows with it: the check of the joins above.
+
+    Boxes without a common band cannot meet; a pair is kept in the band of the lower edge of the boxes' intersection.
+    """
+
+    def banded(side: DataFrame, prefix: str) -> DataFrame:
+        return side.withColumn("band", F.explode(F.sequence(F.floor(F.col(f"{prefix}miny") / band), F.floor(F.col(f"{prefix}maxy") / band))))
+
+    pairs = banded(_side(p, "p_"), "p_").join(banded(_side(q, "q_"), "q_"), ["image_id", "band"]).filter(mbr_overlaps(closed))
+    return pairs.filter(F.floor(F.greatest("p_miny", "q_miny") / band) == F.col("band")).drop("band")
 
 
 def ids(pairs: DataFrame, with_tile: bool = True) -> DataFrame:
@@ -66,7 +74,7 @@ def pairing_stats(pairs: DataFrame, areas: DataFrame) -> DataFrame:
 
 def size_filter(objects: DataFrame, least: int, most: int | None = None) -> DataFrame:
     """Objects whose area lies in [least, most], with the area: specks and merged blobs are left out before pairing."""
-    sized = objects.withColumn("area", ring_area(F.col("ring"))).filter(F.col("area") >= least)
+    sized = once(objects, area=ring_area(F.col("ring"))).filter(F.col("area") >= least)
     return sized if most is None else sized.filter(F.col("area") <= most)
 
 

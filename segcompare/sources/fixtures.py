@@ -42,7 +42,7 @@ def _placed(orders: DataFrame) -> DataFrame:
     rows = rows.withColumn("image_id", F.floor(F.sqrt("u")).cast("int"))
     rows = rows.withColumn("w", F.expr("k div 324 * (2 * image_id + 1) + (u - image_id * image_id)")).withColumn("tile_id", F.expr("w div 64"))
     return rows.select(
-        "k", "image_id", "tile_id",
+        "k", "image_id", "tile_id", "w",
         F.expr("(tile_id % 8) * 208 + (w % 8) * 26 + c % 9").alias("x0"),
         F.expr("(tile_id div 8) * 208 + ((w % 64) div 8) * 26 + t % 9").alias("y0"),
         F.expr("cast(c % 8 as int)").alias("shape"), F.expr("1 + (c div 8) % 4").alias("su"), F.expr("1 + t % 4").alias("sv"),
@@ -51,7 +51,14 @@ def _placed(orders: DataFrame) -> DataFrame:
 
 def _ringed(placed: DataFrame, algo: str, obj_id: Column) -> DataFrame:
     ring = F.transform(F.element_at(_shape_array(), F.col("shape") + 1), lambda v: F.struct((F.col("x0") + F.col("su") * v["x"]).alias("x"), (F.col("y0") + F.col("sv") * v["y"]).alias("y")))
-    return placed.select("image_id", "tile_id", F.lit(algo).alias("algo"), obj_id.cast("bigint").alias("obj_id"), ring.alias("ring"))
+    rows = placed.select("image_id", "tile_id", F.lit(algo).alias("algo"), obj_id.cast("bigint").alias("obj_id"), "shape", "su", "sv", "x0", "y0")
+    # filters on the ring would else make it anew for each of its vertices
+    return geometry.once(rows, ring=ring).drop("shape", "su", "sv", "x0", "y0")
+
+
+def places(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """image_id, tile_id, cell: where the orders' objects lie."""
+    return _placed(load(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_totalprice")).select("image_id", "tile_id", F.expr("w % 64").alias("cell"))
 
 
 def cells(spark: SparkSession, sf_dir: str, side: str) -> DataFrame:
