@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .shared import saved
-from .words import U64, WordHasher, byte_texts, chunks, covered, mix, shared_prefixes, sliding_min, windows
+from .words import U64, byte_texts, chunks, covered, hashed_words, mix, shared_prefixes, sliding_min, windows
 
 RESULT = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept string"
 
@@ -68,10 +68,8 @@ def bucketed(docs: DataFrame, bucket_bytes: int, id_col: str, text_col: str) ->
 class _Words:
     """The word sequence of some documents, with the windows that lie within one of them."""
 
-    def __init__(self, texts: list[bytes], hasher: WordHasher, plan: Plan):
-        self.words = [t.split() for t in texts]
-        self.sizes = np.array([len(w) for w in self.words], np.int64)
-        self.hashes = hasher([w for words in self.words for w in words])
+    def __init__(self, texts: list[bytes], plan: Plan):
+        self.hashes, self.sizes = hashed_words(texts)
         self.n, self.plan = len(self.hashes), plan
         ends = np.cumsum(self.sizes)
         self.left = np.repeat(ends, self.sizes) - np.arange(self.n)  # words from here to the document's end
@@ -102,9 +100,8 @@ def _count_anchors(docs: DataFrame, plan: Plan) -> DataFrame:
     """Anchors by bucket: key, bucket, n."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        hasher = WordHasher()
         for batch in chunks(batches, room=2 << 20):
-            words = _Words(byte_texts(batch), hasher, plan)
+            words = _Words(byte_texts(batch), plan)
             own, mark = words.anchors()
             grams = words.labels(plan.anchor)
             bucket = np.repeat(batch.column(2).to_numpy(), words.sizes)[mark]
@@ -134,10 +131,9 @@ def _suffixes(plan: Plan, parts: int):
         key = anchors.column("key").to_numpy().view(U64)
         order = np.argsort(key)
         key, total = key[order], anchors.column("total").to_numpy()[order]
-        hasher = WordHasher()
         found: dict[tuple[int, bytes], int] = {}
         for batch in _parts(docs) if len(key) else ():
-            words = _Words(byte_texts(batch), hasher, plan)
+            words = _Words(byte_texts(batch), plan)
             own, _ = words.anchors()
             at = np.minimum(np.searchsorted(key, own), len(key) - 1)
             live = np.flatnonzero((key[at] == own) & (words.left >= plan.span))
@@ -189,16 +185,18 @@ def _remove(plan: Plan, with_text: bool):
 
     def run(docs: pa.Table, repeats: pa.Table) -> pa.Table:
         label = np.sort(np.concatenate([np.frombuffer(x, U64) for x in repeats.column("labels").to_pylist()] or [np.empty(0, U64)]))
-        hasher, rows = WordHasher(), []
+        rows = []
         for batch in _parts(docs):
-            words = _Words(byte_texts(batch), hasher, plan)
+            texts = byte_texts(batch)
+            words = _Words(texts, plan)
             gone = np.zeros(words.n, bool)
             if len(label) and words.n:
                 own = words.labels(plan.span)
                 hit = (label[np.minimum(np.searchsorted(label, own), len(label) - 1)] == own) & (words.left >= plan.span)
                 gone = covered(np.flatnonzero(hit), plan.span, words.n)
             at = 0
-            for doc, own_words in zip(batch.column(0).to_pylist(), words.words, strict=True):
+            for doc, own_text in zip(batch.column(0).to_pylist(), texts, strict=True):
+                own_words = own_text.split()
                 out = gone[at : at + len(own_words)]
                 at += len(own_words)
                 kept = own_words if not out.any() else [w for w, x in zip(own_words, out.tolist(), strict=True) if not x]
