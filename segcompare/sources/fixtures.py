@@ -7,10 +7,15 @@ tiles reaching the pipeline; triangles: polygons with real coordinates.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import geometry
+from ..schema import RING
 
 IMAGES = 18
 #: Outlines of the eight shapes on a grid of 0..6, counter-clockwise.
@@ -125,16 +130,51 @@ def column_heights(spark: SparkSession, sf_dir: str) -> DataFrame:
     return parts.select((F.col("doc_id") * 65536 + F.col("part")).alias("obj_id"), "width", F.slice("heights", F.col("part") * 128 + 1, F.lit(128)).alias("heights"))
 
 
+def skyline_rings(width: np.ndarray, heights: np.ndarray, counts: np.ndarray, shift: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(x and y of the rings' vertices, vertices of each): outlines of `counts` columns each, counter-clockwise, without collinear vertices."""
+    n = 2 * counts + 2
+    end = np.cumsum(n)
+    owner = np.repeat(np.arange(len(n)), n)
+    k = np.arange(len(owner)) - (end - n)[owner]
+    # the base, left and right, then the right and left end of each top, from the last column to the first
+    column = counts[owner] - 1 - (k - 2) // 2
+    at = np.where(k < 2, np.where(k == 0, 0, counts[owner]), column + 1 - k % 2)
+    x = width[owner] * (shift + at)
+    y = np.zeros(len(owner), np.int64)
+    tops = k >= 2
+    y[tops] = heights[(np.cumsum(counts) - counts)[owner[tops]] + column[tops]]
+    first, last = end - n, end - 1
+    before, after = np.arange(len(owner)) - 1, np.arange(len(owner)) + 1
+    before[first], after[last] = last, first
+    corner = ~(((x[before] == x) & (x[after] == x)) | ((y[before] == y) & (y[after] == y)))
+    x, y, owner = x[corner], y[corner], owner[corner]
+    n = np.bincount(owner, minlength=len(n))
+    end = np.cumsum(n)
+    after = np.arange(len(owner)) + 1
+    after[(end - 1)[n > 0]] = (end - n)[n > 0]
+    turned = np.zeros(len(n), np.int64)
+    np.add.at(turned, owner, x * y[after] - x[after] * y)
+    k = np.arange(len(owner)) - (end - n)[owner]
+    order = (end - n)[owner] + np.where(turned[owner] < 0, n[owner] - 1 - k, k)
+    return x[order], y[order], n
+
+
 def columns(spark: SparkSession, sf_dir: str, shift: int = 0) -> DataFrame:
-    """Skyline polygons, moved to the right by `shift` columns; collinear vertices are removed."""
-    sky = geometry.once(column_heights(spark, sf_dir).withColumnRenamed("heights", "h"), heights=F.col("h"))
-    n = F.size("heights").cast("bigint")
-    left = F.col("width") * shift
-    tops = F.flatten(F.transform(F.sequence(n - 1, F.lit(0).cast("bigint"), F.lit(-1).cast("bigint")), lambda k: F.array(F.struct((left + (k + 1) * F.col("width")).alias("x"), F.get("heights", k.cast("int")).alias("y")), F.struct((left + k * F.col("width")).alias("x"), F.get("heights", k.cast("int")).alias("y")))))
-    zero = F.lit(0).cast("bigint")
-    base = F.array(F.struct(left.cast("bigint").alias("x"), zero.alias("y")), F.struct((left + n * F.col("width")).cast("bigint").alias("x"), zero.alias("y")))
-    rows = geometry.once(sky, given=F.concat(base, tops)).select("obj_id", "given")
-    rows = geometry.repaired(rows, "given", "ring")
+    """Skyline polygons, moved to the right by `shift` columns; collinear vertices are removed. Made in Arrow batches."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ids, width, heights = batch.columns
+            counts = np.diff(np.asarray(heights.offsets, np.int64))
+            known = np.asarray(width.is_valid())  # columns without a width have no vertices
+            flat = np.asarray(heights.flatten(), np.int64)[np.repeat(known, counts)]
+            x, y, n = skyline_rings(np.asarray(width.drop_null(), np.int64), flat, counts[known], shift)
+            size = np.zeros(len(batch), np.int64)
+            size[known] = n
+            rings = pa.ListArray.from_arrays(pa.array(np.r_[0, np.cumsum(size)], pa.int32()), pa.StructArray.from_arrays([pa.array(x, pa.int64()), pa.array(y, pa.int64())], names=["x", "y"]))
+            yield pa.RecordBatch.from_arrays([ids, rings], names=["obj_id", "ring"])
+
+    rows = column_heights(spark, sf_dir).select("obj_id", F.col("width").cast("long"), "heights").mapInArrow(run, f"obj_id long, ring {RING}")
     return rows.select(F.lit(0).alias("image_id"), F.col("obj_id").alias("tile_id"), F.lit(f"C{shift}").alias("algo"), "obj_id", "ring")
 
 
