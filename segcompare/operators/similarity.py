@@ -200,12 +200,29 @@ def worst_pairs(areas: DataFrame, k: int = 3) -> DataFrame:
 
 
 def agreement(reference: DataFrame, **others: DataFrame) -> DataFrame:
-    """Per method: pairs, and pairs whose areas differ from the reference's or are missing."""
-    out = None
-    for name, df in others.items():
-        o = df.select(*native.KEYS, F.col("inter").alias("inter_o"), F.col("uni").alias("uni_o"))
-        j = reference.select(*native.KEYS, "inter", "uni").join(o, native.KEYS, "full_outer")
-        bad = ~(F.col("inter").eqNullSafe(F.col("inter_o")) & F.col("uni").eqNullSafe(F.col("uni_o")))
-        part = j.agg(F.lit(name).alias("method"), F.count(F.lit(1)).alias("pairs"), F.count_if(bad).alias("mismatches"))
-        out = part if out is None else out.unionByName(part)
-    return out
+    """Per method: pairs, and pairs whose areas differ from the reference's or are missing.
+
+    All results meet in one exchange by pair, so each is computed once. Rows of equal ids each meet all of the other
+    side's, as in a join; rows of null ids meet none.
+    """
+    counted = lambda k: F.col(f"n{k}")
+    frames = [reference, *others.values()]
+    tagged = None
+    for at, df in enumerate(frames):
+        rows = df.select(*native.KEYS, "inter", "uni", F.lit(at).alias("of"))
+        tagged = rows if tagged is None else tagged.unionByName(rows)
+    count = lambda k: F.count_if(F.col("of") == k).alias(f"n{k}")
+    # rows with the same areas first, then all of a pair: the exchange by ids serves both
+    equal = tagged.repartition(*native.KEYS).groupBy(*native.KEYS, "inter", "uni").agg(*(count(k) for k in range(len(frames))))
+    met = [(F.sum(counted(k)).alias(f"n{k}"), F.sum(counted(0) * counted(k)).alias(f"same{k}")) for k in range(1, len(frames))]
+    by_pair = equal.groupBy(*native.KEYS).agg(F.sum("n0").alias("n0"), *(c for both in met for c in both))
+    named = F.lit(True)
+    for c in native.KEYS:
+        named = named & F.col(c).isNotNull()
+    out = []
+    for k, name in enumerate(others, 1):
+        joined = named & (counted(0) > 0) & (counted(k) > 0)
+        pairs = F.when(joined, counted(0) * counted(k)).otherwise(counted(0) + counted(k))
+        out += [F.coalesce(F.sum(pairs), F.lit(0)).cast("long").alias(f"p{k}"), F.coalesce(F.sum(pairs - F.when(joined, F.col(f"same{k}")).otherwise(0)), F.lit(0)).cast("long").alias(f"m{k}")]
+    rows = [F.struct(F.lit(name).alias("method"), F.col(f"p{k}").alias("pairs"), F.col(f"m{k}").alias("mismatches")) for k, name in enumerate(others, 1)]
+    return by_pair.agg(*out).select(F.inline(F.array(*rows)))
